@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from fedgrid.llm import chat_format, language_id, quality
+from fedgrid.llm import chat_format, fingerprints, language_id, line_dedup, quality
 
 
 def queries() -> dict:
@@ -10,8 +10,10 @@ def queries() -> dict:
         "op1_language_id": language_id.query,
         "op4_chat_format": chat_format.query,
         "op6_quality": quality.query,
+        "op7_line_dedup": line_dedup.query,
+        "op10_fingerprints": fingerprints.query,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_chat_format": chat_format.SQL}
+    return {"op4_chat_format": chat_format.SQL, "op7_line_dedup": line_dedup.SQL}
