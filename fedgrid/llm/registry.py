@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from fedgrid.llm import chat_format, fingerprints, language_id, line_dedup, quality
+from fedgrid.llm import chat_format, decontamination, fingerprints, language_id, line_dedup, mixing, quality
 
 
 def queries() -> dict:
     return {
         "op1_language_id": language_id.query,
+        "op2_mixing": mixing.query,
+        "op3_decontamination": decontamination.query,
         "op4_chat_format": chat_format.query,
         "op6_quality": quality.query,
         "op7_line_dedup": line_dedup.query,
