@@ -2,7 +2,17 @@
 
 from __future__ import annotations
 
-from fedgrid.llm import chat_format, decontamination, fingerprints, language_id, line_dedup, mixing, quality
+from fedgrid.llm import (
+    chat_format,
+    decontamination,
+    fingerprints,
+    jaccard_join,
+    language_id,
+    line_dedup,
+    mixing,
+    quality,
+    substring_dedup,
+)
 
 
 def queries() -> dict:
@@ -13,6 +23,8 @@ def queries() -> dict:
         "op4_chat_format": chat_format.query,
         "op6_quality": quality.query,
         "op7_line_dedup": line_dedup.query,
+        "op8_substring_dedup": substring_dedup.query,
+        "op9_jaccard_join": jaccard_join.query,
         "op10_fingerprints": fingerprints.query,
     }
 
