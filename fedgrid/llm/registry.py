@@ -10,6 +10,7 @@ from fedgrid.llm import (
     language_id,
     line_dedup,
     mixing,
+    pii,
     quality,
     substring_dedup,
 )
@@ -21,6 +22,7 @@ def queries() -> dict:
         "op2_mixing": mixing.query,
         "op3_decontamination": decontamination.query,
         "op4_chat_format": chat_format.query,
+        "op5_pii": pii.query,
         "op6_quality": quality.query,
         "op7_line_dedup": line_dedup.query,
         "op8_substring_dedup": substring_dedup.query,
