@@ -61,10 +61,15 @@ def _exact(text: Column) -> Column:
 
 
 def vectors(rows: DataFrame, keys: list[str], text: str = "text", carried: tuple[str, ...] = ()) -> DataFrame:
-    """The fingerprint vector of each row: ``keys`` (unique to the row), ``carried``, windows, words, counters."""
-    exploded = rows.select(
-        *keys, *carried, _exact(F.col(text)).alias("exact"), F.explode(_windows(F.col(text))).alias("h")
-    ).select(*keys, *carried, *[F.col(f"exact.{w}").alias(w) for w in _WORDS], "h")
+    """The fingerprint vector of each row: ``keys`` (unique to the row), ``carried``, windows, words, counters.
+
+    Keys and carried columns are integers, so that the aggregate stays a hash aggregate.
+    """
+    # everything that reads the text is computed below the explode, once per row; the outer form keeps the
+    # optimizer from making the hashes twice (there is always one at least)
+    read = rows.select(*keys, *carried, _exact(F.col(text)).alias("exact"), _windows(F.col(text)).alias("hashes"))
+    read = read.select(*keys, *carried, *[F.col(f"exact.{w}").alias(w) for w in _WORDS], "hashes")
+    exploded = read.select(*keys, *carried, *_WORDS, F.explode_outer("hashes").alias("h"))
     sums = [F.sum(F.shiftright("h", b).bitwiseAND(F.lit(_PAIR))).alias(f"c{b}") for b in range(COLUMNS)]
     firsts = [F.first(c).alias(c) for c in (*carried, *_WORDS)]
     return exploded.groupBy(*keys).agg(*firsts, F.count(F.lit(1)).alias("windows"), *sums)
@@ -109,10 +114,11 @@ def with_next(docs: DataFrame) -> DataFrame:
     """
     rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     low, high, n = rows.agg(F.min("doc_id"), F.max("doc_id"), F.count(F.lit(1))).first()
-    low, high = (0, 0) if low is None else (low, high)
     ranges = max(1, min(MAX_RANGES, n // RANGE_ROWS))
-    place = F.floor((F.col("doc_id").cast("double") - float(low)) * (ranges / (float(high) - float(low) + 1.0)))
-    rows = rows.withColumn("rng", F.coalesce(place.cast("bigint"), F.lit(-1).cast("bigint")))
+    bottom, width = (float(low), float(high) - float(low) + 1.0) if n and low is not None else (0.0, 1.0)
+    place = F.floor((F.col("doc_id").cast("double") - bottom) / width * ranges)
+    place = F.least(place.cast("bigint"), F.lit(ranges - 1))  # rounding of huge ids may reach the end
+    rows = rows.withColumn("rng", F.coalesce(place, F.lit(-1).cast("bigint")))
 
     order = Window.partitionBy("rng").orderBy(F.col("doc_id").desc_nulls_last(), "text")
     sorted_rows = rows.select(
@@ -124,15 +130,9 @@ def with_next(docs: DataFrame) -> DataFrame:
     # the first row of each range: at most MAX_RANGES + 1 rows, so ids and order may meet in one task
     heads = rows.groupBy("rng").agg(F.max("doc_id").alias("doc_id"))
     by_range = Window.orderBy(F.col("rng").desc())
-    first = heads.agg(F.max("rng").alias("top"))
-    after = heads.crossJoin(F.broadcast(first)).select(
-        "rng", F.coalesce(F.lead("rng").over(by_range), "top").alias("next_rng")
-    )
-    texts = (
-        rows.join(heads.withColumnRenamed("doc_id", "head"), "rng")
-        if ranges == 1
-        else rows.join(F.broadcast(heads.withColumnRenamed("doc_id", "head")), "rng")
-    )
+    top = -1 if n == 0 or high is None else ranges - 1
+    after = heads.select("rng", F.coalesce(F.lead("rng").over(by_range), F.lit(top)).alias("next_rng"))
+    texts = rows.join(F.broadcast(heads.withColumnRenamed("doc_id", "head")), "rng")
     texts = texts.where(F.col("doc_id").eqNullSafe(F.col("head"))).groupBy("rng").agg(F.min("text").alias("head_text"))
     ends = after.join(texts.withColumnRenamed("rng", "next_rng"), "next_rng").select(
         "rng", F.col("next_rng").alias("end_rng"), "head_text"
@@ -159,16 +159,17 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
         *["rng", "rn", "doc_id", "next_rng", "next_rn", "n"],
         F.inline(
             F.array(
-                F.struct(F.lit(0).alias("side"), F.col("text").alias("text"), F.lit(None).cast("string").alias("sha")),
-                F.struct(
-                    F.lit(1).alias("side"),
-                    F.col("e").alias("text"),
-                    F.sha2(F.col("e").cast("binary"), 256).alias("sha"),
-                ),
+                F.struct(F.lit(0).alias("side"), F.col("text").alias("text")),
+                F.struct(F.lit(1).alias("side"), F.col("e").alias("text")),
             )
         ),
     )
-    made = vectors(both, ["rng", "rn", "side"], carried=("doc_id", "next_rng", "next_rn", "n", "sha"))
+    # the digest goes along as integers of 13 hex digits (52 bits)
+    digest = F.sha2(F.col("text").cast("binary"), 256)
+    parts = {f"s{k}": F.conv(F.substring("sha", 13 * k + 1, 13), 16, 10).cast("bigint") for k in range(5)}
+    both = both.withColumn("sha", F.when(F.col("side") == 1, digest)).withColumns(parts)
+    made = vectors(both, ["rng", "rn", "side"], carried=("doc_id", "next_rng", "next_rn", "n", *parts))
+    made = made.withColumn("sha", F.concat(*[_hex(F.col(c), 13 if c != "s4" else 12) for c in parts]))
     vector = F.struct("windows", *_WORDS, *_SUMS)
     kept = ["rng", "rn", "side", "doc_id", "next_rng", "next_rn", "n", "sha"]
     made = checkpointed(made.select(*kept, vector.alias("own")))
