@@ -47,8 +47,8 @@ def _bucket(value: Column, bounds: tuple[float, ...]) -> Column:
 
 
 def _words(text: Column) -> Column:
-    """The distinct lower-cased words of a text."""
-    return F.array_distinct(F.split(F.lower(text), r"[^\p{L}]+"))
+    """The lower-cased words of a text; the first and the last may be empty."""
+    return F.split(F.lower(text), r"[^\p{L}]+")
 
 
 def _without(text: Column, characters: str) -> Column:
@@ -69,20 +69,34 @@ _SIZES = [len(SHARE_BOUNDS) + 1] * 2 + [len(LENGTH_BOUNDS) + 1] + [len(DENSITY_B
 
 
 def features(docs: DataFrame, text: str, words: dict[str, list[str]]) -> DataFrame:
-    """``docs`` with columns __tokens (words between white space) and __f0 .. (bucket codes)."""
+    """``docs`` with columns __tokens (words, runs of letters) and __f0 .. (bucket codes).
+
+    In layers, as an expression over the text that several others need is computed once that way.
+    """
     t = F.coalesce(F.col(text), F.lit(""))
-    n = F.greatest(F.length(t), F.lit(1))
-    out = docs.withColumn("__tokens", F.size(F.filter(F.split(t, r"\s+"), lambda w: w != "")))
-    out = out.withColumn("__words", _words(t))
-    out = out.withColumn("__f0", _bucket((F.length(t) - _without(t, "#$%&*|!<>=_{}[]~^")) / n, SHARE_BOUNDS))
-    capitals = F.length(t) - _without(t, "ABCDEFGHIJKLMNOPQRSTUVWXYZ")
-    out = out.withColumn("__f1", _bucket(capitals / n, SHARE_BOUNDS))
-    out = out.withColumn("__f2", _bucket(F.length(t) / F.greatest("__tokens", F.lit(1)), LENGTH_BOUNDS))
+    telling = F.array(*map(F.lit, sorted({w for own in words.values() for w in own}))).cast("array<string>")
+    out = docs.withColumns(
+        {
+            "__all": _words(t),
+            "__n": F.length(t),
+            "__symbols": _without(t, "#$%&*|!<>=_{}[]~^"),
+            "__small": _without(t, "ABCDEFGHIJKLMNOPQRSTUVWXYZ"),
+        }
+    )
+    edges = F.when(F.get("__all", F.lit(0)) == "", 1).otherwise(0) + F.when(
+        (F.size("__all") > 1) & (F.element_at("__all", -1) == ""), 1
+    ).otherwise(0)
+    out = out.withColumns({"__tokens": F.size("__all") - edges, "__hits": F.array_intersect("__all", telling)})
+    n, tokens = F.greatest("__n", F.lit(1)), F.greatest("__tokens", F.lit(1))
+    values = {"__v0": (F.col("__n") - F.col("__symbols")) / n, "__v1": (F.col("__n") - F.col("__small")) / n}
+    values["__v2"] = F.col("__n") / tokens
     for k, domain in enumerate(DOMAINS, start=3):
-        telling = F.array(*map(F.lit, words[domain])).cast("array<string>")
-        hits = F.size(F.array_intersect("__words", telling))
-        out = out.withColumn(f"__f{k}", _bucket(hits / F.greatest(F.size("__words"), F.lit(1)), DENSITY_BOUNDS))
-    return out.drop("__words")
+        own = F.array(*map(F.lit, words[domain])).cast("array<string>")
+        values[f"__v{k}"] = F.size(F.array_intersect("__hits", own)) / tokens
+    out = out.withColumns(values)
+    bounds = [SHARE_BOUNDS, SHARE_BOUNDS, LENGTH_BOUNDS] + [DENSITY_BOUNDS] * len(DOMAINS)
+    out = out.withColumns({f"__f{k}": _bucket(F.col(f"__v{k}"), b) for k, b in enumerate(bounds)})
+    return out.drop("__all", "__n", "__symbols", "__small", "__hits", *values)
 
 
 def train(documents: DataFrame, labels: DataFrame, bound: int = MAX_LABELLED) -> Classifier:
@@ -96,7 +110,8 @@ def train(documents: DataFrame, labels: DataFrame, bound: int = MAX_LABELLED) ->
     )
     totals = {r["domain"]: r["count"] for r in rows.groupBy("domain").count().collect()}
     every = sum(totals.values())
-    counts = rows.select("domain", F.explode(_words(F.col("text"))).alias("word")).where(F.length("word") > 1)
+    counts = rows.select("domain", F.array_distinct(_words(F.col("text"))).alias("words"))
+    counts = counts.select("domain", F.explode_outer("words").alias("word")).where(F.length("word") > 1)
     counts = counts.groupBy("word").agg(*[F.count_if(F.col("domain") == d).alias(d) for d in DOMAINS])
     words = {}
     for d in DOMAINS:
@@ -171,14 +186,23 @@ def fit_rates(
 
 
 def mix(
-    spark: SparkSession, docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = None, ridge: float = 1e-3
+    docs: DataFrame,
+    labels: DataFrame,
+    targets: dict[str, float] | None = None,
+    ridge: float = 1e-3,
+    text_free: bool = False,
 ) -> DataFrame:
-    """``docs`` with columns tokens, p_high, p_low, p_toxic and rate."""
+    """``docs`` with columns tokens, p_high, p_low, p_toxic and rate.
+
+    With ``text_free`` the result goes without the texts, and these are read once instead of twice.
+    """
     model = train(docs, labels)
     members = with_posteriors(docs, model)
+    if text_free:
+        members = checkpointed(members.drop("text"))
     history = fit_rates(members, targets or TARGETS, ridge)
     out = members.withColumn("__rate", rate_of(history, ridge))
-    kept = [c for c in docs.columns if c not in {"tokens", "rate", *(f"p_{d}" for d in DOMAINS)}]
+    kept = [c for c in members.columns if c in docs.columns and c not in {"tokens", "rate", *(f"p_{d}" for d in DOMAINS)}]
     return out.select(
         *kept,
         F.col("__tokens").cast("bigint").alias("tokens"),
@@ -189,9 +213,9 @@ def mix(
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return mix(spark, docs, table(spark, sf_dir, "labels")).drop("text")
+    return mix(docs, table(spark, sf_dir, "labels"), text_free=True)
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents with their fitted rate, at which a trainer is to draw them; rate 0 leaves the mix."""
-    return mix(spark, docs, table(spark, sf_dir, "labels")).where(F.col("rate") > 0)
+    return mix(docs, table(spark, sf_dir, "labels")).where(F.col("rate") > 0)
