@@ -10,8 +10,8 @@ asked again with other numbers is caught, but not a chance run of placeholders.
 
 The benchmark's windows are broadcast when their counted number is within BROADCAST_WINDOWS; beyond it the
 join shuffles by hash, and frequent windows are split by the adaptive skew join. Each document window is
-one row before the join and only hits live on, so nothing is collected per key but an alignment's slots,
-of which there are no more than the item's tokens.
+one row before the join and only hits live on, counted per alignment; slots are read again from the texts
+of the few documents that hold an alignment.
 
 Defined results: null texts and items have no tokens; items of fewer than WINDOW tokens match as one
 window of their own length, and items under LEAST_WORDS words beside placeholders never match; repeated
@@ -26,7 +26,7 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fedgrid.llm.common import table
+from fedgrid.llm.common import checkpointed, table
 
 WINDOW, MATCHED, LEAST_WORDS = 8, 6, 4
 BROADCAST_WINDOWS = 2_000_000
@@ -55,25 +55,22 @@ def template(word: Column) -> Column:
     return F.when(word < "\x05", F.substring(word, 1, 1)).otherwise(word)
 
 
-def windows(rows: DataFrame, keys: list[str], size: int, slots: str) -> DataFrame:
-    """One row per window: keys, ``place``, ``hash``, and its marked tokens as array ``slots``."""
-    made = rows.withColumn("__template", F.transform("__marked", template))
-    places = F.when(F.size("__marked") >= size, F.sequence(F.lit(0), F.size("__marked") - size))
+def windows(rows: DataFrame, keys: list[str], size: int) -> DataFrame:
+    """One row per window of ``__marked`` tokens: keys, ``place`` and ``hash``."""
+    made = rows.withColumn("__hashed", F.transform("__marked", lambda w: F.xxhash64(template(w))))
+    places = F.when(F.size("__hashed") >= size, F.sequence(F.lit(0), F.size("__hashed") - size))
 
     def at(i: Column) -> Column:
-        return F.struct(
-            i.alias("place"),
-            F.xxhash64(*[F.get("__template", i + k) for k in range(size)]).alias("hash"),
-            F.array(*[F.get("__marked", i + k) for k in range(size)]).alias(slots),
-        )
+        return F.xxhash64(*[F.get("__hashed", i + k) for k in range(size)])
 
-    return made.select(*keys, F.inline(F.transform(places, at)))
+    made = made.select(*keys, F.transform(places, at).alias("__w"))
+    # the outer form: for the inner one the optimizer adds a filter that makes the whole array once more
+    return made.select(*keys, F.posexplode_outer("__w").alias("place", "hash")).where(F.col("hash").isNotNull())
 
 
 def leaks(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
     """(doc_id, item_id, windows, first_place, exact) of each item that a document holds."""
     docs = documents.select("doc_id", F.col("text")).where(F.col("text").isNotNull())
-    docs = docs.select("doc_id", marked(F.col("text")).alias("__marked"))
     items = benchmark.select("item_id", F.col("text")).where(F.col("text").isNotNull()).distinct()
     items = items.select("item_id", marked(F.col("text")).alias("__marked"))
     items = items.withColumn("n", F.size("__marked")).where(F.col("n") > 0)
@@ -88,32 +85,49 @@ def leaks(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
         .groupBy("doc_id", "item_id", "n", (F.col("place") - F.col("item_place")).alias("diagonal"))
         .agg(
             F.count_distinct("item_place").alias("windows"),
-            F.min("place").alias("first_place"),
-            F.array_distinct(F.flatten(F.collect_set("pairs"))).alias("pairs"),
+            F.min("item_place").alias("low"),
+            F.max("item_place").alias("high"),
         )
     )
-    asked = F.size(F.array_distinct(F.transform("pairs", lambda p: p["item"])))
     needed = F.greatest(F.least(F.lit(MATCHED), F.col("n") - WINDOW + 1), F.lit(1))
-    found = aligned.where((F.col("windows") >= needed) & (F.size("pairs") == asked))
+    aligned = checkpointed(aligned.where(F.col("windows") >= needed))
+    return _consistent(aligned, docs, items)
+
+
+def _consistent(aligned: DataFrame, docs: DataFrame, items: DataFrame) -> DataFrame:
+    """The alignments whose slots are replaced alike wherever they recur."""
+    few = aligned.count() <= BROADCAST_WINDOWS
+    ids = aligned.select(F.col("doc_id").alias("__id")).distinct()
+    docs = docs.join(F.broadcast(ids) if few else ids, F.col("doc_id") == F.col("__id"), "left_semi")
+    docs = docs.select("doc_id", marked(F.col("text")).alias("doc_words"))
+    both = aligned.join(items.select("item_id", F.col("__marked").alias("item_words")), "item_id").join(docs, "doc_id")
+    length = F.col("high") - F.col("low") + F.least(F.lit(WINDOW), F.col("n"))
+    pairs = F.zip_with(
+        F.slice("item_words", F.col("low") + 1, length),
+        F.slice("doc_words", F.col("low") + F.col("diagonal") + 1, length),
+        lambda a, b: F.struct(a.alias("item"), b.alias("doc")),
+    )
+    slot = F.filter(pairs, lambda p: (p["item"] < "\x05") & (template(p["item"]) == template(p["doc"])))
+    both = both.withColumn("pairs", F.array_distinct(slot))
+    asked = F.size(F.array_distinct(F.transform("pairs", lambda p: p["item"])))
+    found = both.where(F.size("pairs") == asked)
     exact = F.forall("pairs", lambda p: p["item"] == p["doc"])
     return found.groupBy("doc_id", "item_id").agg(
-        F.max("windows").alias("windows"), F.min("first_place").alias("first_place"), F.max(exact).alias("exact")
+        F.max("windows").alias("windows"),
+        F.min(F.col("low") + F.col("diagonal")).alias("first_place"),
+        F.max(exact).alias("exact"),
     )
 
 
 def _hits(docs: DataFrame, items: DataFrame, size: int) -> DataFrame:
     own = items.where(F.least("n", F.lit(WINDOW)) == size)
-    asked = windows(own, ["item_id", "n"], size, "item_slots").withColumnRenamed("place", "item_place")
-    words = F.size(F.filter("item_slots", lambda w: w >= "\x05"))
-    asked = asked.where(words >= min(LEAST_WORDS, size)).where(words >= 3)
+    asked = windows(own, ["item_id", "n", "__marked"], size).withColumnRenamed("place", "item_place")
+    words = F.size(F.filter(F.slice("__marked", F.col("item_place") + 1, F.lit(size)), lambda w: w >= "\x05"))
+    asked = asked.where(words >= min(LEAST_WORDS, max(size, 3))).drop("__marked")
     if asked.count() <= BROADCAST_WINDOWS:
         asked = F.broadcast(asked)
-    pair = F.zip_with("item_slots", "slots", lambda a, b: F.struct(a.alias("item"), b.alias("doc")))
-    return (
-        windows(docs, ["doc_id"], size, "slots")
-        .join(asked, "hash")
-        .select("doc_id", "item_id", "n", "place", "item_place", F.filter(pair, lambda p: p["item"] < "\x05").alias("pairs"))
-    )
+    rows = docs.select("doc_id", marked(F.col("text")).alias("__marked"))
+    return windows(rows, ["doc_id"], size).join(asked, "hash").select("doc_id", "item_id", "n", "place", "item_place")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
