@@ -32,7 +32,7 @@ VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
 #: Bound on the labelled texts of each language that the piece probabilities are learned from.
 MAX_TEXTS = 200
 #: Words kept in a worker's table of scored words; it is emptied when full.
-MAX_WORDS = 200_000
+MAX_WORDS = 500_000
 
 UND = "und"
 _WORD = re.compile(r"[^\W\d_]+")
@@ -57,31 +57,46 @@ def words_of(text: str | None) -> list[str]:
     return found
 
 
+def prefixes(pieces: tuple[str, ...]) -> dict[str, int]:
+    """Piece to number, -1 for what only begins pieces, and at "" the number of the unknown character."""
+    index = {p[:k]: -1 for p in pieces for k in range(1, len(p))}
+    index.update((p, i) for i, p in enumerate(pieces))
+    return index | {"": len(pieces)}
+
+
 class Lattice:
     """All pieces of a list of words as edges (word, start, stop, piece), with forward and backward sums."""
 
-    def __init__(self, words: list[str], index: dict[str, int], longest: int):
-        word, start, stop, piece = [], [], [], []
-        unknown = len(index)
-        get = index.get
+    def __init__(self, words: list[str], index: dict[str, int]):
+        """index: of every piece its number, of every proper beginning of a piece -1 (see ``prefixes``)."""
+        # an edge is one integer: word, start and stop (7 bits each, up to _STRETCH), piece (16 bits)
+        edges, unknown, get = [], index[""], index.get
+        add = edges.append
         for k, w in enumerate(words):
-            n = len(w)
-            for i in range(n):
-                single = False
-                for j in range(i + 1, min(n, i + longest) + 1):
+            ends = range(1, len(w) + 1)
+            for i in range(len(w)):
+                here, single = k << 30 | i << 23, unknown
+                for j in ends[i:]:
                     p = get(w[i:j])
-                    if p is not None:
-                        word.append(k), start.append(i), stop.append(j), piece.append(p)
-                        single |= j == i + 1
-                if not single:
-                    word.append(k), start.append(i), stop.append(i + 1), piece.append(unknown)
-            for j in range(1, min(n, longest) + 1):
-                p = get(_MARK + w[:j])
-                if p is not None:
-                    word.append(k), start.append(0), stop.append(j), piece.append(p)
+                    if p is None:
+                        break
+                    if p >= 0:
+                        if j == i + 1:
+                            single = -1
+                        add(here | j << 16 | p)
+                if single >= 0:
+                    add(here | (i + 1) << 16 | single)
+            w = _MARK + w
+            for j in ends:
+                p = get(w[: j + 1])
+                if p is None:
+                    break
+                if p >= 0:
+                    add(k << 30 | j << 16 | p)
         self.n, self.lengths = len(words), np.array([len(w) for w in words], np.int64)
-        edges = np.array([word, start, stop, piece], np.int64).reshape(4, -1)
-        self.edges = edges[:, np.argsort(edges[2], kind="stable")]
+        packed = np.array(edges, np.int64)
+        packed = packed[np.argsort(packed >> 16 & 127, kind="stable")]
+        self.edges = packed >> 30, packed >> 23 & 127, packed >> 16 & 127, packed & 0xFFFF
 
     def forward(self, probs: np.ndarray) -> np.ndarray:
         """Sums over the segmentations of each prefix; probs: one per piece (the last is unknown)."""
@@ -120,27 +135,25 @@ class Model:
     languages: list[str]
     pieces: dict[str, int]
     probs: np.ndarray  # languages by pieces, the last of which is the unknown character
-    longest: int
 
 
 def fit(rows: pd.DataFrame, pieces: tuple[str, ...], rounds: int = 4, smoothing: float = 0.05) -> Model:
     """From word counts (lang, word, n) to piece probabilities, by expectation-maximisation."""
-    index = {p: i for i, p in enumerate(pieces)}
-    longest = max((len(p) for p in pieces), default=1)
+    index, n = prefixes(pieces), len(pieces)
     languages = sorted(set(rows["lang"]))
     probs = []
     for lang in languages:
         own = rows[rows["lang"] == lang]
-        lattice = Lattice(own["word"].tolist(), index, longest)
+        lattice = Lattice(own["word"].tolist(), index)
         counts = own["n"].to_numpy(float)
-        p = np.full(len(index) + 1, 1.0 / (len(index) + 1))
+        p = np.full(n + 1, 1.0 / (n + 1))
         p[-1] = _UNKNOWN
         for _ in range(rounds):
             used = lattice.expected(p, counts)[:-1] + smoothing
             p = np.append(used / used.sum(), _UNKNOWN)
         probs.append(p)
     # pieces that no language uses more than smoothing does stay in the lattice: their mass is common
-    return Model(languages, index, np.array(probs).reshape(len(languages), len(index) + 1), longest)
+    return Model(languages, index, np.array(probs).reshape(len(languages), n + 1))
 
 
 def train(documents: DataFrame, bound: int = MAX_TEXTS, path: str = VOCABULARY) -> Model:
@@ -170,7 +183,7 @@ class Scorer:
             new = list(dict.fromkeys(words))
         for at in range(0, len(new), 4096):
             part = new[at : at + 4096]
-            lattice = Lattice(part, self.model.pieces, self.model.longest)
+            lattice = Lattice(part, self.model.pieces)
             logs = [np.log(np.maximum(lattice.totals(p), 1e-300)) for p in self.model.probs]
             first = len(self.known)
             self.table[first : first + len(part)] = np.array(logs).T

@@ -40,7 +40,9 @@ def boilerplate(pages: DataFrame, host: str, text: str, ratio: float, least: int
     named = pages.select(F.coalesce(F.col(host), F.lit("")).alias("host"), F.col(text).alias("text"))
     hashes = F.transform(F.filter(_lines(F.col("text")), lambda x: F.trim(x) != ""), _key)
     counts = (
-        named.select("host", F.explode(F.array_distinct(hashes)).alias("line"))
+        named.select("host", F.array_distinct(hashes).alias("lines"))
+        .select("host", F.explode_outer("lines").alias("line"))
+        .where(F.col("line").isNotNull())
         .groupBy("host", "line")
         .agg(F.count(F.lit(1)).alias("pages"))
         .where(F.col("pages") >= least)
