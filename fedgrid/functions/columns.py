@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -117,9 +119,6 @@ def nearest_of_runs(x: Column, runs: list) -> Column:
     """
     if sum(len(c) * len(c[0]) for c in runs) <= UNROLLED:
         return F.array(*[F.struct(F.lit(r).alias("r"), nearest(x, c).alias("n")) for r, c in enumerate(runs)])
-    import numpy as np
-    import pandas as pd
-
     tables = [np.asarray(c, float) for c in runs]
 
     def kernel(xs: pd.Series) -> pd.Series:

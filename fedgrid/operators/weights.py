@@ -94,9 +94,9 @@ def product_grid(sizes: list[np.ndarray], n_hat: float) -> np.ndarray:
 def refine(
     start: np.ndarray, tables: dict[tuple[int, int], np.ndarray], n_hat: float, rng: np.random.Generator,
     rounds: int | None = None, eta=1.0, order: str = "random", tol: float = 1e-6, update: str = "additive",
-    finalize: str = "simplex",
+    finalize: str = "simplex", clip: bool = True,
 ) -> np.ndarray:
-    """Fits a grid to all two-party tables, one pair a round.
+    """Fits a grid to all two-party tables, one pair a round; ``clip`` cuts negative cells in each round.
 
     ``additive`` spreads a cell's difference evenly over its group; ``multiplicative`` scales the group.
     Stops when a sweep over all pairs moves nothing by more than tol * n_hat.
@@ -114,6 +114,7 @@ def refine(
             step = eta(t) if callable(eta) else (1 / math.sqrt(t) if eta == "1/sqrt" else float(eta))
             group = w.size // (w.shape[l1] * w.shape[l2])
             w = w - step / group * (now - want)[expand]
+            w = w.clip(min=0.0) if clip else w
         moved[l1, l2] = float(np.abs(now - want).max())
         if len(moved) == len(pairs) and max(moved.values()) < tol * max(n_hat, 1.0):
             break

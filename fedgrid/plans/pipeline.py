@@ -43,7 +43,7 @@ def party_centers(
 ) -> np.ndarray:
     """Local centers of one party, by any of the three engines."""
     if method == "nonprivate":
-        return lloyd(v.frame, k, seed=seed, n_init=2)
+        return lloyd(v.frame, k, seed=seed, n_init=2, max_iter=15, tol=1e-4)
     if method == "noisy_lloyd":
         return noisy_lloyd(v.frame, k, eps, rng, ledger=ledger, party=party)
     return lsh_forest.fit(v.frame, k, eps, rng, seed=seed, ledger=ledger, party=party)
@@ -176,7 +176,7 @@ def fit_central(df: DataFrame, k: int, eps: float | None, local: str = "lsh_fore
     """Central clustering of all columns: non-private without ``eps``, else private with the full budget."""
     rng = np.random.default_rng(seed)
     if eps is None:
-        return lloyd(df, k, seed=seed, n_init=3)
+        return lloyd(df, k, seed=seed, n_init=3, max_iter=20, tol=1e-4)
     if local == "noisy_lloyd":
         return noisy_lloyd(df, k, eps, rng, ledger=ledger)
     return lsh_forest.fit(df, k, eps, rng, seed=seed, ledger=ledger)
