@@ -19,7 +19,8 @@ From segments to links, without listing the pairs of a group:
    compared with the members of other components. All pairs that share a segment are then linked, or
    compared, or already in one component, so the components are exact.
 
-Comparison intersects whole shingle arrays. Components come from alternating large-star and small-star
+Comparison intersects whole shingle arrays, of the pairs whose counts of shingles in 64 buckets of the universe
+differ by no more than similar sets can (a bound that loses no pair, and is tested inside the join of step 4). Components come from alternating large-star and small-star
 rounds over edges, cut by checkpoints. Nothing but counts reaches the driver; ids are broadcast only when
 counted within BROADCAST_IDS, beyond it these joins shuffle.
 
@@ -221,15 +222,24 @@ def _mapped(docs: DataFrame, schema: str, width: int, make: Callable, chunk: int
     return docs.select("doc_id", "text").mapInArrow(run, schema)
 
 
+#: Buckets of the hash universe that a set's shingles are counted in; a count stops at 127.
+BUCKETS = 64
+
+
 def set_prints(docs: DataFrame, width: int) -> DataFrame:
-    """(doc_id, n, a, b): size and 128-bit hash of each row's set."""
+    """(doc_id, n, a, b, counts): size, 128-bit hash and bucket counts of each row's set."""
 
     def make(ids: pa.Array, sets: list[np.ndarray]) -> list[pa.Array]:
         a = np.array([s.sum(dtype=np.uint64) for s in sets], np.uint64)
         b = np.array([_mix(s ^ _U(0x2545F4914F6CDD1D)).sum(dtype=np.uint64) for s in sets], np.uint64)
-        return [ids, pa.array([len(s) for s in sets], pa.int64()), pa.array(a.view(np.int64)), pa.array(b.view(np.int64))]
+        counts = [np.bincount((s >> _U(58)).astype(np.int64), minlength=BUCKETS).clip(max=127) for s in sets]
+        flat = pa.array(np.concatenate(counts).astype(np.int8))
+        offsets = pa.array(np.arange(0, BUCKETS * len(sets) + 1, BUCKETS, dtype=np.int32))
+        sizes = pa.array([len(s) for s in sets], pa.int64())
+        parts = [ids, sizes, pa.array(a.view(np.int64)), pa.array(b.view(np.int64))]
+        return [*parts, pa.ListArray.from_arrays(offsets, flat)]
 
-    return _mapped(docs, "doc_id bigint, n bigint, a bigint, b bigint", width, make)
+    return _mapped(docs, "doc_id bigint, n bigint, a bigint, b bigint, counts array<tinyint>", width, make)
 
 
 def _signature_rows(docs: DataFrame, width: int, percent: int) -> DataFrame:
@@ -267,8 +277,18 @@ def _alike(percent: int, i: Column, x: Column, y: Column) -> Column:
     return 100 * i >= percent * (x + y - i)
 
 
-def verified(docs: DataFrame, pairs: DataFrame, width: int, percent: int) -> DataFrame:
-    """The pairs (a, b) whose sets are similar; intersects the whole sets."""
+def _within(percent: int, x: str, y: str, cx: str, cy: str) -> Column:
+    """A bound that no similar pair breaks: bucket counts differ by no more than the sets do."""
+    gaps = F.zip_with(cx, cy, lambda p, q: F.abs(p.cast("int") - q.cast("int")))
+    total = F.aggregate(gaps, F.lit(0), lambda s, v: s + v)
+    return total * (100 + percent) <= (F.col(x) + F.col(y)) * (100 - percent)
+
+
+def verified(docs: DataFrame, pairs: DataFrame, counts: DataFrame, width: int, percent: int) -> DataFrame:
+    """The pairs (a, b) whose sets are similar; intersects the whole sets of those within the bound."""
+    ca, cb = counts.toDF("a", "na", "ca"), counts.toDF("b", "nb", "cb")
+    pairs = pairs.join(ca, "a").join(cb, "b").where(_within(percent, "na", "nb", "ca", "cb"))
+    pairs = checkpointed(pairs.select("a", "b").distinct())
     ids = checkpointed(pairs.select(F.explode(F.array("a", "b")).alias("doc")).distinct())
     arrays = _arrays(_only(docs, ids, "left_semi"), width)
     left = arrays.select(F.col("doc").alias("a"), F.col("shingles").alias("x"))
@@ -312,6 +332,8 @@ def components(edges: DataFrame) -> DataFrame:
 def links(docs: DataFrame, width: int, percent: int, prints: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(classes, components): each doc_id's class, and the component of each class that has links."""
     known = prints.where(F.col("doc_id").isNotNull() & (F.col("n") > 0))
+    counts = known.select(F.col("doc_id").alias("doc"), F.col("n").cast("int").alias("n"), "counts")
+    known = known.drop("counts")
     classes = known.groupBy("a", "b").agg(F.min("doc_id").alias("class"))
     classes = checkpointed(known.join(classes, ["a", "b"]).select("doc_id", "class").distinct())
     alone = docs.where(F.col("doc_id").isNotNull())
@@ -344,24 +366,25 @@ def links(docs: DataFrame, width: int, percent: int, prints: DataFrame) -> tuple
     # one document of two classes (rows that share a doc_id) joins them
     joined = classes.where("doc_id <> class").groupBy("doc_id").agg(F.min("class").alias("a"), F.max("class").alias("b"))
     joined = joined.where("a <> b").select("a", "b")
-    first = checkpointed(verified(alone, star, width, percent).unionByName(joined))
+    first = checkpointed(verified(alone, star, counts, width, percent).unionByName(joined))
 
     found = components(first).withColumnRenamed("node", "doc")
     placed = groups.join(found, "doc", "left").withColumn("c", F.coalesce("component", "doc"))
     key = ["name", "size", "p"]
     open_ = placed.groupBy(*key).agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high")
-    open_ = checkpointed(placed.join(open_.select(*key), key).select(*key, "doc", "n", "c"))
+    open_ = placed.join(open_.select(*key), key).select(*key, "doc", "c")
+    open_ = checkpointed(open_.join(counts, "doc"))
     main = open_.where("doc = p").select(*key, F.col("c").alias("main")).distinct()
     minor = open_.join(main, key).where("c <> main")
-    minor = minor.select(*key, "main", F.col("doc").alias("d1"), F.col("n").alias("n1"), F.col("c").alias("c1"))
-    cross = minor.join(open_, key).where(
-        (F.col("c") != F.col("c1")) & near("n", "n1") & ((F.col("c") == F.col("main")) | (F.col("d1") < F.col("doc")))
-    )
-    cross = cross.select(F.least("d1", "doc").alias("a"), F.greatest("d1", "doc").alias("b")).distinct()
+    minor = minor.toDF(*key, *[f"{c}1" for c in ("doc", "c", "n", "counts")], "main")
+    other = (F.col("c") == F.col("main")) | (F.col("doc1") < F.col("doc"))
+    cross = minor.join(open_, key).where((F.col("c") != F.col("c1")) & near("n", "n1") & other)
+    cross = cross.where(_within(percent, "n", "n1", "counts", "counts1"))
+    cross = cross.select(F.least("doc1", "doc").alias("a"), F.greatest("doc1", "doc").alias("b")).distinct()
     cross = checkpointed(cross.join(star, ["a", "b"], "left_anti"))
     if cross.isEmpty():
         return classes, found.withColumnRenamed("doc", "node")
-    second = verified(alone, cross, width, percent)
+    second = verified(alone, cross, counts, width, percent)
     return classes, components(first.unionByName(second))
 
 
