@@ -33,7 +33,9 @@ from fedgrid.llm.common import checkpointed, table
 MIN_SENTENCES, MIN_WORDS = 2, 10
 
 _SENTENCE = re.compile(r"[^.!?\n]*(?:[.!?\n]+(?:\s+|(?=[^\s.!?])|\Z)|\Z)")
-_OCCURRENCES = "h1 bigint, h2 bigint, doc_id bigint, place int, stop int"
+_OCCURRENCES = "h1 bigint, h2 bigint, doc_id bigint, run bigint"
+#: A run's number: its first sentence, its length (20 bits), and whether its hash was in the text before.
+_LENGTH = 20
 
 
 def sentences(text: str) -> list[str]:
@@ -56,13 +58,17 @@ def spans(text: str) -> Iterator[tuple[int, int, int]]:
 
 
 def occurrences(docs: DataFrame) -> DataFrame:
-    """(h1, h2, doc_id, place, stop) of all spans of all texts."""
+    """(h1, h2, doc_id, run) of all spans of all texts; see ``_LENGTH`` for run."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            rows: list[tuple[int, int, int, int]] = []
+            rows: list[tuple[int, int, int]] = []
             for doc_id, text in zip(batch["doc_id"], batch["text"], strict=True):
-                rows.extend((h, doc_id, i, j) for i, j, h in spans(text))
+                seen: set[int] = set()
+                for i, j, h in spans(text):
+                    length = min(j - i, (1 << _LENGTH) - 1)
+                    rows.append((h, doc_id, ((i << _LENGTH) | length) << 1 | (h in seen)))
+                    seen.add(h)
                 if len(rows) > 50_000:
                     yield _frame(rows)
                     rows = []
@@ -72,15 +78,14 @@ def occurrences(docs: DataFrame) -> DataFrame:
     return rows.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInPandas(run, _OCCURRENCES)
 
 
-def _frame(rows: list[tuple[int, int, int, int]]) -> pd.DataFrame:
+def _frame(rows: list[tuple[int, int, int]]) -> pd.DataFrame:
     low = (1 << 64) - 1
     return pd.DataFrame(
         {
             "h1": np.array([h >> 64 for h, *_ in rows], np.uint64).view(np.int64),
             "h2": np.array([h & low for h, *_ in rows], np.uint64).view(np.int64),
             "doc_id": np.array([r[1] for r in rows], np.int64),
-            "place": np.array([r[2] for r in rows], np.int32),
-            "stop": np.array([r[3] for r in rows], np.int32),
+            "run": np.array([r[2] for r in rows], np.int64),
         }
     )
 
@@ -88,15 +93,17 @@ def _frame(rows: list[tuple[int, int, int, int]]) -> pd.DataFrame:
 def repeats(docs: DataFrame) -> DataFrame:
     """(doc_id, places): the sentences to remove of each document that has any."""
     found = occurrences(docs)
-    first = found.groupBy("h1", "h2").agg(
-        F.min(F.struct("doc_id", "place")).alias("first"), F.max(F.struct("doc_id", "place")).alias("last")
-    )
-    again = first.where(F.col("first") != F.col("last")).select("h1", "h2", "first")
-    later = found.join(again, ["h1", "h2"]).where(F.struct("doc_id", "place") != F.col("first"))
-    places = later.groupBy("doc_id").agg(F.collect_set(F.struct("place", "stop")).alias("runs"))
-    covered = F.array_distinct(
-        F.flatten(F.transform("runs", lambda r: F.sequence(r["place"], r["stop"] - F.lit(1))))
-    )
+    first = found.groupBy("h1", "h2").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("n"))
+    # cut here, so that the join has two plain exchanges and the adaptive plan can split a frequent span
+    again = checkpointed(first.where("n > 1").select("h1", "h2", "first"))
+    later = found.join(again, ["h1", "h2"]).where((F.col("doc_id") > F.col("first")) | (F.col("run") % 2 == 1))
+    places = later.groupBy("doc_id").agg(F.collect_set(F.shiftright("run", 1)).alias("runs"))
+
+    def sentences_of(r):
+        start = F.shiftright(r, _LENGTH)
+        return F.sequence(start, start + r.bitwiseAND(F.lit((1 << _LENGTH) - 1)) - 1)
+
+    covered = F.array_distinct(F.flatten(F.transform("runs", sentences_of)))
     return places.select("doc_id", covered.alias("places"))
 
 
