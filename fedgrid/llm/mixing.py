@@ -10,9 +10,10 @@ fitted so that the expected tokens of each domain, sum of tokens * rate * poster
 with a_c the share reached, w_c the target share, s_c the share at rate 1 and t_d / T a document's share of
 all tokens. It is solved by projected gradients in the inner product weighted by t_d / T. There the gradient
 of document d is p_d . (a - w) / s + ridge (r_d - 1), so all documents of one posterior keep one rate, and
-the Hessian's norm is 1 + ridge, which gives the step. Each round is one aggregate over the distinct feature
+the Hessian's norm is 1 + ridge, which gives the step; momentum speeds it up. Each round is one aggregate over the distinct feature
 cells, of which there are at most the product of the buckets whatever the corpus: the documents are added up
-per cell once, before anything moves, and no key can be hot. A round's result is one number per domain.
+per cell once, before anything moves, and no key can be hot. A round's result is one number per domain, and the
+fitted rates go back to the documents as a broadcast table of the cells (MAX_CELLS rows at most).
 
 Defined results: a null text has no tokens and the features of the empty text; labels of other values than
 0 and 1 are ignored; a document labelled twice counts with each label; without any label the posteriors are
@@ -133,9 +134,22 @@ def train(documents: DataFrame, labels: DataFrame, bound: int = MAX_LABELLED) ->
     return Classifier(words, priors, logs)
 
 
-def with_posteriors(docs: DataFrame, model: Classifier, text: str = "text") -> DataFrame:
-    """``docs`` with columns __tokens and __p_<domain>."""
-    out = features(docs, text, model.words)
+_RADIX = [math.prod(_SIZES[:k]) for k in range(N_FEATURES)]
+#: The most feature cells there can be, and so the most rows of the broadcast table of rates.
+MAX_CELLS = math.prod(_SIZES)
+
+
+def with_cells(docs: DataFrame, model: Classifier, text: str = "text") -> DataFrame:
+    """``docs`` with columns __tokens and __cell, one number for all bucket codes."""
+    names = [f"__f{k}" for k in range(N_FEATURES)]
+    cell = sum((F.col(n) * r for n, r in zip(names, _RADIX, strict=True)), F.lit(0))
+    return features(docs, text, model.words).withColumn("__cell", cell).drop(*names)
+
+
+def posteriors(cells: DataFrame, model: Classifier) -> DataFrame:
+    """``cells`` with columns __p_<domain>, from __cell."""
+    codes = [F.floor(F.col("__cell") / r).cast("int") % size for r, size in zip(_RADIX, _SIZES, strict=True)]
+    out = cells.withColumns({f"__f{k}": c for k, c in enumerate(codes)})
     for c, domain in enumerate(DOMAINS):
         logs = F.lit(model.priors[c])
         for k in range(N_FEATURES):
@@ -144,17 +158,28 @@ def with_posteriors(docs: DataFrame, model: Classifier, text: str = "text") -> D
     top = F.greatest(*[F.col(f"__l_{d}") for d in DOMAINS])
     total = sum((F.exp(F.col(f"__l_{d}") - top) for d in DOMAINS), F.lit(0.0))
     out = out.withColumns({f"__p_{d}": F.exp(F.col(f"__l_{d}") - top) / total for d in DOMAINS})
-    return out.drop(*[f"__l_{d}" for d in DOMAINS], *[f"__f{k}" for k in range(N_FEATURES)])
+    return out.select(*cells.columns, *[f"__p_{d}" for d in DOMAINS])
+
 
+def rate_of(history: list[list[float]], ridge: float, point: str = "rate") -> Column:
+    """The rate after the gradient rounds in ``history``, from rate 1.
 
-def rate_of(history: list[list[float]], ridge: float) -> Column:
-    """The rate after the gradient rounds in ``history`` (one coefficient per domain each), from rate 1."""
+    A round is one coefficient per domain and its momentum. ``point='ahead'`` gives the extrapolated point at
+    which the next gradient is taken.
+    """
     step = 1.0 / (1.0 + ridge)
-    rate = F.lit(1.0)
-    for g in history:
-        slope = sum((F.col(f"__p_{d}") * v for d, v in zip(DOMAINS, g, strict=True)), F.lit(-ridge))
-        rate = F.greatest(F.lit(0.0), rate * (1.0 - step * ridge) - slope * step)
-    return rate
+    start = F.struct(F.lit(1.0).alias("rate"), F.lit(1.0).alias("ahead"))
+    if not history:
+        return start[point]
+
+    def turn(state: Column, g: Column) -> Column:
+        slope = sum((F.col(f"__p_{d}") * F.get(g, F.lit(c)) for c, d in enumerate(DOMAINS)), F.lit(-ridge))
+        rate = F.greatest(F.lit(0.0), state["ahead"] * (1.0 - step * ridge) - slope * step)
+        ahead = rate + F.get(g, F.lit(len(DOMAINS))) * (rate - state["rate"])
+        return F.struct(rate.alias("rate"), ahead.alias("ahead"))
+
+    rounds = F.array(*[F.array(*map(F.lit, map(float, g))) for g in history])
+    return F.aggregate(rounds, start, turn)[point]
 
 
 def fit_rates(
@@ -166,21 +191,24 @@ def fit_rates(
     total = sum(targets.values())
     wanted = [targets[d] / total for d in DOMAINS]
 
-    def reached(history: list[list[float]]) -> list[float] | None:
-        rate = rate_of(history, ridge)
-        got = cells.agg(F.sum("t").alias("all"), *[F.sum(F.col("t") * rate * F.col(n)).alias(n) for n in names]).first()
-        return [got[n] / got["all"] for n in names] if got["all"] else None
+    def reached(history: list[list[float]]) -> dict[str, list[float]] | None:
+        sums = []
+        for point in ("rate", "ahead"):
+            rate = rate_of(history, ridge, point)
+            sums += [F.sum(F.col("t") * rate * F.col(n)).alias(point + n) for n in names]
+        got = cells.agg(F.sum("t").alias("all"), *sums).first()
+        return {p: [got[p + n] / got["all"] for n in names] for p in ("rate", "ahead")} if got["all"] else None
 
-    start = reached([])
-    if start is None:
+    now = reached([])
+    if now is None:
         return []
-    scale = [max(s, 1e-9) for s in start]
+    scale = [max(s, 1e-9) for s in now["rate"]]
     history: list[list[float]] = []
-    now = start
-    for _ in range(rounds):
-        history.append([(a - w) / s for a, w, s in zip(now, wanted, scale, strict=True)])
+    for k in range(1, rounds + 1):
+        slope = [(a - w) / s for a, w, s in zip(now["ahead"], wanted, scale, strict=True)]
+        history.append([*slope, (k - 1.0) / (k + 2.0)])
         now = reached(history)
-        if max(abs(a - w) for a, w in zip(now, wanted, strict=True)) < tolerance:
+        if max(abs(a - w) for a, w in zip(now["rate"], wanted, strict=True)) < tolerance:
             break
     return history
 
@@ -197,11 +225,14 @@ def mix(
     With ``text_free`` the result goes without the texts, and these are read once instead of twice.
     """
     model = train(docs, labels)
-    members = with_posteriors(docs, model)
+    members = with_cells(docs, model)
     if text_free:
         members = checkpointed(members.drop("text"))
-    history = fit_rates(members, targets or TARGETS, ridge)
-    out = members.withColumn("__rate", rate_of(history, ridge))
+    cells = members.groupBy("__cell").agg(F.sum("__tokens").alias("__tokens")).coalesce(8)
+    cells = checkpointed(posteriors(cells, model))
+    history = fit_rates(cells, targets or TARGETS, ridge)
+    rates = checkpointed(cells.withColumn("__rate", rate_of(history, ridge)).drop("__tokens"))
+    out = members.join(F.broadcast(rates), "__cell")  # MAX_CELLS rows at most, and every document has its cell
     kept = [c for c in members.columns if c in docs.columns and c not in {"tokens", "rate", *(f"p_{d}" for d in DOMAINS)}]
     return out.select(
         *kept,
@@ -217,5 +248,10 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents with their fitted rate, at which a trainer is to draw them; rate 0 leaves the mix."""
-    return mix(docs, table(spark, sf_dir, "labels")).where(F.col("rate") > 0)
+    """All documents with their fitted rate and, as ``copies``, how often the mix takes each.
+
+    copies is the rate rounded up or down by a hash of doc_id and text, so that it is the rate on average.
+    """
+    mixed = mix(docs, table(spark, sf_dir, "labels"))
+    u = F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 30)) / float(1 << 30)
+    return mixed.withColumn("copies", F.floor(F.col("rate") + u).cast("bigint"))
