@@ -32,4 +32,8 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_chat_format": chat_format.SQL, "op7_line_dedup": line_dedup.SQL}
+    return {
+        "op4_chat_format": chat_format.SQL,
+        "op7_line_dedup": line_dedup.SQL,
+        "op9_jaccard_join": jaccard_join.SQL,
+    }
