@@ -22,7 +22,8 @@ def scale(c: Column | str, low: float, high: float, target: tuple[float, float]
     if high <= low:
         return F.when(_col(c).isNotNull(), F.lit((lo + hi) / 2))
     x = F.least(F.greatest(_col(c).cast("double"), F.lit(float(low))), F.lit(float(high)))
-    return F.lit(lo) + (x - F.lit(float(low))) * F.lit((hi - lo) / (high - low))
+    scaled = F.lit(lo) + (x - F.lit(float(low))) * F.lit((hi - lo) / (high - low))
+    return F.when(_col(c).isNotNull(), scaled)  # least and greatest would skip a null
 
 
 def scale_to_range(
