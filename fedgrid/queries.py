@@ -676,14 +676,18 @@ def _(spark, sf):
 
 
 @query("asof_last_event", """
-SELECT o_orderkey, max(ts) AS ts FROM orders LEFT JOIN events ON user_id = o_custkey AND ts <= o_orderdate GROUP BY o_orderkey""")
+SELECT p.event_id, max(e.ts) AS last_ts, count(e.ts) AS earlier FROM events p LEFT JOIN events e
+ON e.user_id = p.user_id AND e.ts < p.ts AND e.value > 100 WHERE p.value <= 100 GROUP BY p.event_id""")
 def _(spark, sf):
-    """The user's last event up to each order: one union and one window, no range join."""
-    o = load(spark, sf, "orders").select(F.col("o_custkey").alias("u"), F.col("o_orderdate").alias("t"), "o_orderkey", F.lit(None).cast("timestamp_ntz").alias("ts"))
-    e = load(spark, sf, "events").select(F.col("user_id").alias("u"), F.col("ts").alias("t"), F.lit(None).cast("bigint").alias("o_orderkey"), "ts")
-    w = Window.partitionBy("u").orderBy("t", F.col("o_orderkey").asc_nulls_first()).rowsBetween(Window.unboundedPreceding, 0)
-    both = o.unionByName(e).withColumn("ts", F.last("ts", ignorenulls=True).over(w))
-    return both.where(F.col("o_orderkey").isNotNull()).select("o_orderkey", "ts")
+    """The user's last large event before each small one: one window over both, no range join."""
+    large = F.col("value") > 100
+    w = Window.partitionBy("user_id").orderBy("ts").rangeBetween(Window.unboundedPreceding, Window.currentRow)
+    e = load(spark, sf, "events").select("event_id", "user_id", "ts", "value")
+    # rows of one time see each other in a range frame, so large events count from the next microsecond on
+    shifted = e.where(large).select(F.lit(None).cast("bigint").alias("event_id"), "user_id", (F.col("ts") + F.expr("INTERVAL 0.000001 SECOND")).alias("ts"), F.col("ts").alias("large_ts"))
+    both = e.where(~large).select("event_id", "user_id", "ts", F.lit(None).cast("timestamp_ntz").alias("large_ts")).unionByName(shifted)
+    out = both.withColumns({"last_ts": F.max("large_ts").over(w), "earlier": F.count("large_ts").over(w)})
+    return out.where(F.col("event_id").isNotNull()).select("event_id", "last_ts", "earlier")
 
 
 @query("trip_pairs", """
@@ -696,6 +700,91 @@ def _(spark, sf):
     return e.select("event_id", "user_id", F.round("value", 4).alias("value"), gap.alias("gap"))
 
 
+# ---- surrounding operators ---------------------------------------------------------------------------
+
+
+@query("rollup_cluster_sizes", f"""
+WITH {LABELS}, l AS (SELECT 1 AS party, a1 AS a FROM labels UNION ALL SELECT 2, a2 FROM labels UNION ALL SELECT 3, a3 FROM labels)
+SELECT coalesce(party, -1) AS party, coalesce(a, -1) AS a, count(*) AS n FROM l GROUP BY ROLLUP (party, a)""")
+def _(spark, sf):
+    rolled = long_labels(spark, sf).rollup("party", "a").agg(F.count(F.lit(1)).alias("n"))
+    return rolled.select(F.coalesce("party", F.lit(-1)).alias("party"), F.coalesce("a", F.lit(-1)).alias("a"), "n")
+
+
+@query("pivot_contingency", f"""
+WITH {LABELS} SELECT a1, count(*) FILTER (a3 = 0) AS few, count(*) FILTER (a3 = 1) AS some, count(*) FILTER (a3 = 2) AS many FROM labels GROUP BY a1""")
+def _(spark, sf):
+    wide = labels(spark, sf).groupBy("a1").pivot("a3", [0, 1, 2]).count().fillna(0)
+    return wide.select("a1", F.col("0").alias("few"), F.col("1").alias("some"), F.col("2").alias("many"))
+
+
+@query("top_cells_per_party", f"""
+WITH {LABELS}, c AS (SELECT a1, a2, count(*) AS w FROM labels GROUP BY a1, a2)
+SELECT a1, a2, w FROM (SELECT *, row_number() OVER (PARTITION BY a1 ORDER BY w DESC, a2) AS k FROM c) WHERE k <= 2""")
+def _(spark, sf):
+    c = labels(spark, sf).groupBy("a1", "a2").agg(F.count(F.lit(1)).alias("w"))
+    k = F.row_number().over(Window.partitionBy("a1").orderBy(F.col("w").desc(), "a2"))
+    return c.withColumn("k", k).where("k <= 2").drop("k")
+
+
+@query("set_algebra_intersect", f"WITH {LABELS} SELECT id FROM labels WHERE a1 = 0 INTERSECT SELECT id FROM labels WHERE a2 = 1")
+def _(spark, sf):
+    df = labels(spark, sf)
+    return df.where("a1 = 0").select("id").intersect(df.where("a2 = 1").select("id"))
+
+
+@query("set_algebra_complement", f"WITH {LABELS} SELECT id FROM labels EXCEPT (SELECT id FROM labels WHERE a1 <> 0 UNION SELECT id FROM labels WHERE a2 <> 1)")
+def _(spark, sf):
+    """The same cell as all users but the union of the complements."""
+    df = labels(spark, sf)
+    away = df.where("a1 <> 0").select("id").union(df.where("a2 <> 1").select("id"))
+    return df.select("id").exceptAll(away.distinct())
+
+
+@query("histogram_band_join", """
+WITH b AS (SELECT unnest(range(11)) AS k)
+SELECT k AS bucket, count(c_custkey) AS n FROM b LEFT JOIN customer ON c_acctbal >= -1000 + k * 1000 AND c_acctbal < k * 1000 GROUP BY k""")
+def _(spark, sf):
+    """Public range buckets: the band is an equi-join on the bucket number, so nothing is compared pairwise."""
+    n = load(spark, sf, "customer").groupBy(F.floor((F.col("c_acctbal") + 1000) / 1000).alias("bucket")).agg(F.count(F.lit(1)).alias("n"))
+    return spark.range(11).withColumnRenamed("id", "bucket").join(n, "bucket", "left").select("bucket", F.coalesce("n", F.lit(0)).alias("n"))
+
+
+@query("quantile_bins", """
+SELECT tile, count(*) AS n, round(min(o_totalprice), 2) AS lo, round(max(o_totalprice), 2) AS hi
+FROM (SELECT o_totalprice, ntile(8) OVER (ORDER BY o_totalprice, o_orderkey) AS tile FROM orders) GROUP BY tile""")
+def _(spark, sf):
+    """Equal-count bins by ranks; the window is global and for reports on small tables only."""
+    tile = F.ntile(8).over(Window.orderBy("o_totalprice", "o_orderkey"))
+    return load(spark, sf, "orders").withColumn("tile", tile).groupBy("tile").agg(
+        F.count(F.lit(1)).alias("n"), F.round(F.min("o_totalprice"), 2).alias("lo"), F.round(F.max("o_totalprice"), 2).alias("hi"))
+
+
+@query("events_within_hours", """
+SELECT p.event_id, count(e.event_id) AS n FROM events p JOIN events e
+ON e.user_id = p.user_id AND e.ts > p.ts AND e.ts <= p.ts + INTERVAL 6 HOUR GROUP BY p.event_id""")
+def _(spark, sf):
+    """Interval join by user and 6-hour bucket: each event goes to two buckets, and the exact range is checked after."""
+    size = 6 * 3_600
+    e = load(spark, sf, "events").select("event_id", "user_id", "ts")
+    bucket = F.floor(F.unix_timestamp(F.col("ts").cast("timestamp")) / size)
+    left = e.select(F.col("event_id").alias("first"), "user_id", F.col("ts").alias("t"), F.explode(F.array(bucket, bucket + 1)).alias("b"))
+    right = e.withColumn("b", bucket)
+    near = (F.col("ts") > F.col("t")) & (F.col("ts") <= F.col("t") + F.expr("INTERVAL 6 HOURS"))
+    return left.join(right, ["user_id", "b"]).where(near).groupBy(F.col("first").alias("event_id")).agg(F.count("event_id").alias("n")).select("event_id", "n")
+
+
+@query("theta_intersection_check")
+def _(spark, sf):
+    """Built-in set sketches as a non-private cross-check of one intersection: estimate beside the exact count."""
+    df = labels(spark, sf)
+    a = df.where("a1 = 0").agg(F.expr("theta_sketch_agg(id)").alias("s"))
+    b = df.where("a2 = 1").agg(F.expr("theta_sketch_agg(id)").alias("t"))
+    exact = df.agg(F.count_if((F.col("a1") == 0) & (F.col("a2") == 1)).alias("exact"))
+    both = a.join(F.broadcast(b)).join(F.broadcast(exact))
+    return both.select(F.expr("theta_sketch_estimate(theta_intersection(s, t))").alias("estimate"), "exact")
+
+
 # ---- whole runs --------------------------------------------------------------------------------------
 
 
