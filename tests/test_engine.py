@@ -481,3 +481,27 @@ def test_plans(spark, sf):
     assert "c_mktsegment" not in text.split("ReadSchema")[1][:200]  # a party reads its own columns
     top = plan(__import__("fedgrid.sources.tables", fromlist=["x"]).first_records(raw, ["id"], 5))
     assert "TakeOrderedAndProject" in top
+
+
+def test_grid_frames_match_the_tensors(spark):
+    from fedgrid.operators import grid_frames as G
+
+    _, (sk, n, e2, d2, g), _ = estimates(4.0, 3, 2, n=2000, k=3, repeats=64)
+    ghosts = sum(s.shape[1] - 1 for s in sk) * phantoms(sketch_epsilon(e2, d2, 64))
+
+    def tensor(df):
+        out = np.zeros((3, 3, 3))
+        for r in df.collect():
+            out[r.a0, r.a1, r.a2] = r.w
+        return out
+
+    raw = weights.complement_union(sk, n, e2, d2, g, how="none")
+    frame = G.complement_union_frame(spark, sk, n, ghosts, g)
+    assert np.allclose(tensor(frame), raw)
+    assert np.allclose(tensor(G.simplex_frame(frame, n)), weights.consistent(raw, n), atol=1e-6)
+    sizes = [np.array([900.0, 700.0, 400.0])] * 3
+    start = G.product_frame(spark, sizes, n)
+    assert np.allclose(tensor(start), weights.product_grid(sizes, n))
+    tables = {(a, b): weights.complement_union([sk[a], sk[b]], n, e2, d2, g) for a, b in ((0, 1), (0, 2), (1, 2))}
+    by_hand = weights.refine(weights.product_grid(sizes, n), tables, n, np.random.default_rng(0), rounds=6, finalize="none", tol=0)
+    assert np.allclose(tensor(G.refine_frame(start, tables, 6)), by_hand)
