@@ -141,7 +141,7 @@ def x8_costs(spark, sf_dir, k_locals=(5, 8), repeats=(2048, 4096), parties=(2, 4
                     began = time.perf_counter()
                     got = fit(views, 5, 1.0, method=method, k_local=kk, params=params(m, 0), delta=1 / 20_000)
                     kind = {"pairwise": "sketch", "reports_refined": "reports", "nonprivate": "exact"}.get(method, method)
-                    sent = bytes_per_party(kind, kk, 8 // 2, 20_000, m)
+                    sent = bytes_per_party(kind, kk, 8 // s, 20_000, m)
                     rows.append((kk, m, s, method, sent, got.grid_seconds, time.perf_counter() - began))
     return spark.createDataFrame(rows, "k_local int, repeats int, parties int, method string, bytes bigint, grid_seconds double, seconds double")
 
