@@ -19,8 +19,8 @@ From segments to links, without listing the pairs of a group:
    compared with the members of other components. All pairs that share a segment are then linked, or
    compared, or already in one component, so the components are exact.
 
-Comparison intersects whole shingle arrays, of the pairs whose counts of shingles in 64 buckets of the universe
-differ by no more than similar sets can (a bound that loses no pair, and is tested inside the join of step 4). Components come from alternating large-star and small-star
+Comparison intersects whole shingle arrays, of the pairs whose parity maps (1024 bits) differ by no more than similar
+sets can (a bound that loses no pair, and is tested inside the join of step 4). Components come from alternating large-star and small-star
 rounds over edges, cut by checkpoints. Nothing but counts reaches the driver; ids are broadcast only when
 counted within BROADCAST_IDS, beyond it these joins shuffle.
 
@@ -31,6 +31,7 @@ has a null component; an empty table gives no rows; further columns are kept by
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable, Iterator
 from functools import lru_cache
 
@@ -165,13 +166,23 @@ class Bands:
         return (top + top * 100 // self.percent) * (100 - self.percent) // (100 + self.percent)
 
 
-def designated(segments: int) -> int:
-    """Of a band's segments the first so many are indexed one deletion wide too."""
-    return min(segments, 1 + segments // 24)
+def designated(segments: int, percent: int) -> int:
+    """Of a band's segments the first so many can be searched one deletion wide.
+
+    As many as there are segments under two shingles, by the mean number a segment holds, and a margin.
+    """
+    mean = 0.9 * (100 + percent) / (2 * (100 - percent))
+    poor = math.exp(-mean) * (1 + mean)
+    return min(segments, 2 + math.ceil(1.25 * poor * segments))
 
 
 def signatures(shingles: np.ndarray, bands: Bands) -> tuple[np.ndarray, np.ndarray]:
-    """Keys of a set and whether each is probed with; keys that are not are there to be found only."""
+    """Keys of a set and whether each is probed with; keys that are not are there to be found only.
+
+    Keys live in two spaces. In the first a segment as it is meets segments as they are, and the deletions of a
+    wide probe; in the second the deletions of the index meet the segments of wide probes. So two deletions of
+    one segment don't meet, but for those of two wide probes.
+    """
     band = bands.of(len(shingles))
     keys, probes = [], []
     mixed = _mix(shingles ^ _U(0x5851F42D4C957F2D))
@@ -186,22 +197,22 @@ def signatures(shingles: np.ndarray, bands: Bands) -> tuple[np.ndarray, np.ndarr
         count = np.diff(cuts)
         own = sums[cuts[1:]] - sums[cuts[:-1]]
         salt = _mix(np.arange(m, dtype=np.uint64) + _U(scheme * 1_000_003 + 1))
-        wide = np.arange(designated(m))
+        wide = np.arange(designated(m, bands.percent))
         able = wide[count[wide] >= 3]
-        order = np.argsort(count, kind="stable")
-        skipped = order[: int((count < 2).sum())]
-        skipped = skipped[~np.isin(skipped, able)][: len(able)]
+        skipped = np.argsort(count, kind="stable")[: int((count < 2).sum())][: len(able)]
         paying = able[np.argsort(-count[able], kind="stable")][: len(skipped)]
         probe = np.ones(m, bool)
         probe[skipped] = False
         index = scheme == band
         shown = np.ones(m, bool) if index else probe
-        keys.append(_mix(own + salt)[shown])
-        probes.append(probe[shown])
-        for j in wide if index else paying:
-            less = own[j] - mixed[cuts[j] : cuts[j + 1]]
-            keys.append(_mix(less + salt[j]))
-            probes.append(np.full(len(less), j in paying))
+        keys += [_mix(own + salt)[shown], _mix(own[paying] + ~salt[paying])]
+        probes += [probe[shown], np.ones(len(paying), bool)]
+        for j in paying:
+            keys.append(_mix(own[j] - mixed[cuts[j] : cuts[j + 1]] + salt[j]))
+            probes.append(np.ones(count[j], bool))
+        for j in wide[count[wide] >= 4] if index else ():  # a wide probe holds three shingles at least
+            keys.append(_mix(own[j] - mixed[cuts[j] : cuts[j + 1]] + ~salt[j]))
+            probes.append(np.zeros(count[j], bool))
     if not keys:
         return np.zeros(0, np.uint64), np.zeros(0, bool)
     return np.concatenate(keys), np.concatenate(probes)
@@ -222,24 +233,25 @@ def _mapped(docs: DataFrame, schema: str, width: int, make: Callable, chunk: int
     return docs.select("doc_id", "text").mapInArrow(run, schema)
 
 
-#: Buckets of the hash universe that a set's shingles are counted in; a count stops at 127.
-BUCKETS = 64
+#: 64-bit words of a set's parity map: one bit for each of 1024 buckets of the hash universe, set where the
+#: set has an odd number of shingles in the bucket.
+PARITY_WORDS = 16
 
 
 def set_prints(docs: DataFrame, width: int) -> DataFrame:
-    """(doc_id, n, a, b, counts): size, 128-bit hash and bucket counts of each row's set."""
+    """(doc_id, n, a, b, parity): size, 128-bit hash and parity map of each row's set."""
 
     def make(ids: pa.Array, sets: list[np.ndarray]) -> list[pa.Array]:
         a = np.array([s.sum(dtype=np.uint64) for s in sets], np.uint64)
         b = np.array([_mix(s ^ _U(0x2545F4914F6CDD1D)).sum(dtype=np.uint64) for s in sets], np.uint64)
-        counts = [np.bincount((s >> _U(58)).astype(np.int64), minlength=BUCKETS).clip(max=127) for s in sets]
-        flat = pa.array(np.concatenate(counts).astype(np.int8))
-        offsets = pa.array(np.arange(0, BUCKETS * len(sets) + 1, BUCKETS, dtype=np.int32))
+        odd = [np.bincount((s >> _U(54)).astype(np.int64), minlength=64 * PARITY_WORDS).astype(np.uint8) & 1 for s in sets]
+        flat = pa.array(np.packbits(np.concatenate(odd)).view(np.int64))
+        offsets = pa.array(np.arange(0, PARITY_WORDS * len(sets) + 1, PARITY_WORDS, dtype=np.int32))
         sizes = pa.array([len(s) for s in sets], pa.int64())
         parts = [ids, sizes, pa.array(a.view(np.int64)), pa.array(b.view(np.int64))]
         return [*parts, pa.ListArray.from_arrays(offsets, flat)]
 
-    return _mapped(docs, "doc_id bigint, n bigint, a bigint, b bigint, counts array<tinyint>", width, make)
+    return _mapped(docs, "doc_id bigint, n bigint, a bigint, b bigint, parity array<bigint>", width, make)
 
 
 def _signature_rows(docs: DataFrame, width: int, percent: int) -> DataFrame:
@@ -277,17 +289,16 @@ def _alike(percent: int, i: Column, x: Column, y: Column) -> Column:
     return 100 * i >= percent * (x + y - i)
 
 
-def _within(percent: int, x: str, y: str, cx: str, cy: str) -> Column:
-    """A bound that no similar pair breaks: bucket counts differ by no more than the sets do."""
-    gaps = F.zip_with(cx, cy, lambda p, q: F.abs(p.cast("int") - q.cast("int")))
-    total = F.aggregate(gaps, F.lit(0), lambda s, v: s + v)
-    return total * (100 + percent) <= (F.col(x) + F.col(y)) * (100 - percent)
+def _within(percent: int, x: str, y: str, px: str, py: str) -> Column:
+    """A bound that no similar pair breaks: parity maps differ in no more bits than the sets do in shingles."""
+    words = [F.bit_count(F.get(px, F.lit(i)).bitwiseXOR(F.get(py, F.lit(i)))) for i in range(PARITY_WORDS)]
+    return sum(words[1:], words[0]) * (100 + percent) <= (F.col(x) + F.col(y)) * (100 - percent)
 
 
-def verified(docs: DataFrame, pairs: DataFrame, counts: DataFrame, width: int, percent: int) -> DataFrame:
+def verified(docs: DataFrame, pairs: DataFrame, maps: DataFrame, width: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose sets are similar; intersects the whole sets of those within the bound."""
-    ca, cb = counts.toDF("a", "na", "ca"), counts.toDF("b", "nb", "cb")
-    pairs = pairs.join(ca, "a").join(cb, "b").where(_within(percent, "na", "nb", "ca", "cb"))
+    ma, mb = maps.toDF("a", "na", "ma"), maps.toDF("b", "nb", "mb")
+    pairs = pairs.join(ma, "a").join(mb, "b").where(_within(percent, "na", "nb", "ma", "mb"))
     pairs = checkpointed(pairs.select("a", "b").distinct())
     ids = checkpointed(pairs.select(F.explode(F.array("a", "b")).alias("doc")).distinct())
     arrays = _arrays(_only(docs, ids, "left_semi"), width)
@@ -332,8 +343,8 @@ def components(edges: DataFrame) -> DataFrame:
 def links(docs: DataFrame, width: int, percent: int, prints: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(classes, components): each doc_id's class, and the component of each class that has links."""
     known = prints.where(F.col("doc_id").isNotNull() & (F.col("n") > 0))
-    counts = known.select(F.col("doc_id").alias("doc"), F.col("n").cast("int").alias("n"), "counts")
-    known = known.drop("counts")
+    maps = known.select(F.col("doc_id").alias("doc"), F.col("n").cast("int").alias("n"), "parity")
+    known = known.drop("parity")
     classes = known.groupBy("a", "b").agg(F.min("doc_id").alias("class"))
     classes = checkpointed(known.join(classes, ["a", "b"]).select("doc_id", "class").distinct())
     alone = docs.where(F.col("doc_id").isNotNull())
@@ -366,25 +377,25 @@ def links(docs: DataFrame, width: int, percent: int, prints: DataFrame) -> tuple
     # one document of two classes (rows that share a doc_id) joins them
     joined = classes.where("doc_id <> class").groupBy("doc_id").agg(F.min("class").alias("a"), F.max("class").alias("b"))
     joined = joined.where("a <> b").select("a", "b")
-    first = checkpointed(verified(alone, star, counts, width, percent).unionByName(joined))
+    first = checkpointed(verified(alone, star, maps, width, percent).unionByName(joined))
 
     found = components(first).withColumnRenamed("node", "doc")
     placed = groups.join(found, "doc", "left").withColumn("c", F.coalesce("component", "doc"))
     key = ["name", "size", "p"]
     open_ = placed.groupBy(*key).agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high")
     open_ = placed.join(open_.select(*key), key).select(*key, "doc", "c")
-    open_ = checkpointed(open_.join(counts, "doc"))
+    open_ = checkpointed(open_.join(maps, "doc"))
     main = open_.where("doc = p").select(*key, F.col("c").alias("main")).distinct()
     minor = open_.join(main, key).where("c <> main")
-    minor = minor.toDF(*key, *[f"{c}1" for c in ("doc", "c", "n", "counts")], "main")
+    minor = minor.toDF(*key, *[f"{c}1" for c in ("doc", "c", "n", "parity")], "main")
     other = (F.col("c") == F.col("main")) | (F.col("doc1") < F.col("doc"))
     cross = minor.join(open_, key).where((F.col("c") != F.col("c1")) & near("n", "n1") & other)
-    cross = cross.where(_within(percent, "n", "n1", "counts", "counts1"))
+    cross = cross.where(_within(percent, "n", "n1", "parity", "parity1"))
     cross = cross.select(F.least("doc1", "doc").alias("a"), F.greatest("doc1", "doc").alias("b")).distinct()
     cross = checkpointed(cross.join(star, ["a", "b"], "left_anti"))
     if cross.isEmpty():
         return classes, found.withColumnRenamed("doc", "node")
-    second = verified(alone, cross, counts, width, percent)
+    second = verified(alone, cross, maps, width, percent)
     return classes, components(first.unionByName(second))
 
 
