@@ -17,6 +17,7 @@ one by one; an empty table gives no rows; further columns are ignored (the stage
 from __future__ import annotations
 
 import re
+import uuid
 from dataclasses import dataclass
 from functools import lru_cache
 
@@ -111,7 +112,19 @@ class Lattice:
         return alpha
 
     def totals(self, probs: np.ndarray) -> np.ndarray:
-        return self.forward(probs)[self.lengths, np.arange(self.n)]
+        """Each word's sum over all segmentations; probs: pieces by languages, and so is the result."""
+        word, start, stop, piece = self.edges
+        alpha = np.zeros((int(self.lengths.max(initial=0)) + 1, self.n, probs.shape[1]))
+        alpha[0] = 1.0
+        cuts = np.searchsorted(stop, np.arange(len(alpha) + 1))
+        weight = probs[piece]
+        for j in range(1, len(alpha)):
+            part = slice(cuts[j], cuts[j + 1])
+            own = word[part]  # in order, as edges are made word by word
+            if len(own):
+                first = np.flatnonzero(np.diff(own, prepend=-1))
+                alpha[j, own[first]] = np.add.reduceat(weight[part] * alpha[start[part], own], first, axis=0)
+        return alpha[self.lengths, np.arange(self.n)]
 
     def expected(self, probs: np.ndarray, counts: np.ndarray) -> np.ndarray:
         """Expected uses of each piece, for words that occur ``counts`` times."""
@@ -176,36 +189,56 @@ class Scorer:
         self.model, self.known = model, {}
         self.table = np.zeros((MAX_WORDS, len(model.languages)))
 
-    def _learn(self, words: list[str]) -> None:
-        new = [w for w in dict.fromkeys(words) if w not in self.known]
+    def _learn(self, words: set[str]) -> None:
+        """Takes in the words that aren't known yet."""
+        new = list(words - self.known.keys())
         if len(self.known) + len(new) > MAX_WORDS:
             self.known.clear()
-            new = list(dict.fromkeys(words))
+            new = list(words)
         for at in range(0, len(new), 4096):
             part = new[at : at + 4096]
-            lattice = Lattice(part, self.model.pieces)
-            logs = [np.log(np.maximum(lattice.totals(p), 1e-300)) for p in self.model.probs]
+            logs = np.log(np.maximum(Lattice(part, self.model.pieces).totals(self.model.probs.T), 1e-300))
             first = len(self.known)
-            self.table[first : first + len(part)] = np.array(logs).T
+            self.table[first : first + len(part)] = logs
             self.known.update(zip(part, range(first, first + len(part)), strict=True))
 
-    def log_probabilities(self, text: str | None) -> tuple[int, np.ndarray]:
-        words, total = words_of(text), np.zeros(len(self.model.languages))
-        for at in range(0, len(words), MAX_WORDS // 2):
-            part = words[at : at + MAX_WORDS // 2]
-            known = self.known
-            try:
-                rows = [known[w] for w in part]
-            except KeyError:
-                self._learn(part)
-                rows = [self.known[w] for w in part]
-            total += self.table[rows].sum(axis=0)
-        return len(words), total
+    def _sum(self, words: list[str]) -> np.ndarray:
+        known = self.known
+        return self.table[[known[w] for w in words]].sum(axis=0)
+
+    def log_probabilities(self, texts: list[str | None]) -> list[tuple[int, np.ndarray]]:
+        """Number of words and log probability under each language, for some texts at a time."""
+        out: list[tuple[int, np.ndarray]] = []
+        waiting: list[list[str]] = []
+        size = 0
+
+        def flush() -> None:
+            self._learn(set().union(*waiting))
+            out.extend((len(words), self._sum(words)) for words in waiting)
+            waiting.clear()
+
+        for text in texts:
+            words = words_of(text)
+            if len(words) > MAX_WORDS // 2:  # a very long text, in stretches
+                flush()
+                size, total = 0, np.zeros(len(self.model.languages))
+                for at in range(0, len(words), MAX_WORDS // 2):
+                    part = words[at : at + MAX_WORDS // 2]
+                    self._learn(set(part))
+                    total += self._sum(part)
+                out.append((len(words), total))
+                continue
+            if waiting and size + len(words) > MAX_WORDS // 8:
+                flush()
+                size = 0
+            waiting.append(words)
+            size += len(words)
+        flush()
+        return out
 
     def predict(self, texts: pd.Series) -> pd.DataFrame:
         langs, scores = [], []
-        for text in texts:
-            n, logs = self.log_probabilities(text)
+        for n, logs in self.log_probabilities(texts.tolist()):
             if not n or not len(logs):
                 langs.append(UND), scores.append(0.0)
                 continue
@@ -215,7 +248,8 @@ class Scorer:
         return pd.DataFrame({"lang_pred": langs, "score": scores})
 
 
-_SCORERS: dict[int, Scorer] = {}
+#: The scorer of the model in use; a worker keeps it from task to task.
+_SCORERS: dict[str, Scorer] = {}
 
 
 def identifier(spark: SparkSession, model: Model):
@@ -223,15 +257,16 @@ def identifier(spark: SparkSession, model: Model):
 
     Its size is fixed by the vocabulary and the number of languages, not by the corpus.
     """
-    sent = spark.sparkContext.broadcast(model)
+    sent, key = spark.sparkContext.broadcast(model), uuid.uuid4().hex
 
     def predict(batches):
-        key = id(sent)
-        if key not in _SCORERS:
-            _SCORERS.clear()
-            _SCORERS[key] = Scorer(sent.value)
+        from fedgrid.llm import language_id as here  # the module's table: this function's globals go with the task
+
+        if key not in here._SCORERS:
+            here._SCORERS.clear()
+            here._SCORERS[key] = here.Scorer(sent.value)
         for texts in batches:
-            yield _SCORERS[key].predict(texts)
+            yield here._SCORERS[key].predict(texts)
 
     from collections.abc import Iterator
 
