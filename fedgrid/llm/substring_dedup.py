@@ -1,8 +1,10 @@
 """Substring dedup by sliding sentence spans.
 
-A text is cut into sentences (each with the white space behind it, so that they join to the text again).
+A text is cut into sentences (each with the white space behind it, so that they join to the text again); a
+sentence of more than MAX_SENTENCE words, as in tables or lists, is cut behind the words that a hash chooses, so
+that equal stretches of it are cut alike.
 From every sentence the shortest run of consecutive sentences is taken that has at least MIN_SENTENCES of
-them and MIN_WORDS words; its words, lower-cased, are hashed to 128 bits. Runs of equal hash anywhere in the
+them and MIN_WORDS words; its words, lower-cased, are hashed to 96 bits. Runs of equal hash anywhere in the
 corpus are one span. Of each span the first occurrence, by (doc_id, place), stays; sentences covered by any
 other occurrence are removed.
 
@@ -20,6 +22,7 @@ columns are kept by ``remove_repeats``.
 from __future__ import annotations
 
 import re
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,21 +33,38 @@ from pyspark.sql import functions as F
 
 from fedgrid.llm.common import checkpointed, table
 
-MIN_SENTENCES, MIN_WORDS = 2, 10
+MIN_SENTENCES, MIN_WORDS, MAX_SENTENCE = 2, 10, 40
 
 _SENTENCE = re.compile(r"[^.!?\n]*(?:[.!?\n]+(?:\s+|(?=[^\s.!?])|\Z)|\Z)")
-_OCCURRENCES = "h1 bigint, h2 bigint, doc_id bigint, run bigint"
+_WORD = re.compile(r"(\S+)\s*")
+_OCCURRENCES = "h1 bigint, h2 int, doc_id bigint, run bigint"
 #: A run's number: its first sentence, its length (20 bits), and whether its hash was in the text before.
 _LENGTH = 20
 
 
 def sentences(text: str) -> list[str]:
     """The sentences of a text, white space included: their concatenation is the text."""
-    return [s for s in _SENTENCE.findall(text) if s]
+    out = []
+    for s in _SENTENCE.findall(text):
+        if len(s) > 2 * MAX_SENTENCE and s.count(" ") > MAX_SENTENCE:
+            out.extend(_pieces(s))
+        elif s:
+            out.append(s)
+    return out
+
+
+def _pieces(sentence: str) -> list[str]:
+    """A long sentence cut behind about every eighth word, by the words' own hashes."""
+    out, start = [], 0
+    for m in _WORD.finditer(sentence):
+        if zlib.crc32(m[1].lower().encode("utf-8", "surrogatepass")) % 8 == 0:
+            out.append(sentence[start : m.end()])
+            start = m.end()
+    return [*out, sentence[start:]] if start < len(sentence) else out
 
 
 def spans(text: str) -> Iterator[tuple[int, int, int]]:
-    """(first sentence, sentence behind the last, 128-bit hash) of each shortest run."""
+    """(first sentence, sentence behind the last, 96-bit hash) of each shortest run."""
     words = [s.lower().split() for s in sentences(text)]
     joined = [" ".join(w).encode("utf-8", "surrogatepass") for w in words]
     counts = np.cumsum([0, *map(len, words)])
@@ -54,7 +74,7 @@ def spans(text: str) -> Iterator[tuple[int, int, int]]:
         if j > len(words):
             break
         if words[i]:
-            yield i, j, xxhash.xxh3_128_intdigest(b" ".join(joined[i:j]))
+            yield i, j, xxhash.xxh3_128_intdigest(b" ".join(joined[i:j])) >> 32
 
 
 def occurrences(docs: DataFrame) -> DataFrame:
@@ -79,11 +99,11 @@ def occurrences(docs: DataFrame) -> DataFrame:
 
 
 def _frame(rows: list[tuple[int, int, int]]) -> pd.DataFrame:
-    low = (1 << 64) - 1
+    low = (1 << 32) - 1
     return pd.DataFrame(
         {
-            "h1": np.array([h >> 64 for h, *_ in rows], np.uint64).view(np.int64),
-            "h2": np.array([h & low for h, *_ in rows], np.uint64).view(np.int64),
+            "h1": np.array([h >> 32 for h, *_ in rows], np.uint64).view(np.int64),
+            "h2": np.array([h & low for h, *_ in rows], np.uint32).view(np.int32),
             "doc_id": np.array([r[1] for r in rows], np.int64),
             "run": np.array([r[2] for r in rows], np.int64),
         }
