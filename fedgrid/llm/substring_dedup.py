@@ -1,8 +1,10 @@
 """Substring dedup by sliding sentence spans.
 
-A text is cut into sentences (each with the white space behind it, so that they join to the text again); a
-sentence of more than MAX_SENTENCE words, as in tables or lists, is cut behind the words that a hash chooses, so
-that equal stretches of it are cut alike.
+A text is cut into sentences (each with the white space behind it, so that they join to the text again). Of each
+STRETCH words in a row that hold no sentence's end, the one of least hash (the last of equal ones) is an end too.
+So a cut depends only on the STRETCH - 1 words before and behind it, not on how the sentence around it goes on:
+a passage that is repeated in mid-sentence is cut alike everywhere, but for its first and last words, and a
+passage of 48 words or more always has a run in common with its copies.
 From every sentence the shortest run of consecutive sentences is taken that has at least MIN_SENTENCES of
 them and MIN_WORDS words; its words, lower-cased, are hashed to 96 bits. Runs of equal hash anywhere in the
 corpus are one span. Of each span the first occurrence, by (doc_id, place), stays; sentences covered by any
@@ -24,6 +26,7 @@ from __future__ import annotations
 import re
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pandas as pd
@@ -33,7 +36,9 @@ from pyspark.sql import functions as F
 
 from fedgrid.llm.common import checkpointed, table
 
-MIN_SENTENCES, MIN_WORDS, MAX_SENTENCE = 2, 10, 40
+MIN_SENTENCES, MIN_WORDS = 2, 10
+#: Of so many words in a row one at least is followed by a cut.
+STRETCH = 10
 
 _SENTENCE = re.compile(r"[^.!?\n]*(?:[.!?\n]+(?:\s+|(?=[^\s.!?])|\Z)|\Z)")
 _WORD = re.compile(r"(\S+)\s*")
@@ -42,39 +47,83 @@ _OCCURRENCES = "h1 bigint, h2 int, doc_id bigint, run bigint"
 _LENGTH = 20
 
 
+class _Ranks(dict):
+    """The rank of each word, by its hash; kept for the words of earlier texts, and bounded."""
+
+    def __missing__(self, word: str) -> int:
+        if len(self) >= 200_000:
+            self.clear()
+        rank = self[word] = zlib.crc32(word.encode("utf-8", "surrogatepass"))
+        return rank
+
+
+_RANKS = _Ranks()
+#: Bits of a word's place that go along with its rank.
+_PLACE = 24
+_LAST = (1 << _PLACE) - 1
+
+
+def _cut(text: str) -> tuple[list[str], np.ndarray, list[str], np.ndarray]:
+    """Sentences by punctuation and their numbers of words, all lower-cased words, and whether a cut is behind each."""
+    parts = [s for s in _SENTENCE.findall(text) if s]
+    words = [s.lower().split() for s in parts]
+    sizes = np.fromiter(map(len, words), np.int64, len(words))
+    flat = list(chain.from_iterable(words))
+    n = len(flat)
+    cut = np.zeros(n, bool)
+    cut[np.cumsum(sizes[sizes > 0]) - 1] = True
+    if sizes.max(initial=0) > STRETCH:
+        ranks = np.array(list(map(_RANKS.__getitem__, flat)), np.int64)
+        ranks[cut] = -1
+        # the place goes along in the low bits, backwards, as the last of equal ranks is wanted
+        least = (ranks << _PLACE) | (_LAST - (np.arange(n) & _LAST))
+        wide = 1
+        while wide < STRETCH:
+            step = min(wide, STRETCH - wide)
+            least, wide = np.minimum(least[:-step], least[step:]), wide + step
+        start = np.arange(len(least))
+        # a place is known up to a multiple of 2^_PLACE, and lies within STRETCH words behind the window's start
+        cut[start + ((_LAST - (least & _LAST) - start) & _LAST)] = True
+    return parts, sizes, flat, cut
+
+
 def sentences(text: str) -> list[str]:
     """The sentences of a text, white space included: their concatenation is the text."""
-    out = []
-    for s in _SENTENCE.findall(text):
-        if len(s) > 2 * MAX_SENTENCE and s.count(" ") > MAX_SENTENCE:
-            out.extend(_pieces(s))
-        elif s:
-            out.append(s)
+    parts, sizes, _, cut = _cut(text)
+    out, at = [], 0
+    for s, n in zip(parts, sizes.tolist(), strict=True):
+        inner, at = cut[at : at + n - 1], at + n
+        start = 0
+        if n > STRETCH and inner.any():
+            for m, behind in zip(_WORD.finditer(s), inner.tolist(), strict=False):
+                if behind:
+                    out.append(s[start : m.end()])
+                    start = m.end()
+        out.append(s[start:])
     return out
 
 
-def _pieces(sentence: str) -> list[str]:
-    """A long sentence cut behind about every eighth word, by the words' own hashes."""
-    out, start = [], 0
-    for m in _WORD.finditer(sentence):
-        if zlib.crc32(m[1].lower().encode("utf-8", "surrogatepass")) % 8 == 0:
-            out.append(sentence[start : m.end()])
-            start = m.end()
-    return [*out, sentence[start:]] if start < len(sentence) else out
-
-
 def spans(text: str) -> Iterator[tuple[int, int, int]]:
     """(first sentence, sentence behind the last, 96-bit hash) of each shortest run."""
-    words = [s.lower().split() for s in sentences(text)]
-    joined = [" ".join(w).encode("utf-8", "surrogatepass") for w in words]
-    counts = np.cumsum([0, *map(len, words)])
-    stops = np.searchsorted(counts, counts[:-1] + MIN_WORDS)
-    for i, stop in enumerate(stops):
-        j = max(int(stop), i + MIN_SENTENCES)
-        if j > len(words):
-            break
-        if words[i]:
-            yield i, j, xxhash.xxh3_128_intdigest(b" ".join(joined[i:j])) >> 32
+    _, sizes, flat, cut = _cut(text)
+    ends = np.flatnonzero(cut) + 1
+    if not sizes.all():  # sentences of white space or signs alone, behind those that end at the same word
+        blank = np.cumsum(sizes)[sizes == 0]
+        ends = np.insert(ends, np.searchsorted(ends, blank, "right"), blank)
+    counts = np.concatenate([[0], ends])
+    first = np.arange(len(ends))
+    behind = np.maximum(np.searchsorted(counts, counts[:-1] + MIN_WORDS), first + MIN_SENTENCES)
+    whole = (behind <= len(ends)) & (counts[1:] > counts[:-1])
+    first, behind = first[whole], behind[whole]
+    joined = " ".join(flat)
+    data = joined.encode("utf-8", "surrogatepass")
+    if len(data) > len(joined):
+        flat = [x.encode("utf-8", "surrogatepass") for x in flat]
+    places = np.concatenate([[0], np.cumsum(np.fromiter(map(len, flat), np.int64, len(flat)) + 1)])
+    lows, highs = places[counts[first]], places[counts[behind]] - 1
+    digest = xxhash.xxh3_128_intdigest
+    for i, j, low, high in zip(first.tolist(), behind.tolist(), lows.tolist(), highs.tolist(), strict=True):
+        yield i, j, digest(data[low:high]) >> 32
 
 
 def occurrences(docs: DataFrame) -> DataFrame:
@@ -141,11 +190,13 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     """``docs`` with shortened texts and ``__n_removed``, the number of removed sentences."""
     gone = checkpointed(repeats(docs)).withColumnsRenamed({"doc_id": "__id", "places": "__places"})
     joined = docs.join(gone, F.col("doc_id") == F.col("__id"), "left")
-    hit = joined.where(F.col("__places").isNotNull() & F.col("text").isNotNull())
-    rest = joined.where(F.col("__places").isNull() | F.col("text").isNull())
-    hit = hit.withColumn("text", F.pandas_udf(_without, "string")("text", "__places")).withColumn("__n_removed", F.size("__places"))
-    rest = rest.withColumn("__n_removed", F.lit(0))
-    return hit.unionByName(rest).drop("__id", "__places")
+    # one join for all rows, so that the texts are shuffled once; only texts that lose something go to Python
+    hit = F.col("__places").isNotNull() & F.col("text").isNotNull()
+    cut = F.pandas_udf(_without, "string")(F.when(hit, F.col("text")), F.when(hit, F.col("__places")))
+    out = joined.withColumn("__hit", hit).withColumn("__cut", cut)
+    out = out.withColumn("text", F.when(F.col("__hit"), F.col("__cut")).otherwise(F.col("text")))
+    out = out.withColumn("__n_removed", F.when(F.col("__hit"), F.size("__places")).otherwise(0))
+    return out.drop("__id", "__places", "__hit", "__cut")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -338,6 +338,29 @@ def test_sentences_join_to_the_text(text):
     assert "".join(substring_dedup.sentences(text)) == text
 
 
+def test_substring_dedup_finds_passages_in_mid_sentence(spark):
+    rng = np.random.default_rng(8)
+
+    def prose(n, end=0):
+        return " ".join(f"w{rng.integers(10**6)}" + ("." if end and k % end == end - 1 else "") for k in range(n))
+
+    docs, passages = [], []
+    # sentences of 20 and of 26 to 40 words, none at all, and the same few words over and over
+    made = [prose(n, end) for n in (51, 60, 80) for end in (20, 26, 33, 40, 0)] + ["no yes " * 25 + "no"] + ["spam " * 50 + "spam"]
+    for k, passage in enumerate(made):
+        passages.append(passage.split())
+        docs += [(2 * k + side, f"{prose(30 + 7 * side)} {passage} {prose(40 - 9 * side)}") for side in (0, 1)]
+    got = {r.doc_id: r.text.split() for r in substring_dedup.remove_repeats(docs_of(spark, docs)).collect()}
+    for k, passage in enumerate(passages):
+        words = dict(docs)[2 * k + 1].split()
+        left = len(got[2 * k + 1]) - (len(words) - len(passage))
+        assert left < len(passage) / 2, (k, left)
+        own = set(words) - set(passage)
+        assert own <= set(got[2 * k + 1])  # the surroundings stay
+    unlike = "one two three. four five six. seven eight nine. ten."
+    assert list(substring_dedup.spans(unlike)) and not list(substring_dedup.spans("one two three. four five."))
+
+
 # ---- 9 n-gram Jaccard join
 
 
