@@ -2,7 +2,7 @@
 
 Domains come from the labelled table: ``toxic``, ``low`` (quality 0) and ``high``. A naive Bayes classifier
 over bucketed document features (shares of symbols and capitals, word length, and density of the words that
-tell each domain) gives every document a posterior over the domains. Rates r >= 0 for the documents are then
+tell each domain, every occurrence counted) gives every document a posterior over the domains. Rates r >= 0 for the documents are then
 fitted so that the expected tokens of each domain, sum of tokens * rate * posterior, match the targets:
 
     minimise  1/2 sum_c (a_c - w_c)^2 / s_c  +  ridge/2 sum_d (t_d / T) (r_d - 1)^2
@@ -75,7 +75,12 @@ def features(docs: DataFrame, text: str, words: dict[str, list[str]]) -> DataFra
     In layers, as an expression over the text that several others need is computed once that way.
     """
     t = F.coalesce(F.col(text), F.lit(""))
-    telling = F.array(*map(F.lit, sorted({w for own in words.values() for w in own}))).cast("array<string>")
+    telling = sorted({w for own in words.values() for w in own})
+
+    def held(column: str, own: list[str]) -> Column:
+        """All occurrences of the words, as often as each is there."""
+        return F.filter(column, lambda w: w.isin(own))
+
     out = docs.withColumns(
         {
             "__all": _words(t),
@@ -87,13 +92,12 @@ def features(docs: DataFrame, text: str, words: dict[str, list[str]]) -> DataFra
     edges = F.when(F.get("__all", F.lit(0)) == "", 1).otherwise(0) + F.when(
         (F.size("__all") > 1) & (F.element_at("__all", -1) == ""), 1
     ).otherwise(0)
-    out = out.withColumns({"__tokens": F.size("__all") - edges, "__hits": F.array_intersect("__all", telling)})
+    out = out.withColumns({"__tokens": F.size("__all") - edges, "__hits": held("__all", telling)})
     n, tokens = F.greatest("__n", F.lit(1)), F.greatest("__tokens", F.lit(1))
     values = {"__v0": (F.col("__n") - F.col("__symbols")) / n, "__v1": (F.col("__n") - F.col("__small")) / n}
     values["__v2"] = F.col("__n") / tokens
     for k, domain in enumerate(DOMAINS, start=3):
-        own = F.array(*map(F.lit, words[domain])).cast("array<string>")
-        values[f"__v{k}"] = F.size(F.array_intersect("__hits", own)) / tokens
+        values[f"__v{k}"] = F.size(held("__hits", words[domain])) / tokens
     out = out.withColumns(values)
     bounds = [SHARE_BOUNDS, SHARE_BOUNDS, LENGTH_BOUNDS] + [DENSITY_BOUNDS] * len(DOMAINS)
     out = out.withColumns({f"__f{k}": _bucket(F.col(f"__v{k}"), b) for k, b in enumerate(bounds)})

@@ -111,6 +111,18 @@ def test_rates_match_a_dense_solver(spark):
     assert objective(np.array(got)) <= objective(r) + 1e-4 and min(got) >= 0
 
 
+def test_posteriors_do_not_sink_with_length(spark):
+    clean = "the river runs through a quiet valley where people grow apples and bread is baked each day "
+    texts = [(k, clean + f"and year {k} was good") for k in range(20)]
+    texts += [(k, clean + "awful vile awful nasty vile") for k in range(20, 40)]
+    docs = docs_of(spark, texts + [(50, texts[30][1]), (51, " ".join([texts[30][1]] * 50)), (52, " ".join([texts[3][1]] * 50))])
+    labels = spark.createDataFrame([(k, 1, int(k >= 20)) for k in range(40)], "doc_id bigint, quality int, toxic int")
+    got = {r.doc_id: r for r in mixing.mix(docs, labels).collect()}
+    assert got[51].tokens == 50 * got[50].tokens
+    assert got[50].p_toxic > 0.9 and got[51].p_toxic == pytest.approx(got[50].p_toxic, abs=0.02)
+    assert got[52].p_toxic == pytest.approx(got[3].p_toxic, abs=0.02)
+
+
 # ---- 3 decontamination
 
 
