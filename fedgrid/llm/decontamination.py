@@ -1,8 +1,10 @@
 """Benchmark decontamination by template canonicalisation, in DataFrame functions only.
 
-Texts are brought to token templates: numbers, names (capitalised words inside a sentence) and units after
-numbers become typed placeholders, all else is a lower-cased word. Every window of WINDOW template tokens
-of a document is hashed and joined with the hashed windows of the benchmark items. Windows that lie on one
+Texts are brought to token templates: numbers, names (capitalised words) and units after numbers become
+typed placeholders, all else is a lower-cased word. As a capital may also come from a sentence's start, each window
+of WINDOW tokens has up to three readings: capitalised words as words, those in mid-sentence as names, all as names.
+A fourth one, of the tokens' own values, is for item windows of fewer than LEAST_WORDS words beside the
+placeholders. The windows of a document are hashed and joined with the hashed windows of the benchmark items. Windows that lie on one
 diagonal (document place minus item place) are one alignment of the item; it is a leak when it holds at
 least MATCHED windows (or all windows of a shorter item) and its slots are consistent: whatever stands in
 a placeholder of the item must be replaced by the same document value wherever it recurs, so a question
@@ -14,13 +16,14 @@ one row before the join and only hits live on, counted per alignment; slots are
 of the few documents that hold an alignment.
 
 Defined results: null texts and items have no tokens; items of fewer than WINDOW tokens match as one
-window of their own length, and items under LEAST_WORDS words beside placeholders never match; repeated
+window of their own length, those of fewer than 3 tokens only a document of the same tokens; repeated
 rows of a document or item count once; an empty table (of either) gives no leaks; further columns are kept
 by the stage.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -32,7 +35,7 @@ WINDOW, MATCHED, LEAST_WORDS = 8, 6, 4
 BROADCAST_WINDOWS = 2_000_000
 
 # One control character per placeholder type, and the units that are recognised.
-NUMBER, NAME, UNIT, POINT = "\x01", "\x02", "\x03", "\x04"
+NUMBER, NAME, UNIT, POINT, INITIAL = "\x01", "\x02", "\x03", "\x04", "\x05"
 UNITS = (
     "km|m|cm|mm|nm|mi|miles?|ft|feet|inch(?:es)?|kg|g|mg|t|tons?|lbs?|oz|l|ml|s|ms|min|minutes?|h|hours?|days?|"
     "weeks?|months?|years?|hz|khz|mhz|ghz|w|kw|mw|v|a|j|kj|pa|kpa|bar|mol|k|kb|mb|gb|tb|percent|dollars?|euros?|cents?"
@@ -41,31 +44,57 @@ UNITS = (
 
 def marked(text: Column) -> Column:
     """The text's tokens: words in lower case, slot values behind the character of their type."""
-    t = F.translate(text, NUMBER + NAME + UNIT + POINT, "    ")
+    t = F.translate(text, NUMBER + NAME + UNIT + POINT + INITIAL, "     ")
     t = F.regexp_replace(t, r"(?<=\d)[.,](?=\d)", POINT)
     t = F.regexp_replace(t, r"(?<=[\p{L}\p{N},;)] )\p{Lu}\p{Ll}+", NAME + "$0")
+    t = F.regexp_replace(t, rf"(?<![\p{{L}}\p{{N}}{NAME}])\p{{Lu}}\p{{Ll}}+", INITIAL + "$0")
     t = F.regexp_replace(t, rf"(?<![\p{{L}}\p{{N}}{POINT}])(\d[\d{POINT}]*)", " " + NUMBER + "$1 ")
     t = F.regexp_replace(t, rf"(?i)(?<=\d )(\s?)({UNITS})(?![\p{{L}}\p{{N}}])", "$1" + UNIT + "$2")
-    t = F.regexp_replace(t, r"[^\p{L}\p{N}\x01-\x04]+", " ")
+    t = F.regexp_replace(t, r"[^\p{L}\p{N}\x01-\x05]+", " ")
     return F.filter(F.split(F.lower(t), " "), lambda w: w != "")
 
 
-def template(word: Column) -> Column:
-    """A marked token's place in the template: its type if it is a slot, else the word."""
-    return F.when(word < "\x05", F.substring(word, 1, 1)).otherwise(word)
+def value(word: Column) -> Column:
+    """A marked token without its type."""
+    return F.when(word < "\x06", F.substr(word, F.lit(2))).otherwise(word)
 
 
-def windows(rows: DataFrame, keys: list[str], size: int) -> DataFrame:
-    """One row per window of ``__marked`` tokens: keys, ``place`` and ``hash``."""
-    made = rows.withColumn("__hashed", F.transform("__marked", lambda w: F.xxhash64(template(w))))
-    places = F.when(F.size("__hashed") >= size, F.sequence(F.lit(0), F.size("__hashed") - size))
+def _reading(slots: str) -> Callable[[Column], Column]:
+    """Tokens whose type is in ``slots`` become their type (a sentence's first word a name), all others their value."""
 
-    def at(i: Column) -> Column:
-        return F.xxhash64(*[F.get("__hashed", i + k) for k in range(size)])
+    def read(word: Column) -> Column:
+        kind = F.substring(word, 1, 1)
+        return F.when(kind.isin(*slots), F.translate(kind, INITIAL, NAME)).otherwise(value(word))
 
-    made = made.select(*keys, F.transform(places, at).alias("__w"))
+    return read
+
+
+#: The types that are slots in each reading: numbers and units; also names; also capitalised words elsewhere.
+READINGS = (NUMBER + UNIT, NUMBER + UNIT + NAME, NUMBER + UNIT + NAME + INITIAL)
+
+
+def windows(rows: DataFrame, keys: list[str], size: int, literal: bool = True) -> DataFrame:
+    """Windows of ``__marked`` tokens: keys, ``reading``, ``place`` and ``hash``, which differs from the first reading's.
+
+    With ``literal`` there is one reading more, of all tokens' values.
+    """
+    reads = [_reading(slots) for slots in READINGS] + [value] * literal
+
+    def hashed(read: Callable[[Column], Column]) -> Column:
+        return F.transform("__marked", lambda w: F.xxhash64(read(w)))
+
+    def at(k: int) -> Column:
+        return F.transform(places, lambda i: F.xxhash64(F.slice(f"__h{k}", i + 1, size)))
+
+    made = rows.withColumns({f"__h{k}": hashed(read) for k, read in enumerate(reads)})
+    places = F.when(F.size("__h0") >= size, F.sequence(F.lit(0), F.size("__h0") - size))
+    made = made.withColumns({f"__w{k}": at(k) for k in range(len(reads))})
+    other = [F.zip_with(f"__w{k}", "__w0", lambda a, b: F.when(a != b, a)) for k in range(1, len(reads))]
+    made = made.select(*keys, F.size("__w0").alias("__n"), F.concat("__w0", *other).alias("__w"))
     # the outer form: for the inner one the optimizer adds a filter that makes the whole array once more
-    return made.select(*keys, F.posexplode_outer("__w").alias("place", "hash")).where(F.col("hash").isNotNull())
+    made = made.select(*keys, "__n", F.posexplode_outer("__w").alias("__at", "hash")).where(F.col("hash").isNotNull())
+    reading = F.floor(F.col("__at") / F.col("__n")).cast("int")
+    return made.select(*keys, reading.alias("reading"), (F.col("__at") % F.col("__n")).alias("place"), "hash")
 
 
 def leaks(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
@@ -107,11 +136,24 @@ def _consistent(aligned: DataFrame, docs: DataFrame, items: DataFrame) -> DataFr
         F.slice("doc_words", F.col("low") + F.col("diagonal") + 1, length),
         lambda a, b: F.struct(a.alias("item"), b.alias("doc")),
     )
-    slot = F.filter(pairs, lambda p: (p["item"] < "\x05") & (template(p["item"]) == template(p["doc"])))
+    kind = _reading(READINGS[-1])
+    slot = F.filter(pairs, lambda p: (p["item"] < "\x06") & (p["doc"] < "\x06") & (kind(p["item"]) == kind(p["doc"])))
     both = both.withColumn("pairs", F.array_distinct(slot))
-    asked = F.size(F.array_distinct(F.transform("pairs", lambda p: p["item"])))
-    found = both.where(F.size("pairs") == asked)
-    exact = F.forall("pairs", lambda p: p["item"] == p["doc"])
+    # a sentence's first word is asked for only where the item has it as a name elsewhere
+    names = F.transform(F.filter("pairs", lambda p: F.substring(p["item"], 1, 1) == NAME), lambda p: value(p["item"]))
+    both = both.withColumn("names", names)
+    asked = F.filter(
+        "pairs", lambda p: (F.substring(p["item"], 1, 1) != INITIAL) | F.array_contains("names", value(p["item"]))
+    )
+
+    def plain(w: Column) -> Column:
+        return F.concat(kind(w), value(w))
+
+    asked = F.transform(asked, lambda p: F.struct(plain(p["item"]).alias("item"), plain(p["doc"]).alias("doc")))
+    both = both.withColumn("asked", F.array_distinct(asked))
+    items_asked = F.size(F.array_distinct(F.transform("asked", lambda p: p["item"])))
+    found = both.where(F.size("asked") == items_asked)
+    exact = F.forall("pairs", lambda p: value(p["item"]) == value(p["doc"]))
     return found.groupBy("doc_id", "item_id").agg(
         F.max("windows").alias("windows"),
         F.min(F.col("low") + F.col("diagonal")).alias("first_place"),
@@ -122,12 +164,27 @@ def _consistent(aligned: DataFrame, docs: DataFrame, items: DataFrame) -> DataFr
 def _hits(docs: DataFrame, items: DataFrame, size: int) -> DataFrame:
     own = items.where(F.least("n", F.lit(WINDOW)) == size)
     asked = windows(own, ["item_id", "n", "__marked"], size).withColumnRenamed("place", "item_place")
-    words = F.size(F.filter(F.slice("__marked", F.col("item_place") + 1, F.lit(size)), lambda w: w >= "\x05"))
-    asked = asked.where(words >= min(LEAST_WORDS, max(size, 3))).drop("__marked")
+    least = min(LEAST_WORDS, max(size, 3))
+
+    def words(slots: str) -> Column:
+        stretch = F.slice("__marked", F.col("item_place") + 1, F.lit(size))
+        return F.size(F.filter(stretch, lambda w: ~F.substring(w, 1, 1).isin(*slots)))
+
+    told = [(F.col("reading") == k) & (words(slots) >= least) for k, slots in enumerate(READINGS)]
+    # too few words for a template: the values themselves must agree
+    dense = (F.col("reading") == len(READINGS)) & (words(READINGS[0]) < least)
+    bare = (F.col("reading") == 0) & (words(READINGS[0]) == size)  # without slots, values and template are one
+    kept = reduce(lambda a, b: a | b, [*told, dense, bare])
+    asked = checkpointed(asked.where(kept).drop("__marked"))
+    literal = not asked.where(F.col("reading") == len(READINGS)).isEmpty()
+    asked = asked.drop("reading").distinct()
     if asked.count() <= BROADCAST_WINDOWS:
         asked = F.broadcast(asked)
     rows = docs.select("doc_id", marked(F.col("text")).alias("__marked"))
-    return windows(rows, ["doc_id"], size).join(asked, "hash").select("doc_id", "item_id", "n", "place", "item_place")
+    if size < 3:  # no evidence inside of a longer text: the whole text must be the item
+        rows = rows.where(F.size("__marked") == size)
+    found = windows(rows, ["doc_id"], size, literal).join(asked, "hash")
+    return found.select("doc_id", "item_id", "n", "place", "item_place")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:

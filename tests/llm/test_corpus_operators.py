@@ -138,6 +138,17 @@ def test_benchmark_leaks(spark, none):
     assert decontamination.leaks(docs, bench.limit(0)).count() == 0
 
 
+def test_leaks_wherever_they_stand(spark):
+    items = ["To mend the old boat he needs some rope", "Big dogs run", "Alan had 3 pears and gave 2 to the woman in town near the old river",
+             "12 + 30 * 4 - 7 = 125", "Convert 5 km, 7 kg, 9 cm, 11 mm, 13 g and 15 ml", "forty two"]
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id bigint, text string")
+    docs = [f"then estionha {t} and so on" for t in items]
+    docs += ["So. " + items[2].replace("Alan", "Bob").replace("3", "8"), "well, to mend the old boat he needs some rope",
+             "13 + 30 * 4 - 7 = 125", items[4].replace("13", "14"), "Forty two."]
+    got = {(r.doc_id, r.item_id) for r in decontamination.leaks(docs_of(spark, list(enumerate(docs))), bench).collect()}
+    assert got == {(0, 0), (1, 1), (2, 2), (3, 3), (4, 4), (6, 2), (7, 0), (10, 5)}
+
+
 def test_leaks_against_word_windows(spark, sf):
     got = {(r.doc_id, r.item_id) for r in decontamination.query(spark, sf).collect()}
     words = re.compile(r"\w+")
