@@ -113,26 +113,21 @@ def squared_distance(x: Column, center: list[float]) -> Column:
 UNROLLED = 160
 
 
-def nearest_of_runs(x: Column, runs: list) -> Column:
-    """array of struct(r, n struct(d, a)): the nearest center of each run's centers.
+def nearest_center(x: Column, centers: list[list[float]]) -> Column:
+    """struct(d, a): squared distance and index of the nearest center; ties go to the lowest index.
 
     Unrolled into generated code while it is small; many centers go through one Arrow kernel instead.
     """
-    if sum(len(c) * len(c[0]) for c in runs) <= UNROLLED:
-        return F.array(*[F.struct(F.lit(r).alias("r"), nearest(x, c).alias("n")) for r, c in enumerate(runs)])
-    tables = [np.asarray(c, float) for c in runs]
-
-    def kernel(xs: pd.Series) -> pd.Series:
-        p = np.array(xs.tolist(), float)
-        found = []
-        for c in tables:
-            d = np.stack([((p - center) ** 2).sum(1) for center in c], 1)
-            a = d.argmin(1)
-            found.append((d[np.arange(len(p)), a], a))
-        rows = range(len(p))
-        return pd.Series([[{"r": r, "n": {"d": d[i], "a": int(a[i])}} for r, (d, a) in enumerate(found)] for i in rows])
-
-    return F.pandas_udf(kernel, "array<struct<r:int,n:struct<d:double,a:int>>>")(x)
+    if len(centers) * len(centers[0]) <= UNROLLED:
+        return nearest(x, centers)
+    table = np.asarray(centers, float)
+
+    def kernel(xs: pd.Series) -> pd.DataFrame:
+        p = np.array(xs.tolist(), float).reshape(-1, table.shape[1])
+        a = ((table * table).sum(1)[None, :] - 2.0 * (p @ table.T)).argmin(axis=1)
+        return pd.DataFrame({"d": ((p - table[a]) ** 2).sum(axis=1), "a": a.astype(np.int32)})
+
+    return F.pandas_udf(kernel, "d double, a int")(x)
 
 
 def nearest(x: Column, centers: list[list[float]]) -> Column:

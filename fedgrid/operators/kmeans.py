@@ -1,42 +1,82 @@
 """Clustering on DataFrames of (id, x array<double>): assignment, Lloyd, seeding, noisy Lloyd, and its driver-side
-twin for weighted grids of bounded size. Only k * (m + 1) numbers per round reach the driver."""
+twin for weighted grids of bounded size. Only k * (m + 2) numbers per round reach the driver.
+
+Rounds send their centers by broadcast to one Arrow kernel: distances are a matrix product, each task adds up its own
+clusters, and the plan (so its generated code) is the same in every round, whatever the centers.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fedgrid.functions.columns import nearest_of_runs, squared_distance
+from fedgrid.functions.columns import nearest_center
+from fedgrid.operators.sketch import mix64
 
 Centers = np.ndarray
 
 
 def assign(df: DataFrame, centers: Centers) -> DataFrame:
     """``df`` with a (nearest center) and d (squared distance). Narrow; the centers are literals."""
-    found = df.withColumn("__n", nearest_of_runs(F.col("x"), [np.asarray(centers).tolist()]))
-    first = F.get("__n", F.lit(0))["n"]
-    return found.select(*df.columns, first["a"].alias("a"), first["d"].alias("d"))
+    found = df.withColumn("__n", nearest_center(F.col("x"), np.asarray(centers, float).tolist()))
+    return found.select(*df.columns, F.col("__n.a").alias("a"), F.col("__n.d").alias("d"))
+
+
+def _points(column: pa.Array, m: int) -> np.ndarray:
+    """A list column as rows of m numbers (rows of nulls were left out before)."""
+    return column.flatten().to_numpy(zero_copy_only=False).reshape(-1, m)
+
+
+def _nearest(x: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Index of and squared distance to the nearest center; ties go to the lowest index.
 
+    The product form picks the center, within rounding; the distance is then taken by differences.
+    """
+    a = ((c * c).sum(1)[None, :] - 2.0 * (x @ c.T)).argmin(axis=1)
+    gap = x - c[a]
+    return a, (gap * gap).sum(axis=1)
+
+
+def cluster_sums(
+    df: DataFrame, runs: list[Centers], weight: str | None = None, radius: float | None = None
+) -> list[np.ndarray]:
+    """For each set of centers a (k, m + 2) array of weight, weighted sums and cost; all runs in one pass.
 
-def cluster_sums(df: DataFrame, runs: list[Centers], weight: str | None = None) -> list[np.ndarray]:
-    """For each set of centers a (k, m + 2) array of weight, weighted sums and cost; all runs in one pass."""
+    With ``radius`` every value is cut to [-radius, radius] first, which bounds what one user can change.
+    """
+    runs = [np.asarray(c, float) for c in runs]
     m = runs[0].shape[1]
+    sent = df.sparkSession.sparkContext.broadcast(runs)
+    cuts = np.cumsum([0, *[len(c) * (m + 2) for c in runs]])
+
+    def fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tables = [np.zeros((len(c), m + 2)) for c in sent.value]
+        for batch in batches:
+            x = _points(batch.column(0), m)
+            if radius is not None:
+                x = x.clip(-radius, radius)
+            w = batch.column(1).to_numpy(zero_copy_only=False)
+            for c, out in zip(sent.value, tables, strict=True):
+                a, d = _nearest(x, c)
+                out[:, 0] += np.bincount(a, w, len(c))
+                for j in range(m):
+                    out[:, 1 + j] += np.bincount(a, w * x[:, j], len(c))
+                out[:, -1] += np.bincount(a, w * d, len(c))
+        flat = np.concatenate([t.ravel() for t in tables])
+        yield pa.RecordBatch.from_pydict({"c": pa.array(range(len(flat)), pa.int32()), "v": pa.array(flat)})
+
     w = F.col(weight) if weight else F.lit(1.0)
-    found = nearest_of_runs(F.col("x"), [c.tolist() for c in runs])
-    rows = df.select("x", w.cast("double").alias("w"), found.alias("fs"))
-    rows = rows.select("x", "w", F.explode_outer("fs").alias("f")).where(F.col("f").isNotNull())
-    sums = [F.sum(F.col("w") * F.get("x", F.lit(j))).alias(f"s{j}") for j in range(m)]
-    got = (
-        rows.select("x", "w", F.col("f.r").alias("r"), F.col("f.n.a").alias("a"), F.col("f.n.d").alias("d"))
-        .groupBy("r", "a")
-        .agg(F.sum("w").alias("w"), *sums, F.sum(F.col("w") * F.col("d")).alias("d"))
-        .collect()
-    )
-    out = [np.zeros((len(c), m + 2)) for c in runs]
+    rows = df.where(F.col("x").isNotNull()).select("x", w.cast("double").alias("w"))
+    got = rows.mapInArrow(fold, "c int, v double").groupBy("c").agg(F.sum("v").alias("v")).collect()
+    sent.unpersist()
+    flat = np.zeros(cuts[-1])
     for row in got:
-        out[row["r"]][row["a"]] = [row["w"], *[row[f"s{j}"] for j in range(m)], row["d"]]
-    return out
+        flat[row["c"]] = row["v"]
+    return [flat[a:b].reshape(-1, m + 2) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
 
 
 def cost(df: DataFrame, centers: Centers, weight: str | None = None) -> float:
@@ -80,25 +120,50 @@ def weighted_kmeans(
     return best
 
 
-def seed_centers(df: DataFrame, k: int, seed: int, method: str = "parallel", rounds: int = 3) -> Centers:
+def _picked(df: DataFrame, c: Centers, factor: float, seed: int, weight: str | None) -> np.ndarray:
+    """The points that a hash of their id picks with probability factor * weight * squared distance."""
+    m = c.shape[1]
+    sent = df.sparkSession.sparkContext.broadcast((c, factor, np.uint64(seed)))
+
+    def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        centers, share, salt = sent.value
+        for batch in batches:
+            x = _points(batch.column(1), m)
+            with np.errstate(over="ignore"):
+                hashed = mix64(mix64(batch.column(0).to_numpy().view(np.uint64) ^ salt) + np.uint64(0x9E3779B97F4A7C15))
+            u = ((hashed >> np.uint64(11)) + 0.5) / float(1 << 53)
+            chosen = np.flatnonzero(u < share * batch.column(2).to_numpy(zero_copy_only=False) * _nearest(x, centers)[1])
+            if len(chosen):
+                yield batch.take(pa.array(chosen)).select([0, 1])
+
+    w = F.col(weight) if weight else F.lit(1.0)
+    key = F.col("id") if dict(df.dtypes)["id"] == "bigint" else F.xxhash64("id")
+    rows = df.where(F.col("x").isNotNull()).select(key.alias("id"), "x", w.cast("double").alias("w"))
+    got = rows.mapInArrow(pick, "id bigint, x array<double>").collect()
+    sent.unpersist()
+    return np.array([r["x"] for r in sorted(got, key=lambda r: r["id"])]).reshape(-1, m)
+
+
+def seed_centers(
+    df: DataFrame, k: int, seed: int, method: str = "parallel", rounds: int = 3, weight: str | None = None
+) -> Centers:
     """Start centers: ``random`` (hash order) or ``parallel`` (oversampling rounds, then k-means++ on them).
 
-    Picks are by a hash of the id, so they don't depend on the partitioning.
+    A round of oversampling picks 2k points on average, and all of them are kept. Picks are by a hash of the id, so
+    they don't depend on the partitioning.
     """
-    u = (F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1 << 30)) + 0.5) / float(1 << 30)
-    start = df.orderBy(u).limit(k if method == "random" else 1).select("x").collect()
+    u = F.xxhash64("id", F.lit(seed))
+    live = df if weight is None else df.where(F.col(weight) > 0)
+    start = live.where(F.col("x").isNotNull()).orderBy(u).limit(k if method == "random" else 1).select("x").collect()
     c = np.array([r["x"] for r in start])
     if method == "random":
         return c
     for r in range(rounds):
-        total = cost(df, c)
+        total = cost(df, c, weight)
         if total <= 0:
             break
-        v = (F.pmod(F.xxhash64("id", F.lit(seed + 1 + r)), F.lit(1 << 30)) + 0.5) / float(1 << 30)
-        picked = assign(df, c).where(v < F.lit(2.0 * k / total) * F.col("d"))
-        more = picked.orderBy(v).limit(8 * k).select("x").collect()  # 2k expected
-        c = np.vstack([c, *[np.array([r["x"]]) for r in more]])
-    mass = cluster_sums(df, [c])[0][:, 0]
+        c = np.vstack([c, _picked(df, c, 2.0 * k / total, seed + 1 + r, weight)])
+    mass = cluster_sums(df, [c], weight)[0][:, 0]
     out = weighted_kmeans(c, mass, min(k, len(c)), seed, n_init=1, max_iter=0)
     while len(out) < k:
         out = np.vstack([out, out[-1:] + 1e-6])
@@ -110,7 +175,7 @@ def lloyd(
     tol: float = 1e-6, seed: int = 0, n_init: int = 1, method: str = "parallel",
 ) -> Centers:
     """Lloyd's iterations; ``n_init`` starts advance together, one aggregate a round for all of them."""
-    runs = [np.asarray(init, float)] if init is not None else [seed_centers(df, k, seed + 101 * r, method) for r in range(n_init)]
+    runs = [np.asarray(init, float)] if init is not None else [seed_centers(df, k, seed + 101 * r, method, weight=weight) for r in range(n_init)]
     costs = [np.inf] * len(runs)
     for _ in range(max_iter):
         sums = cluster_sums(df, runs, weight)
@@ -124,23 +189,25 @@ def lloyd(
 
 
 def noisy_lloyd(
-    df: DataFrame, k: int, eps: float, rng: np.random.Generator, iters: int = 5, radius: float = 1.0, ledger=None, party: int = 0
-) -> Centers:
-    """Private Lloyd: each round's budget goes by halves to counts (sensitivity 1) and to the m sums (radius each)."""
-    m = len(df.first()["x"])
-    c = rng.uniform(-radius, radius, (k, m))
+    df: DataFrame, k: int, eps: float, rng: np.random.Generator, iters: int = 5, radius: float = 1.0, ledger=None, party: int = 0,
+    init: Centers | None = None,
+) -> Centers:
+    """Private Lloyd: each round's budget goes by halves to counts (sensitivity 1) and to the m sums (radius each).
+
+    Values are cut to the radius inside the sums, so the guarantee doesn't rest on the caller's scaling. ``init`` must
+    be public.
+    """
+    if init is None:
+        m = len(df.first()["x"])
+        c = rng.uniform(-radius, radius, (k, m))
+    else:
+        c, m = np.asarray(init, float), np.asarray(init).shape[1]
     for _ in range(iters):
         share = eps / iters
-        s = cluster_sums(df, [c])[0]
+        s = cluster_sums(df, [c], radius=radius)[0]
         mass = s[:, 0] + rng.laplace(0, 2 / share, k)
         sums = s[:, 1:-1] + rng.laplace(0, 2 * m * radius / share, (k, m))
         c = np.where(mass[:, None] > 1, sums / np.maximum(mass, 1)[:, None], c).clip(-radius, radius)
         if ledger is not None:
             ledger.charge(party, "local centers", share)
     return c
-
-
-def distances(df: DataFrame, centers: Centers) -> DataFrame:
-    """The (n x k) distances in long form; a helper for inspection."""
-    options = [F.struct(F.lit(a).alias("a"), squared_distance(F.col("x"), c).alias("d")) for a, c in enumerate(centers.tolist())]
-    return df.select("id", F.inline(F.array(*options)))

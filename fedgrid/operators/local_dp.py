@@ -4,17 +4,14 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from fedgrid.functions.columns import md5_hash60, md5_uniform
-from fedgrid.operators.sketch import mix64
-
-_U = np.uint64
 
 
 def choose(eps: float, k: int) -> str:
@@ -44,30 +41,34 @@ def grr_matrix(k: int, eps: float) -> np.ndarray:
     return (np.eye(k) * (e - 1) + 1) / (e + k - 1)
 
 
-def olh_hash(seeds: np.ndarray, label: int, g: int) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        return (mix64(seeds ^ mix64(np.array([label + 1], np.uint64))) % _U(g)).astype(np.int64)
+def olh_hash(seed: Column, label: Column, g: int) -> Column:
+    """The user's own hash of a label into g buckets."""
+    return F.pmod(md5_hash60(F.concat_ws("|", seed.cast("string"), label.cast("string"))), F.lit(g)).cast("int")
 
 
-def olh(labels: DataFrame, k: int, eps: float, seed: int) -> DataFrame:
+def olh(labels: DataFrame, k: int, eps: float, key: str) -> DataFrame:
     """(id, seed, y): a per-user hash of the label into g buckets, reported by generalized response on g."""
-    g, e = buckets(eps), math.exp(eps)
-    keep = e / (e + g - 1)
+    g = buckets(eps)
+    keep = math.exp(eps) / (math.exp(eps) + g - 1)
+    rows = labels.select("id", "a", md5_hash60(F.concat_ws("|", F.lit(key + "h"), F.col("id").cast("string"))).alias("seed"))
+    own = olh_hash(F.col("seed"), F.col("a"), g)
+    other = F.pmod(md5_hash60(F.concat_ws("|", F.lit(key + "o"), F.col("id").cast("string"))), F.lit(g - 1))
+    y = F.when(md5_uniform(F.lit(key), "id") <= keep, own).otherwise(F.pmod(own + 1 + other, F.lit(g)))
+    return rows.select("id", "seed", y.cast("int").alias("y"))
+
+
+def olh_support(reports: DataFrame, k: int, eps: float) -> DataFrame:
+    """(id, hits): for each label whether the user's report speaks for it."""
+    g = buckets(eps)
+    hits = F.array(*[(olh_hash(F.col("seed"), F.lit(a), g) == F.col("y")).cast("double") for a in range(k)])
+    return reports.select("id", hits.alias("hits"))
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            with np.errstate(over="ignore"):
-                seeds = mix64(b["id"].to_numpy(np.int64).view(np.uint64) * _U(3) + _U(seed))
-                u = (mix64(seeds + _U(1)) >> _U(11)) / float(1 << 53)
-                shift = (mix64(seeds + _U(2)) % _U(g - 1)).astype(np.int64) + 1
-            y = np.zeros(len(b), np.int64)
-            for a in range(k):
-                mine = b["a"].to_numpy() == a
-                y[mine] = olh_hash(seeds[mine], a, g)
-            y = np.where(u < keep, y, (y + shift) % g)
-            yield pd.DataFrame({"id": b["id"], "seed": seeds.view(np.int64), "y": y.astype(np.int32)})
 
-    return labels.select("id", "a").mapInPandas(run, "id bigint, seed bigint, y int")
+def olh_counts(reports: DataFrame, k: int, eps: float) -> np.ndarray:
+    """Users that speak for each label: the sufficient statistic of one party."""
+    hits = olh_support(reports, k, eps)
+    row = hits.agg(*[F.sum(F.get("hits", F.lit(a))).alias(f"n{a}") for a in range(k)]).first()
+    return np.array([row[f"n{a}"] or 0.0 for a in range(k)])
 
 
 def grr_counts(reports: list[DataFrame], k: int) -> np.ndarray:
@@ -99,18 +100,15 @@ def olh_weights(reports: list[DataFrame], k: int, eps: float, decoder: str = "un
     """
     g, e, s = buckets(eps), math.exp(eps), len(reports)
     keep = e / (e + g - 1)
-    wide = reports[0].select("id", F.col("seed").alias("s0"), F.col("y").alias("y0"))
-    for p, r in enumerate(reports[1:], start=1):
-        wide = wide.join(r.select("id", F.col("seed").alias(f"s{p}"), F.col("y").alias(f"y{p}")), "id")
+    frames = [olh_support(r, k, eps).withColumnRenamed("hits", f"h{p}") for p, r in enumerate(reports)]
+    wide = reduce(lambda x, y: x.join(y, "id"), frames)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(k**s)
         for b in batches:
             table = np.ones((b.num_rows, 1))
             for p in range(s):
-                seeds = b.column(f"s{p}").to_numpy().view(np.uint64)
-                y = b.column(f"y{p}").to_numpy()
-                hit = np.stack([olh_hash(seeds, a, g) == y for a in range(k)], 1).astype(float)
+                hit = b.column(p).flatten().to_numpy(zero_copy_only=False).reshape(-1, k)
                 if decoder == "unbiased":
                     vec = (hit - 1.0 / g) / (keep - 1.0 / g)
                 else:

@@ -16,6 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from fedgrid.operators.kmeans import weighted_kmeans
+from fedgrid.privacy import gaussian_scale
 
 
 def directions(m: int, bits: int, seed: int) -> np.ndarray:
@@ -33,19 +34,34 @@ def code(x: Column, planes: np.ndarray) -> Column:
     return out
 
 
-def leaf_sums(df: DataFrame, trees: list[np.ndarray], weight_bound: float | None = None) -> dict[tuple[int, int], np.ndarray]:
-    """(tree, full code) to (count, sums): one pass; at most trees * 2^bits rows reach the driver."""
-    m = trees[0].shape[1]
+def leaf_sums(
+    df: DataFrame, trees: list[np.ndarray], weight_bound: float | None = None, radius: float | None = None
+) -> list[np.ndarray]:
+    """For each tree a (2^bits, m + 1) table of counts and sums by full code: one pass over the points.
+
+    What one point can add is bounded here: its values by ``radius``, or its norm by ``weight_bound``.
+    """
+    bits, m = trees[0].shape
     x = F.col("x")
     if weight_bound:
         norm = F.sqrt(F.aggregate("x", F.lit(0.0), lambda s, v: s + v * v))
         x = F.when(norm > weight_bound, F.transform("x", lambda v: v * weight_bound / norm)).otherwise(x)
+    elif radius is not None:
+        x = F.transform("x", lambda v: F.greatest(F.least(v, F.lit(float(radius))), F.lit(-float(radius))))
     rows = df.select(x.alias("x"))
     codes = F.array(*[F.struct(F.lit(t).alias("t"), code(F.col("x"), p).alias("c")) for t, p in enumerate(trees)])
     rows = rows.select("x", F.explode_outer(codes).alias("f"))
     sums = [F.sum(F.get("x", F.lit(j))).alias(f"s{j}") for j in range(m)]
     got = rows.groupBy(F.col("f.t").alias("t"), F.col("f.c").alias("c")).agg(F.count(F.lit(1)).alias("n"), *sums).collect()
-    return {(r["t"], r["c"]): np.array([r["n"], *[r[f"s{j}"] for j in range(m)]], float) for r in got}
+    out = [np.zeros((1 << bits, m + 1)) for _ in trees]
+    for r in got:  # trees * 2^bits rows at most
+        out[r["t"]][r["c"]] = [r["n"], *[r[f"s{j}"] for j in range(m)]]
+    return out
+
+
+def prefix_table(leaves: np.ndarray, depth: int) -> np.ndarray:
+    """Counts and sums of all code prefixes of ``depth`` bits."""
+    return leaves.reshape(1 << depth, -1, leaves.shape[1]).sum(axis=1)
 
 
 def fit(
@@ -53,26 +69,27 @@ def fit(
     radius: float = 1.0, l2_bound: float | None = None, bits: int | None = None, trees: int = 1, seed: int = 0,
     ledger=None, party: int = 0,
 ) -> np.ndarray:
-    """k private centers; half of ``eps`` counts parts, half sums leaves (both split over levels and trees)."""
+    """k private centers; half of ``eps`` counts parts, half sums leaves (both split over levels and trees).
+
+    ``gaussian`` is the central form: a public bound on the points' norm, and noise calibrated to (eps, delta).
+    """
     m = len(df.first()["x"])
-    bits = bits or max(4, min(10, math.ceil(math.log2(4 * k)) + 2))
+    bits = bits or max(4, math.ceil(math.log2(4 * k)) + 2)
     planes = [directions(m, bits, seed + 17 * t) for t in range(trees)]
-    leaves = leaf_sums(df, planes, l2_bound if noise == "gaussian" else None)
+    bound = l2_bound or math.sqrt(m) * radius
+    leaves = leaf_sums(df, planes, bound) if noise == "gaussian" else leaf_sums(df, planes, radius=radius)
     eps_level = eps / 2 / trees / (bits + 1)
     eps_sum = eps / 2 / trees
+    sd = gaussian_scale(bound, eps_sum, delta / trees) if noise == "gaussian" else 0.0
     found: list[tuple[np.ndarray, float]] = []
-    for t in range(trees):
-        full = np.zeros((1 << bits, m + 1))
-        for (tree, c), v in leaves.items():
-            if tree == t:
-                full[c] = v
+    for full in leaves:
+        levels = [prefix_table(full, d) for d in range(bits + 1)]
         parts = []
         stack = [(0, 0)]
         least = max(4.0 / eps_level, 2.0)
         while stack:
             depth, prefix = stack.pop()
-            width = 1 << (bits - depth)
-            block = full[prefix * width : (prefix + 1) * width].sum(0)
+            block = levels[depth][prefix]
             count = block[0] + rng.laplace(0, 1 / eps_level)
             if count > 2 * least and depth < bits:
                 stack += [(depth + 1, 2 * prefix), (depth + 1, 2 * prefix + 1)]
@@ -85,8 +102,6 @@ def fit(
                 noisy = sums + rng.laplace(0, m * radius / eps_sum, m)
                 found.append(((noisy / count).clip(-radius, radius), count))
             else:
-                bound = l2_bound or math.sqrt(m) * radius
-                sd = bound * math.sqrt(2 * math.log(1.25 / (delta / trees))) / eps_sum
                 noisy = (sums + rng.normal(0, sd, m)) / count
                 norm = np.linalg.norm(noisy)
                 found.append((noisy * min(1.0, bound / max(norm, 1e-12)), count))

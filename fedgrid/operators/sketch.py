@@ -2,7 +2,8 @@
 
 The geometric value falls with the hash, so the maximum over a set is a transform of the minimum hash, and the
 logarithm is taken once per sketch cell instead of once per user and key. Each task folds its users into one
-(clusters x repeats) table of minima; tables meet in two grouped reductions of bounded fan-in.
+(clusters x repeats) table of minima; tables are cut into pieces of PIECE keys, and the pieces meet in two streamed
+reductions that keep one running minimum for each piece, however many tasks there are.
 """
 
 from __future__ import annotations
@@ -11,16 +12,17 @@ import math
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from fedgrid.functions.columns import geometric_base2, geometric_from_uniform, md5_hash60, md5_uniform
+from fedgrid.functions.columns import TWO60, geometric_base2, geometric_from_uniform, md5_hash60
 from fedgrid.privacy import HashKeys, SketchParams, floor_value, phantoms, sketch_epsilon
 
 _U = np.uint64
 _CHUNK, _KEYS = 4096, 64
+#: Keys in one shuffled piece of a table (2 KB), and the ways that the first reduction is dealt over.
+PIECE, SLOTS = 256, 64
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -44,7 +46,7 @@ def fold_minima(ids: np.ndarray, labels: np.ndarray, keys: np.ndarray, out: np.n
                 out[lab[cuts], k : k + _KEYS] = np.minimum(part, least)
 
 
-def minima(labels: DataFrame, keys: HashKeys, k_local: int, fan_in: int = 64) -> np.ndarray:
+def minima(labels: DataFrame, keys: HashKeys, k_local: int) -> np.ndarray:
     """(k_local x repeats) minimum hashes of (id, a) rows; all ones where a cluster is empty.
 
     Ids that aren't integers are hashed to 64 bits first.
@@ -52,6 +54,14 @@ def minima(labels: DataFrame, keys: HashKeys, k_local: int, fan_in: int = 64) ->
     ids = F.col("id") if dict(labels.dtypes)["id"] == "bigint" else F.xxhash64("id")
     values = keys.array()
     empty = np.iinfo(np.uint64).max
+    rows = labels.select(ids.alias("id"), F.col("a").cast("int").alias("a"))
+    schema = "slot int, a int, piece int, m binary"
+    cuts = range(0, len(values), PIECE)
+
+    def batch_of(rows: list[tuple[int, int, int, np.ndarray]]) -> pa.RecordBatch:
+        slot, a, piece, m = zip(*rows, strict=True)
+        columns = [pa.array(v, pa.int32()) for v in (slot, a, piece)] + [pa.array([x.tobytes() for x in m], pa.binary())]
+        return pa.RecordBatch.from_arrays(columns, names=["slot", "a", "piece", "m"])
 
     def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = np.full((k_local, len(values)), empty, np.uint64)
@@ -61,24 +71,30 @@ def minima(labels: DataFrame, keys: HashKeys, k_local: int, fan_in: int = 64) ->
                 seen = True
                 fold_minima(batch.column(0).to_numpy(), batch.column(1).to_numpy(), values, table)
         if seen:
-            slot = int(mix64(table[:, 0]).sum() % _U(fan_in))
-            yield pa.RecordBatch.from_pydict(
-                {"slot": pa.array([slot] * k_local, pa.int32()), "a": pa.array(range(k_local), pa.int32()),
-                 "m": pa.array([row.tobytes() for row in table], pa.binary())}
-            )
-
-    def least(group: pd.DataFrame) -> pd.DataFrame:
-        rows = np.frombuffer(group["m"].iloc[0], np.uint64).copy()
-        for other in group["m"].iloc[1:]:
-            np.minimum(rows, np.frombuffer(other, np.uint64), out=rows)
-        return pd.DataFrame({"slot": [0], "a": [int(group["a"].iloc[0])], "m": [rows.tobytes()]})
-
-    schema = "slot int, a int, m binary"
-    parts = labels.select(ids.alias("id"), F.col("a").cast("int").alias("a")).mapInArrow(partial, schema)
-    parts = parts.groupBy("slot", "a").applyInPandas(least, schema).groupBy("a").applyInPandas(least, schema)
+            slot = int(mix64(table[:, 0]).sum() % _U(SLOTS))
+            yield batch_of([(slot, a, c // PIECE, table[a, c : c + PIECE]) for a in range(k_local) for c in cuts])
+
+    def least(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        # pieces of any slots and clusters, one after the other
+        kept: dict[tuple[int, int, int], np.ndarray] = {}
+        for batch in batches:
+            for *key, m in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
+                own = np.frombuffer(m, np.uint64)
+                held = kept.get(tuple(key))
+                if held is None:
+                    kept[tuple(key)] = own.copy()
+                else:
+                    np.minimum(held, own, out=held)
+        if kept:
+            yield batch_of([(0, a, piece, own) for (_, a, piece), own in kept.items()])
+
+    parts = rows.mapInArrow(partial, schema)
+    parts = parts.repartition("slot", "a", "piece").mapInArrow(least, schema)
+    parts = parts.repartition("a", "piece").mapInArrow(least, schema)
     out = np.full((k_local, len(values)), empty, np.uint64)
-    for row in parts.collect():  # k_local rows
-        out[row["a"]] = np.frombuffer(row["m"], np.uint64)
+    for row in parts.collect():  # k_local tables in pieces
+        at = row["piece"] * PIECE
+        out[row["a"], at : at + PIECE] = np.frombuffer(row["m"], np.uint64)
     return out
 
 
@@ -119,14 +135,27 @@ def partition_sketch(
     return privatise(alpha, eps_row, params.gamma, rng)
 
 
-def sketch_rows(labels: DataFrame, repeats: int, gamma: float) -> DataFrame:
-    """The same sketch in plain DataFrame form over md5 hashes, (a, i, alpha): for small numbers of repeats."""
-    keyed = labels.select("id", "a", F.explode(F.sequence(F.lit(1), F.lit(repeats))).alias("i"))
+def sketch_rows(labels: DataFrame, repeats: int, gamma: float, by: tuple[str, ...] = ("a",)) -> DataFrame:
+    """The same sketch in plain DataFrame form over md5 hashes, (by.., i, alpha): for small numbers of repeats.
+
+    The minimum hash is taken first, and one logarithm of it then.
+    """
+    keyed = labels.select("id", *by, F.explode(F.sequence(F.lit(1), F.lit(repeats))).alias("i"))
+    text = F.concat_ws("|", F.col("id").cast("string"), F.col("i").cast("string"))
+    least = keyed.groupBy(*by, "i").agg(F.min(md5_hash60(text)).alias("h"))
     if gamma == 1.0:
-        value = geometric_base2(md5_hash60(F.concat_ws("|", F.col("id").cast("string"), F.col("i").cast("string"))))
+        value = geometric_base2(F.col("h"))
     else:
-        value = geometric_from_uniform(md5_uniform("id", "i"), gamma)
-    return keyed.groupBy("a", "i").agg(F.max(value).alias("alpha"))
+        value = geometric_from_uniform((F.col("h") + 1) / F.lit(TWO60), gamma)
+    return least.select(*by, "i", value.alias("alpha"))
+
+
+def collected(rows: DataFrame, k: int, repeats: int) -> np.ndarray:
+    """One party's sketch rows (a, i, alpha) as a (repeats x clusters) table, 0 where a set is empty."""
+    out = np.zeros((repeats, k), np.int32)
+    for r in rows.collect():  # repeats * k rows
+        out[r["i"] - 1, r["a"]] = r["alpha"]
+    return out
 
 
 def sketch_arrays(rows: DataFrame, by: list[str]) -> DataFrame:

@@ -29,16 +29,17 @@ def build_views(df: DataFrame, id_col: str, groups: list[list[str]]) -> list[Par
 
 
 def validate(v: PartyView) -> PartyView:
-    """Raises on null ids, repeated ids, nulls or NaN; one pass."""
-    bad = F.exists("x", lambda e: e.isNull() | F.isnan(e))
-    row = v.frame.agg(
-        F.count_if(F.col("id").isNull()).alias("nulls"),
-        F.count_if(F.col("x").isNull() | bad).alias("values"),
-        (F.count("id") - F.approx_count_distinct("id", 0.01)).alias("_"),
+    """Raises on null ids, repeated ids, nulls or NaN; one shuffle on the id."""
+    bad = F.col("x").isNull() | F.exists("x", lambda e: e.isNull() | F.isnan(e))
+    users = v.frame.groupBy("id").agg(F.count(F.lit(1)).alias("n"), F.count_if(bad).alias("bad"))
+    row = users.agg(
+        F.coalesce(F.max(F.when(F.col("id").isNotNull(), F.col("n"))), F.lit(0)).alias("most"),
+        F.coalesce(F.sum(F.when(F.col("id").isNull(), F.col("n"))), F.lit(0)).alias("nulls"),
+        F.coalesce(F.sum("bad"), F.lit(0)).alias("bad"),
     ).first()
-    if row["nulls"] or row["values"]:
-        raise ValueError(f"{row['nulls']} null ids and {row['values']} rows with missing values")
-    if not v.frame.groupBy("id").count().where("count > 1").isEmpty():
+    if row["nulls"] or row["bad"]:
+        raise ValueError(f"{row['nulls']} null ids and {row['bad']} rows with missing values")
+    if row["most"] > 1:
         raise ValueError("an id occurs twice")
     return v
 
@@ -95,6 +96,19 @@ def align(views: list[PartyView], policy: str = "complete", default: float = 0.0
     return out
 
 
+def unmatched(v: PartyView, other: PartyView) -> DataFrame:
+    """(id) of the users that another party doesn't have."""
+    return v.frame.select("id").join(other.frame.select("id"), "id", "left_anti")
+
+
+def coverage(views: list[PartyView]) -> DataFrame:
+    """(in_0.., users): how many users are in which parties."""
+    frames = [v.frame.select("id").distinct().withColumn(f"p{k}", F.lit(True)) for k, v in enumerate(views)]
+    both = reduce(lambda a, b: a.join(b, "id", "full_outer"), frames)
+    flags = [F.coalesce(f"p{k}", F.lit(False)).alias(f"in_{k}") for k in range(len(views))]
+    return both.groupBy(*flags).agg(F.count(F.lit(1)).alias("users"))
+
+
 def joined(views: list[PartyView]) -> DataFrame:
     """id and the concatenated attributes of users in all parties: for evaluation only, outside the protocol."""
     frames = [v.frame.withColumnRenamed("x", f"x{k}") for k, v in enumerate(views)]

@@ -5,6 +5,8 @@ from __future__ import annotations
 
 import itertools
 import math
+import warnings
+from collections.abc import Iterator
 
 import numpy as np
 
@@ -12,6 +14,8 @@ from fedgrid.functions.estimators import cardinality
 from fedgrid.privacy import phantoms, sketch_epsilon
 
 MAX_CELLS = 1 << 24
+#: Rounds of a refinement that warns when it hasn't settled by then.
+MAX_ROUNDS = 60_000
 
 
 def _guard(shape: tuple[int, ...]) -> None:
@@ -45,37 +49,53 @@ def leave_one_out(sketch: np.ndarray) -> np.ndarray:
     return out
 
 
+def complement_unions(sketches: list[np.ndarray]) -> Iterator[tuple[tuple[int, ...], np.ndarray]]:
+    """For each choice of all parties' clusters but the last's: the union sketches (repeats x last party's clusters)
+    of the other clusters of every party."""
+    rests = [leave_one_out(s) for s in sketches]
+    for head in itertools.product(*(range(s.shape[1]) for s in sketches[:-1])):
+        u = rests[-1]
+        for r, a in zip(rests, head, strict=False):
+            u = np.maximum(u, r[:, a][:, None])
+        yield head, u
+
+
 def union_of_complements(sketches: list[np.ndarray], gamma: float, mean: str = "harmonic_power") -> np.ndarray:
     """Cardinality read-outs of the union of the other clusters, for every cell."""
     shape = tuple(s.shape[1] for s in sketches)
     _guard(shape)
-    rests = [leave_one_out(s) for s in sketches]
     out = np.empty(shape)
-    last = rests[-1]
-    for head in itertools.product(*map(range, shape[:-1])):
-        u = last
-        for r, a in zip(rests, head, strict=False):
-            u = np.maximum(u, r[:, a][:, None])
+    for head, u in complement_unions(sketches):
         out[head] = cardinality(u, gamma, mean) if u.any() else 0.0
     return out
 
 
+def complement_weights(
+    sketches: list[np.ndarray], n_hat: float, n_p: int, gamma: float, mean: str = "harmonic_power"
+) -> np.ndarray:
+    """Raw weights: all users minus the union of the cell's complements, ``n_p`` phantoms a sketch taken off."""
+    ghosts = sum(s.shape[1] - 1 for s in sketches) * n_p
+    return n_hat - (union_of_complements(sketches, gamma, mean) - ghosts)
+
+
 def complement_union(
     sketches: list[np.ndarray], n_hat: float, eps2: float, delta2: float, gamma: float,
     how: str = "simplex", mean: str = "harmonic_power", calibration: str = "published",
 ) -> np.ndarray:
-    """Users of each cell: all users minus the union of the cell's complements, phantoms taken off."""
+    """Users of each cell by ``complement_weights``, made consistent."""
     n_p = phantoms(sketch_epsilon(eps2, delta2, len(sketches[0]), calibration))
-    ghosts = sum(s.shape[1] - 1 for s in sketches) * n_p
-    raw = n_hat - (union_of_complements(sketches, gamma, mean) - ghosts)
-    return consistent(raw, n_hat, how)
+    return consistent(complement_weights(sketches, n_hat, n_p, gamma, mean), n_hat, how)
+
+
+def size_estimates(sketch: np.ndarray, n_p: int, gamma: float, mean: str = "harmonic_power") -> np.ndarray:
+    """Users of each cluster, ``n_p`` phantoms taken off."""
+    return cardinality(sketch, gamma, mean) - n_p
 
 
 def cluster_sizes(
     sketch: np.ndarray, eps2: float, delta2: float, gamma: float, mean: str = "harmonic_power", calibration: str = "published"
 ) -> np.ndarray:
-    n_p = phantoms(sketch_epsilon(eps2, delta2, len(sketch), calibration))
-    return cardinality(sketch, gamma, mean) - n_p
+    return size_estimates(sketch, phantoms(sketch_epsilon(eps2, delta2, len(sketch), calibration)), gamma, mean)
 
 
 def project(w: np.ndarray, l1: int, l2: int) -> np.ndarray:
@@ -96,16 +116,20 @@ def refine(
     rounds: int | None = None, eta=1.0, order: str = "random", tol: float = 1e-6, update: str = "additive",
     finalize: str = "simplex", clip: bool = True,
 ) -> np.ndarray:
-    """Fits a grid to all two-party tables, one pair a round; ``clip`` cuts negative cells in each round.
+    """Fits a grid to all two-party tables, one pair a round, until a sweep over all pairs moves no cell by more than
+    tol * n_hat, or for exactly so many ``rounds``. A fit that hasn't settled after MAX_ROUNDS warns.
 
-    ``additive`` spreads a cell's difference evenly over its group; ``multiplicative`` scales the group.
-    Stops when a sweep over all pairs moves nothing by more than tol * n_hat.
+    ``additive`` spreads a cell's difference evenly over its group; ``multiplicative`` scales the group. ``clip`` cuts
+    negative cells in each round; without it (the literal form) cells of a product start can't be emptied.
+    ``order``: ``random`` draws an order of the pairs and keeps to it, so that noisy tables that contradict each other
+    settle too; ``cyclic`` takes them as they are; ``independent`` draws each round's pair anew.
     """
     w, pairs = start.astype(float).copy(), sorted(tables)
-    rounds = rounds or max(100, 10 * len(pairs))
-    moved: dict[tuple[int, int], float] = {}
-    for t in range(1, rounds + 1):
-        l1, l2 = pairs[rng.integers(len(pairs))] if order == "random" else pairs[(t - 1) % len(pairs)]
+    if order == "random":
+        pairs = [pairs[i] for i in rng.permutation(len(pairs))]
+    most, before = rounds or MAX_ROUNDS, w
+    for t in range(1, most + 1):
+        l1, l2 = pairs[rng.integers(len(pairs))] if order == "independent" else pairs[(t - 1) % len(pairs)]
         now, want = project(w, l1, l2), tables[l1, l2]
         expand = tuple(slice(None) if a in (l1, l2) else None for a in range(w.ndim))
         if update == "multiplicative":
@@ -113,11 +137,16 @@ def refine(
         else:
             step = eta(t) if callable(eta) else (1 / math.sqrt(t) if eta == "1/sqrt" else float(eta))
             group = w.size // (w.shape[l1] * w.shape[l2])
-            w = w - step / group * (now - want)[expand]
-            w = w.clip(min=0.0) if clip else w
-        moved[l1, l2] = float(np.abs(now - want).max())
-        if len(moved) == len(pairs) and max(moved.values()) < tol * max(n_hat, 1.0):
-            break
+            w = w - (step / group * (now - want))[expand]
+            if clip:
+                np.maximum(w, 0.0, out=w)
+        if t % len(pairs) == 0:
+            if rounds is None and np.abs(w - before).max() <= tol * max(n_hat, 1.0):
+                break
+            before = w
+    else:
+        if rounds is None:
+            warnings.warn(f"the grid hasn't settled after {most} rounds", stacklevel=2)
     return consistent(w, n_hat, finalize)
 
 

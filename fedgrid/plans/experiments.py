@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from fedgrid.operators.kmeans import assign, lloyd, mean_cost
 from fedgrid.operators.measures import relative_error, silhouette, v_measure
-from fedgrid.operators.views import build_views, joined, random_split, ratio_split
+from fedgrid.operators.views import build_views, correlation_split, joined, random_split, ratio_split, validate
 from fedgrid.plans.pipeline import exact_weights, fit, fit_central, party_labels
 from fedgrid.plans.workloads import workload
 from fedgrid.privacy import HashKeys, SketchParams, bytes_per_party, choose_k_local, split
@@ -30,8 +30,14 @@ def params(repeats: int, seed: int, gamma: float = 0.1) -> SketchParams:
     return SketchParams(repeats, gamma, keys(seed, repeats))
 
 
-def _groups(names: list[str], parties: int, seed: int, sizes: list[int] | None) -> list[list[str]]:
-    return ratio_split(names, sizes, seed) if sizes else random_split(names, parties, seed)
+#: Workloads whose correlated attributes go to different parties; all others are dealt at random.
+CORRELATED = ("trip", "indep")
+
+
+def _groups(df: DataFrame, name: str, names: list[str], parties: int, seed: int, sizes: list[int] | None) -> list[list[str]]:
+    if sizes:
+        return ratio_split(names, sizes, seed)
+    return correlation_split(df, names, parties) if name in CORRELATED else random_split(names, parties, seed)
 
 
 def runs(
@@ -41,11 +47,11 @@ def runs(
 ) -> DataFrame:
     """Loss, V-measure and weight error of each method, budget and seed on one workload."""
     df, names = workload(spark, sf_dir, name)
-    df = df.cache()
+    df = df.repartition("id").cache()  # the readers of small files would leave it in one partition
     n, rows = df.count(), []
     truth = None
     for seed in seeds:
-        views = build_views(df, "id", _groups(names, parties, seed, sizes))
+        views = [validate(v) for v in build_views(df, "id", _groups(df, name, names, parties, seed, sizes))]
         wide = joined(views).cache()
         if score:
             found = df.select("id", "y") if "y" in df.columns else None
@@ -56,11 +62,12 @@ def runs(
         for e in eps:
             for method in methods:
                 if method.startswith("central"):
-                    centers = fit_central(wide, k, None if method == "central" else e, seed=seed)
+                    centers = fit_central(wide, k, None if method == "central" else e, seed=seed, delta=1.0 / n,
+                                          noise="laplace" if method == "central_laplace" else "gaussian")
                     row = (k, None, 0, 0.0)
                 else:
                     got = fit(views, k, e, method=method, k_local=k_local, local=local, membership=membership,
-                              params=params(repeats, seed), seed=seed, delta=1.0 / n)
+                              params=params(repeats, seed), seed=seed, delta=1.0 / n, check=False)
                     centers = got.centers
                     labels = [party_labels(v, c) for v, c in zip(views, got.local_centers, strict=True)]
                     exact = exact_weights(labels, [got.k_local] * parties)
@@ -76,44 +83,45 @@ def runs(
     return spark.createDataFrame(rows, RUN)
 
 
-ALL = (*METHODS, "central", "central_private")
+ALL = (*METHODS, "central", "central_private", "central_laplace")
 EPS = (0.5, 1.0, 2.0, 4.0, 8.0)
 
 
-def x1_x2_loss_and_v(spark, sf_dir, names=("gauss", "cust", "loan", "indep"), parties=(2, 4), eps=EPS, seeds=(0,), methods=ALL):
+def x1_x2_loss_and_v(spark, sf_dir, names=("gauss", "trip", "loan", "indep"), parties=(2, 4), eps=EPS, seeds=(0,), methods=ALL):
     """Loss and V-measure against the budget, all methods."""
     parts = [runs(spark, sf_dir, w, s, eps, seeds, methods) for w in names for s in parties]
     return _union(parts)
 
 
-def x3_uneven(spark, sf_dir, eps=(1.0,), seeds=(0,), methods=("pairwise", "independence", "reports_refined")):
+def x3_uneven(spark, sf_dir, eps=(1.0,), seeds=(0,), methods=("pairwise", "independence", "reports_refined"), **how):
     """Even and uneven splits of the attributes."""
-    parts = [runs(spark, sf_dir, w, 2, eps, seeds, methods, sizes=list(s)) for w, many in
+    parts = [runs(spark, sf_dir, w, 2, eps, seeds, methods, sizes=list(s), **how) for w, many in
              (("gauss", ((4, 4), (3, 5), (2, 6))), ("loan", ((8, 8), (6, 10), (4, 12)))) for s in many]
     return _union(parts)
 
 
-def x4_parties(spark, sf_dir, parties=(2, 4, 8), eps=(1.0, 2.0), seeds=(0,), methods=("pairwise", "independence"), k_local=3):
-    return _union([runs(spark, sf_dir, "loan", s, eps, seeds, methods, k_local=k_local) for s in parties])
+def x4_parties(spark, sf_dir, parties=(2, 4, 8), eps=(1.0, 2.0), seeds=(0,), methods=("pairwise", "complement", "independence"), k_local=3, **how):
+    """Loss against the number of parties, at k' = 3 so that eight parties' grid has 6,561 cells."""
+    return _union([runs(spark, sf_dir, "loan", s, eps, seeds, methods, k_local=k_local, **how) for s in parties])
 
 
-def x5_weight_error(spark, sf_dir, parties=(2, 4), eps=EPS, seeds=(0,), methods=METHODS[:-1]):
+def x5_weight_error(spark, sf_dir, parties=(2, 4), eps=EPS, seeds=(0,), methods=METHODS[:-1], **how):
     """Error of the cell weights, local centers held non-private."""
-    return _union([runs(spark, sf_dir, "gauss", s, eps, seeds, methods, local="nonprivate", score=False) for s in parties])
+    return _union([runs(spark, sf_dir, "gauss", s, eps, seeds, methods, local="nonprivate", score=False, **how) for s in parties])
 
 
-def x6_ablation(spark, sf_dir, parties=(2, 4), eps=EPS, seeds=(0,)):
+def x6_ablation(spark, sf_dir, parties=(2, 4), eps=EPS, seeds=(0,), **more):
     """All private; only the weights private; only the local centers private."""
     from pyspark.sql import functions as F
 
     parts = []
     for s in parties:
         for label, how in (("full", {}), ("private weights", {"local": "nonprivate"}), ("private centers", {"membership": "exact"})):
-            parts.append(runs(spark, sf_dir, "gauss", s, eps, seeds, ("pairwise",), **how).withColumn("method", F.lit(label)))
+            parts.append(runs(spark, sf_dir, "gauss", s, eps, seeds, ("pairwise",), **how, **more).withColumn("method", F.lit(label)))
     return _union(parts)
 
 
-def x7_local_clusters(spark, sf_dir, k_locals=range(2, 11), parties=(2,), eps=(1.0, 4.0), seeds=(0,)):
+def x7_local_clusters(spark, sf_dir, k_locals=range(2, 11), parties=(2, 4), eps=(1.0, 4.0), seeds=(0,), repeats=4096):
     """Loss against k', with the k' that the rule chooses in column ``rule``."""
     from pyspark.sql import functions as F
 
@@ -121,8 +129,8 @@ def x7_local_clusters(spark, sf_dir, k_locals=range(2, 11), parties=(2,), eps=(1
     parts = []
     for s in parties:
         for e in eps:
-            rule = choose_k_local(n, 5, s, split(e, 1 / n, s).eps2, 1 / n, 4096)
-            got = [runs(spark, sf_dir, "gauss", s, (e,), seeds, ("pairwise",), k_local=int(q)) for q in k_locals]
+            rule = choose_k_local(n, 5, s, split(e, 1 / n, s).eps2, 1 / n, repeats)
+            got = [runs(spark, sf_dir, "gauss", s, (e,), seeds, ("pairwise",), k_local=int(q), repeats=repeats) for q in k_locals]
             parts.append(_union(got).withColumn("rule", F.lit(rule)))
     return _union(parts)
 
@@ -131,7 +139,7 @@ def x8_costs(spark, sf_dir, k_locals=(5, 8), repeats=(2048, 4096), parties=(2, 4
     """Bytes a party sends and seconds of the server's grid, on 20,000 Gaussian users."""
     from fedgrid.plans.workloads import GAUSS, gaussian_mixture
 
-    df = gaussian_mixture(spark, 20_000).cache()
+    df = gaussian_mixture(spark, 20_000).repartition("id").cache()
     rows = []
     for kk in k_locals:
         for s in parties:
@@ -146,15 +154,15 @@ def x8_costs(spark, sf_dir, k_locals=(5, 8), repeats=(2048, 4096), parties=(2, 4
     return spark.createDataFrame(rows, "k_local int, repeats int, parties int, method string, bytes bigint, grid_seconds double, seconds double")
 
 
-def x9_nonprivate(spark, sf_dir, names=("gauss", "cust", "loan", "indep"), parties=(2, 4), seeds=(0,)):
+def x9_nonprivate(spark, sf_dir, names=("gauss", "trip", "loan", "indep"), parties=(2, 4), seeds=(0,)):
     return _union([runs(spark, sf_dir, w, s, (1.0,), seeds, ("nonprivate", "central")) for w in names for s in parties])
 
 
-def x10_silhouette(spark, sf_dir, names=("gauss", "cust"), ks=range(2, 11)):
+def x10_silhouette(spark, sf_dir, names=("gauss", "trip", "loan", "indep"), ks=range(2, 11)):
     rows = []
     for w in names:
         df, cols = workload(spark, sf_dir, w)
-        wide = joined(build_views(df, "id", [cols])).cache()
+        wide = joined(build_views(df, "id", [cols])).repartition("id").cache()
         rows += [(w, int(k), silhouette(wide, lloyd(wide, int(k), seed=1, n_init=2, max_iter=15))) for k in ks]
     return spark.createDataFrame(rows, "workload string, k int, silhouette double")
 
@@ -168,6 +176,11 @@ def x11_repeats(spark, sf_dir, repeats=(256, 1024, 4096), seeds=(0, 1, 2)):
     return _union(parts)
 
 
+def other_workloads(spark, sf_dir, names=("cust", "doc", "page", "conv"), eps=(8.0,), seeds=(0,), methods=("pairwise", "nonprivate", "central")):
+    """The stand-in workloads beside the published four, at small sketches."""
+    return _union([runs(spark, sf_dir, w, 2, eps, seeds, methods, k=3, repeats=512) for w in names])
+
+
 def _union(parts: list[DataFrame]) -> DataFrame:
     out = parts[0]
     for p in parts[1:]:

@@ -8,23 +8,27 @@ from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fedgrid.operators import local_dp, lsh_forest, weights
+from fedgrid.checkpoints import checkpointed
+from fedgrid.operators import grid_frames, local_dp, lsh_forest, weights
 from fedgrid.operators.kmeans import assign, lloyd, noisy_lloyd, weighted_kmeans
 from fedgrid.operators.sketch import partition_sketch
-from fedgrid.operators.views import PartyView
-from fedgrid.privacy import Budget, HashKeys, Ledger, SketchParams, choose_k_local, laplace, split
+from fedgrid.operators.views import PartyView, validate
+from fedgrid.privacy import Budget, HashKeys, Ledger, SketchParams, choose_k_local, laplace, phantoms, sketch_epsilon, split
 
 METHODS = ("pairwise", "complement", "independence", "reports", "reports_refined", "nonprivate")
 
 
 @dataclass
 class Result:
+    """``grid`` and ``cell_weights`` are arrays; above ``weights.MAX_CELLS`` the weights are rows (a0.., w), and the
+    grid's points aren't listed."""
+
     centers: np.ndarray
-    grid: np.ndarray
-    cell_weights: np.ndarray
+    grid: np.ndarray | None
+    cell_weights: np.ndarray | DataFrame
     local_centers: list[np.ndarray]
     n_hat: float
     k_local: int
@@ -88,30 +92,36 @@ def server_centers(grid: np.ndarray, w: np.ndarray, k: int, seed: int = 0) -> np
 
 def fit(
     views: list[PartyView], k: int, eps: float = 1.0, delta: float | None = None, method: str = "pairwise",
-    k_local: int | str | None = None, local: str = "lsh_forest", params: SketchParams | None = None, seed: int = 0,
-    membership: str = "private", calibration: str = "published", refine: dict | None = None,
+    k_local: int | str | None = None, local: str = "lsh_forest", params: SketchParams | None = None, seed: int | None = None,
+    membership: str = "private", calibration: str = "published", refine: dict | None = None, check: bool = True,
 ) -> Result:
     """The method end to end, by one of METHODS.
 
     ``local='nonprivate'`` is the ablation with exact local centers, ``membership='exact'`` the one with exact
     weights; what such a part would have cost isn't given to the other. ``k_local='auto'`` asks for the user
-    count first and then follows the rule; the default is the final k.
+    count first and then follows the rule; the default is the final k. Without ``delta`` it is one over the (noisy)
+    count. A ``seed`` makes a run repeatable and its noise known: for tests and experiments only; without one noise
+    comes from fresh entropy. ``check`` has every view validated first.
     """
     if method not in METHODS:
         raise ValueError(f"{method} is none of {METHODS}")
+    if check:
+        for v in views:
+            validate(v)
     rng, parties, ledger = np.random.default_rng(seed), len(views), Ledger()
-    private = method != "nonprivate"
-    n_true = views[0].frame.count() if delta is None else None
-    delta = delta or 1.0 / max(n_true, 2)
-    budget = split(eps, delta, parties, method=method)
+    private, reports = method != "nonprivate", method.startswith("reports")
     params = params or SketchParams(4096, 0.1, HashKeys(tuple(int(x) for x in rng.integers(0, 1 << 63, 4096))))
     counter = int(rng.integers(parties))
-    n_hat = 0.0
-    if private and not method.startswith("reports"):
+    counted = private and (not reports or k_local == "auto")
+    budget = split(eps, delta or 0.5, parties, method=method, counted=counted)
+    if counted:
         n_hat = party_count(views[counter], budget.eps0, rng, ledger, counter)
+    else:  # nothing is private, or every user's report will be seen
+        n_hat = float(views[0].frame.count()) if delta is None or k_local == "auto" else 0.0
+    delta = delta or 1.0 / max(n_hat, 2.0)
+    budget = split(eps, delta, parties, method=method, counted=counted)
     if k_local == "auto":
-        n_rule = n_hat or float(views[0].frame.count())
-        k_local = choose_k_local(n_rule, k, parties, budget.eps2, delta, params.repeats)
+        k_local = choose_k_local(n_hat, k, parties, budget.eps2, delta, params.repeats)
     k_local = int(k_local or k)
     local = local if private else "nonprivate"
     seeds = [int(s) for s in rng.integers(1 << 31, size=parties)]
@@ -123,8 +133,11 @@ def fit(
     with ThreadPoolExecutor(max_workers=min(parties, 4)) as pool:  # the parties' jobs overlap
         centers = list(pool.map(one, range(parties)))
     labels = [party_labels(v, c) for v, c in zip(views, centers, strict=True)]
-    result = Result(np.zeros(0), weights.grid_points(centers), np.zeros(0), centers, n_hat, k_local, ledger)
+    many = k_local**parties > weights.MAX_CELLS and membership == "private" and method in ("pairwise", "complement")
+    grid = None if many else weights.grid_points(centers)
+    result = Result(np.zeros(0), grid, np.zeros(0), centers, n_hat, k_local, ledger)
     result.messages = [(p, "message") for p in range(parties)]
+    final = int(rng.integers(1 << 31))
     if not private or membership == "exact":
         began = time.perf_counter()
         w = exact_weights(labels, [k_local] * parties)
@@ -132,11 +145,28 @@ def fit(
     else:
         message = _messages(labels, method, k_local, budget, params, rng, calibration, ledger)
         began = time.perf_counter()
+        if many:
+            return _frames(result, message, method, budget, params.gamma, k, calibration, final, began, refine or {})
         w = _server_weights(message, method, n_hat, budget, params.public(), k_local, rng, calibration, refine or {})
         result.n_hat = n_hat or float(w.sum())
     result.cell_weights = w
     result.grid_seconds = time.perf_counter() - began
-    result.centers = server_centers(result.grid, w, k, seed)
+    result.centers = server_centers(result.grid, w, k, final)
+    return result
+
+
+def _frames(result, message, method, budget: Budget, gamma, k, calibration, seed, began, refine) -> Result:
+    """The server's part on rows, for grids that are too large for one machine's tensor."""
+    spark = SparkSession.active()
+    n_p = phantoms(sketch_epsilon(budget.eps2, budget.delta2, len(message[0]), calibration))
+    if method == "pairwise":
+        made = grid_frames.pairwise_refined_frame(spark, message, result.n_hat, n_p, gamma, seed=seed, **refine)
+    else:
+        made = grid_frames.complement_frame(spark, message, result.n_hat, n_p, gamma)
+    result.cell_weights = checkpointed(made)
+    result.grid_seconds = time.perf_counter() - began
+    points = grid_frames.weighted_points(result.cell_weights, result.local_centers)
+    result.centers = lloyd(points, k, weight="w", seed=seed, n_init=2)
     return result
 
 
@@ -149,7 +179,7 @@ def _messages(labels, method, k, budget: Budget, params, rng, calibration, ledge
         elif method.startswith("reports"):
             ledger.charge(p, "membership", budget.eps2)
             key = int(rng.integers(1 << 62))
-            out.append(local_dp.grr(frame, k, budget.eps2, str(key)) if protocol == "grr" else local_dp.olh(frame, k, budget.eps2, key))
+            out.append(local_dp.grr(frame, k, budget.eps2, str(key)) if protocol == "grr" else local_dp.olh(frame, k, budget.eps2, str(key)))
         else:
             out.append(partition_sketch(frame, k, budget.eps2, budget.delta2, params, rng, calibration, ledger, p))
     return out
@@ -172,11 +202,24 @@ def _server_weights(message, method, n_hat, budget: Budget, params, k, rng, cali
     return weights.consistent(table, table.sum())
 
 
-def fit_central(df: DataFrame, k: int, eps: float | None, local: str = "lsh_forest", seed: int = 0, ledger=None) -> np.ndarray:
-    """Central clustering of all columns: non-private without ``eps``, else private with the full budget."""
+def fit_central(
+    df: DataFrame, k: int, eps: float | None, local: str = "lsh_forest", seed: int | None = None, ledger=None,
+    noise: str = "gaussian", delta: float | None = None, l2_bound: float | None = None,
+) -> np.ndarray:
+    """Central clustering of all columns: non-private without ``eps``, else private with the full budget.
+
+    The private baseline is the hash forest in its central form: a public bound on the points' norm (by default that
+    of attributes in [-1, 1]) and Gaussian noise; ``noise='laplace'`` is the vertical form on all columns.
+    """
     rng = np.random.default_rng(seed)
+    seed = int(rng.integers(1 << 31)) if seed is None else seed
     if eps is None:
         return lloyd(df, k, seed=seed, n_init=3, max_iter=20, tol=1e-4)
     if local == "noisy_lloyd":
         return noisy_lloyd(df, k, eps, rng, ledger=ledger)
-    return lsh_forest.fit(df, k, eps, rng, seed=seed, ledger=ledger)
+    if noise == "gaussian" and delta is None:  # the count is charged too
+        eps0, eps = 0.02 * eps, 0.98 * eps
+        delta = 1.0 / max(float(laplace(df.count(), 1.0, eps0, rng)), 2.0)
+        if ledger is not None:
+            ledger.charge(0, "count", eps0)
+    return lsh_forest.fit(df, k, eps, rng, delta=delta or 0.0, noise=noise, l2_bound=l2_bound, seed=seed, ledger=ledger)

@@ -51,9 +51,10 @@ def loan_raw(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def loan(spark: SparkSession, sf_dir: str, clip: bool = False) -> DataFrame:
+def loan(spark: SparkSession, sf_dir: str, clip: bool = True) -> DataFrame:
+    """All attributes cut at their 95 % quantiles, then scaled."""
     raw = loan_raw(spark, sf_dir)
-    raw = clip_upper(raw, ["l_extendedprice", "o_totalprice", "net_price"]) if clip else raw
+    raw = clip_upper(raw, LOAN) if clip else raw
     return scale_to_range(raw, RANGES).select("id", *LOAN)
 
 

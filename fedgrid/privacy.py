@@ -33,9 +33,10 @@ class Budget:
         return self.delta / self.parties
 
 
-def split(eps: float, delta: float, parties: int, b: float = 0.98, method: str = "pairwise") -> Budget:
-    """Reports count users for free (each one reports), so they keep nothing back for the count."""
-    return Budget(eps, delta, parties, 1.0 if method.startswith("reports") else b)
+def split(eps: float, delta: float, parties: int, b: float = 0.98, method: str = "pairwise", counted: bool = False) -> Budget:
+    """Reports count users for free (each one reports), so they keep nothing back for the count, unless it is
+    wanted beforehand (``counted``)."""
+    return Budget(eps, delta, parties, 1.0 if method.startswith("reports") and not counted else b)
 
 
 def laplace(values, sensitivity: float, eps: float, rng: np.random.Generator) -> np.ndarray:
@@ -44,10 +45,58 @@ def laplace(values, sensitivity: float, eps: float, rng: np.random.Generator) ->
     return values + rng.laplace(0.0, sensitivity / eps, values.shape)
 
 
+def gaussian_scale(l2: float, eps: float, delta: float) -> float:
+    """The least standard deviation that gives (eps, delta) for L2 sensitivity ``l2``, valid for every eps > 0.
+
+    Bisection on the exact privacy curve of Gaussian noise; the classic closed form holds for eps up to 1 only.
+    """
+    if eps <= 0 or not 0 < delta < 1:
+        raise ValueError(f"no Gaussian noise gives eps = {eps}, delta = {delta}")
+
+    def tail(x: float) -> float:
+        return 0.5 * math.erfc(-x / math.sqrt(2.0))
+
+    def spent(sd: float) -> float:
+        a, b = l2 / (2 * sd), eps * sd / l2
+        scaled = math.exp(min(eps, 700.0)) * tail(-a - b)
+        return tail(a - b) - scaled
+
+    low, high = 1e-6 * l2, l2
+    while spent(high) > delta:
+        high *= 2
+    for _ in range(200):
+        middle = (low + high) / 2
+        low, high = (middle, high) if spent(middle) > delta else (low, middle)
+    return high
+
+
 def gaussian(values, l2: float, eps: float, delta: float, rng: np.random.Generator) -> np.ndarray:
-    """The classic Gaussian mechanism for L2 sensitivity ``l2`` (eps at most 1 gives the usual proof)."""
+    """Values plus Gaussian noise for L2 sensitivity ``l2``."""
     values = np.asarray(values, float)
-    return values + rng.normal(0.0, l2 * math.sqrt(2 * math.log(1.25 / delta)) / eps, values.shape)
+    return values + rng.normal(0.0, gaussian_scale(l2, eps, delta), values.shape)
+
+
+class HashedNoise:
+    """Stands for a random generator where a run must be repeated by other means (tests, SQL): draw number i is
+    the md5 uniform of "tag|i". Not private: whoever knows the tag can take the noise off."""
+
+    def __init__(self, tag: str):
+        self.tag, self.drawn = tag, 0
+
+    def _next(self, size) -> np.ndarray:
+        shape = () if size is None else (size,) if np.isscalar(size) else tuple(size)
+        count = math.prod(shape)
+        texts = [f"{self.tag}|{i}".encode() for i in range(self.drawn, self.drawn + count)]
+        self.drawn += count
+        u = [(int(hashlib.md5(t).hexdigest()[:15], 16) + 1) / float(1 << 60) for t in texts]
+        return np.array(u).reshape(shape)
+
+    def uniform(self, low: float = 0.0, high: float = 1.0, size=None) -> np.ndarray:
+        return low + (high - low) * self._next(size)
+
+    def laplace(self, loc: float = 0.0, scale: float = 1.0, size=None) -> np.ndarray:
+        u = self._next(size)
+        return loc + np.where(u < 0.5, scale * np.log(2 * u), -scale * np.log(2 * (1 - u) + 1e-18))
 
 
 @dataclass

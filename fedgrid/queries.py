@@ -6,8 +6,8 @@ computes the same rows.
 
 from __future__ import annotations
 
+import itertools
 import math
-import tempfile
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -15,11 +15,12 @@ from pyspark.sql import functions as F
 
 from fedgrid.functions import columns as C
 from fedgrid.functions.estimators import bias, cardinality_column
-from fedgrid.operators import kmeans, local_dp, measures, sketch
+from fedgrid import checkpoints
+from fedgrid.operators import grid_frames, kmeans, local_dp, lsh_forest, measures, sketch, views, weights
 from fedgrid.plans import experiments as X
 from fedgrid.plans import pipeline, workloads
-from fedgrid.operators.views import build_views, correlations
-from fedgrid.privacy import bytes_per_party, choose_k_local, floor_value, phantoms, split
+from fedgrid.operators.views import PartyView, build_views, correlations
+from fedgrid.privacy import HashedNoise, bytes_per_party, choose_k_local, floor_value, phantoms, split
 from fedgrid.sources.tables import first_records, load
 from fedgrid.streaming import sketches as streams
 
@@ -64,18 +65,43 @@ def long_labels(spark: SparkSession, sf: str) -> DataFrame:
 
 def long_sketch(spark: SparkSession, sf: str) -> DataFrame:
     """(party, a, i, alpha) without noise, over M md5 keys."""
-    keyed = long_labels(spark, sf).select("party", "a", "id", F.explode(F.sequence(F.lit(1), F.lit(M))).alias("i"))
-    value = C.geometric_from_uniform(C.md5_uniform("id", "i"), GAMMA)
-    return keyed.groupBy("party", "a", "i").agg(F.max(value).alias("alpha"))
+    return sketch.sketch_rows(long_labels(spark, sf), M, GAMMA, by=("party", "a"))
+
+
+def party_sketches(spark: SparkSession, sf: str, parties=(1, 2, 3)) -> list[np.ndarray]:
+    """The released tables (M x 3) of the parties, as the server gets them."""
+    df = labels(spark, sf)
+    return [sketch.collected(sketch.sketch_rows(df.select("id", F.col(f"a{p}").alias("a")), M, GAMMA), 3, M) for p in parties]
+
+
+def sketch_frame(spark: SparkSession, tables: dict[int, np.ndarray], value: str = "alpha") -> DataFrame:
+    """Tables by party as (party, a, i, value) rows."""
+    rows = [(p, a, i + 1, int(t[i, a])) for p, t in tables.items() for i in range(t.shape[0]) for a in range(t.shape[1])]
+    return spark.createDataFrame(rows, f"party int, a int, i bigint, {value} int")
+
+
+def label_frames(spark: SparkSession, sf: str, names=("a1", "a2")) -> list[DataFrame]:
+    df = labels(spark, sf)
+    return [df.select("id", F.col(c).alias("a")) for c in names]
+
+
+def exact(spark: SparkSession, sf: str, names=("a1", "a2", "a3")) -> np.ndarray:
+    return pipeline.exact_weights(label_frames(spark, sf, names), [3] * len(names))
+
+
+def _view(df: DataFrame, key: str) -> PartyView:
+    """Users alone, without attributes."""
+    return PartyView(df.select(F.col(key).alias("id"), F.array(F.lit(0.0)).alias("x")).distinct(), ("one",))
 
 
 def _values(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
     return spark.createDataFrame(rows, schema)
 
 
-def _cells(spark: SparkSession) -> DataFrame:
-    """The nine cells of two parties."""
-    return spark.range(9).select((F.floor(F.col("id") / 3)).cast("int").alias("a1"), (F.col("id") % 3).cast("int").alias("a2"))
+def _grid_rows(spark: SparkSession, w: np.ndarray, digits: int | None, names=("a1", "a2", "a3")) -> DataFrame:
+    kind, read = ("bigint", lambda v: int(round(v))) if digits is None else ("double", lambda v: round(float(v), digits))
+    rows = [(*map(int, i), read(w[i])) for i in np.ndindex(w.shape)]
+    return spark.createDataFrame(rows, ", ".join(f"{n} int" for n in names[: w.ndim]) + f", w {kind}")
 
 
 QUERIES: dict[str, object] = {}
@@ -189,26 +215,36 @@ def _(spark, sf):
 @query("align_complete", """
 SELECT DISTINCT c_custkey AS id FROM customer JOIN orders ON c_custkey = o_custkey JOIN events ON c_custkey = user_id""")
 def _(spark, sf):
-    c = load(spark, sf, "customer").select(F.col("c_custkey").alias("id"))
-    for name, key in (("orders", "o_custkey"), ("events", "user_id")):
-        c = c.join(load(spark, sf, name).select(F.col(key).alias("id")), "id", "left_semi")
-    return c
+    parts = [_view(load(spark, sf, t), key) for t, key in (("customer", "c_custkey"), ("orders", "o_custkey"), ("events", "user_id"))]
+    return views.align(parts, "complete")[0].frame.select("id")
+
+
+@query("align_semi", "SELECT DISTINCT user_id AS id FROM events WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = user_id)")
+def _(spark, sf):
+    parts = [_view(load(spark, sf, "orders"), "o_custkey"), _view(load(spark, sf, "events"), "user_id")]
+    return views.align(parts, "complete")[1].frame.select("id")
+
+
+@query("align_impute", """
+SELECT c_custkey AS id, count(user_id) = 0 AS filled FROM customer LEFT JOIN (SELECT DISTINCT user_id FROM events) ON user_id = c_custkey GROUP BY c_custkey""")
+def _(spark, sf):
+    parts = [_view(load(spark, sf, "customer"), "c_custkey"), _view(load(spark, sf, "events").where("user_id < 1000000000"), "user_id")]
+    got = views.align(parts, "impute", default=-1.0)[1].frame
+    return got.join(parts[0].frame.select("id"), "id", "left_semi").select("id", (F.get("x", F.lit(0)) == -1.0).alias("filled"))
 
 
 @query("align_coverage_fullouter", """
 SELECT o IS NOT NULL AS in_orders, e IS NOT NULL AS in_events, count(*) AS users
 FROM (SELECT DISTINCT o_custkey AS o FROM orders) FULL JOIN (SELECT DISTINCT user_id AS e FROM events) ON o = e GROUP BY 1, 2""")
 def _(spark, sf):
-    o = load(spark, sf, "orders").select(F.col("o_custkey").alias("o")).distinct()
-    e = load(spark, sf, "events").select(F.col("user_id").alias("e")).distinct()
-    both = o.join(e, F.col("o") == F.col("e"), "full_outer")
-    return both.groupBy(F.col("o").isNotNull().alias("in_orders"), F.col("e").isNotNull().alias("in_events")).agg(F.count(F.lit(1)).alias("users"))
+    got = views.coverage([_view(load(spark, sf, "orders"), "o_custkey"), _view(load(spark, sf, "events"), "user_id")])
+    return got.withColumnsRenamed({"in_0": "in_orders", "in_1": "in_events"})
 
 
 @query("align_anti", "SELECT o_orderkey FROM orders WHERE NOT EXISTS (SELECT 1 FROM lineitem WHERE l_orderkey = o_orderkey)")
 def _(spark, sf):
-    lines = load(spark, sf, "lineitem").select("l_orderkey")
-    return load(spark, sf, "orders").join(lines, F.col("o_orderkey") == F.col("l_orderkey"), "left_anti").select("o_orderkey")
+    got = views.unmatched(_view(load(spark, sf, "orders"), "o_orderkey"), _view(load(spark, sf, "lineitem"), "l_orderkey"))
+    return got.withColumnRenamed("id", "o_orderkey")
 
 
 @query("pair_correlations_cust", """
@@ -268,24 +304,49 @@ def _(spark, sf):
     return _values(spark, rows, "a int, cost double, w double")
 
 
+def _lloyd_sql(rounds: int, weight: str = "1") -> str:
+    """So many Lloyd steps from CENTERS, one CTE after the other."""
+    start = ", ".join(f"({k}, {a!r}, {b!r})" for k, (a, b) in enumerate(CENTERS))
+    parts = [f"WITH {_POINTS}, q AS (SELECT id, x0, x1, CAST({weight} AS DOUBLE) AS w FROM p JOIN customer ON id = c_custkey)",
+             f"k0(a, c0, c1) AS (VALUES {start})"]
+    for t in range(1, rounds + 1):
+        d = f"(x0 - c0) * (x0 - c0) + (x1 - c1) * (x1 - c1)"
+        parts.append(f"n{t} AS MATERIALIZED (SELECT id, any_value(x0) AS x0, any_value(x1) AS x1, any_value(w) AS w, arg_min(a, {d}) AS a FROM q, k{t - 1} GROUP BY id)")
+        parts.append(f"k{t}(a, c0, c1) AS MATERIALIZED (SELECT a, sum(w * x0) / sum(w), sum(w * x1) / sum(w) FROM n{t} GROUP BY a)")
+    return ", ".join(parts) + f" SELECT a, round(c0, 6) AS c0, round(c1, 6) AS c1 FROM k{rounds}"
+
+
+def _center_rows(spark, c):
+    return _values(spark, [(a, round(float(x[0]), 6), round(float(x[1]), 6)) for a, x in enumerate(c)], "a int, c0 double, c1 double")
+
+
+@query("lloyd_five_steps", _lloyd_sql(5))
+def _(spark, sf):
+    return _center_rows(spark, kmeans.lloyd(points(spark, sf), 3, init=np.array(CENTERS), max_iter=5, tol=0.0))
+
+
+@query("weighted_lloyd_step_grid", _lloyd_sql(1, "c_nationkey + 1"))
+def _(spark, sf):
+    w = load(spark, sf, "customer").select(F.col("c_custkey").alias("id"), (F.col("c_nationkey") + 1).alias("w"))
+    return _center_rows(spark, kmeans.lloyd(points(spark, sf).join(w, "id"), 3, weight="w", init=np.array(CENTERS), max_iter=1))
+
+
+@query("mean_cost", f"WITH {_POINTS} SELECT round(avg(d), 6) AS mean_cost FROM n")
+def _(spark, sf):
+    return _values(spark, [(round(kmeans.mean_cost(points(spark, sf), np.array(CENTERS)), 6),)], "mean_cost double")
+
+
 _LAP = "(CASE WHEN {u} < 0.5 THEN {s} * ln(2 * {u}) ELSE -{s} * ln(2 * (1 - {u}) + 1e-18) END)"
 
 
+# budget 0.5 in one round: counts get Laplace(4), each of two sums Laplace(8); draws in the order counts, sums by cluster
 @query("noisy_lloyd_step", f"""
 WITH {_POINTS}, g AS (SELECT a, count(*) AS n, sum(x0) AS s0, sum(x1) AS s1 FROM n GROUP BY a
-), z AS (SELECT a, n + {_LAP.format(u=U.format("'n' || a"), s=4.0)} AS n, s0 + {_LAP.format(u=U.format("'s0' || a"), s=8.0)} AS s0,
-                s1 + {_LAP.format(u=U.format("'s1' || a"), s=8.0)} AS s1 FROM g)
-SELECT a, round(n, 4) AS n, round(greatest(least(s0 / n, 1), -1), 6) AS c0, round(greatest(least(s1 / n, 1), -1), 6) AS c1 FROM z""")
+), z AS (SELECT a, n + {_LAP.format(u=U.format("'nl|' || a"), s=4.0)} AS n, s0 + {_LAP.format(u=U.format("'nl|' || (3 + 2 * a)"), s=8.0)} AS s0,
+                s1 + {_LAP.format(u=U.format("'nl|' || (4 + 2 * a)"), s=8.0)} AS s1 FROM g)
+SELECT a, round(greatest(least(s0 / n, 1), -1), 6) AS c0, round(greatest(least(s1 / n, 1), -1), 6) AS c1 FROM z""")
 def _(spark, sf):
-    g = kmeans.assign(points(spark, sf), np.array(CENTERS)).groupBy("a").agg(
-        F.count(F.lit(1)).alias("n"), F.sum(F.get("x", F.lit(0))).alias("s0"), F.sum(F.get("x", F.lit(1))).alias("s1"))
-
-    def noise(tag, s):
-        return C.laplace_from_uniform(C.md5_uniform(F.concat(F.lit(tag), F.col("a").cast("string"))), s)
-
-    z = g.select("a", (F.col("n") + noise("n", 4.0)).alias("n"), (F.col("s0") + noise("s0", 8.0)).alias("s0"), (F.col("s1") + noise("s1", 8.0)).alias("s1"))
-    cut = [F.round(F.greatest(F.least(F.col(s) / F.col("n"), F.lit(1.0)), F.lit(-1.0)), 6) for s in ("s0", "s1")]
-    return z.select("a", F.round("n", 4).alias("n"), cut[0].alias("c0"), cut[1].alias("c1"))
+    return _center_rows(spark, kmeans.noisy_lloyd(points(spark, sf), 3, 0.5, HashedNoise("nl"), iters=1, init=np.array(CENTERS)))
 
 
 PLANES = [[0.8, -0.6], [0.3, 0.9], [-0.5, 0.4]]
@@ -294,20 +355,17 @@ _CODE = " + ".join(f"(CASE WHEN 0.0 + x0 * {a!r} + x1 * {b!r} >= 0 THEN {1 << (2
 
 @query("lsh_codes", f"WITH {_POINTS} SELECT id, CAST({_CODE} AS BIGINT) AS code FROM p")
 def _(spark, sf):
-    from fedgrid.operators.lsh_forest import code
-
-    return points(spark, sf).select("id", code(F.col("x"), np.array(PLANES)).alias("code"))
+    return points(spark, sf).select("id", lsh_forest.code(F.col("x"), np.array(PLANES)).alias("code"))
 
 
 @query("lsh_prefix_counts", f"""
 WITH {_POINTS}, c AS (SELECT CAST({_CODE} AS BIGINT) AS code FROM p)
 SELECT depth, code >> (3 - depth) AS prefix, count(*) AS n FROM c, (SELECT unnest(range(4)) AS depth) GROUP BY 1, 2""")
 def _(spark, sf):
-    from fedgrid.operators.lsh_forest import code
-
-    c = points(spark, sf).select(code(F.col("x"), np.array(PLANES)).alias("code")).groupBy("code").agg(F.count(F.lit(1)).alias("n"))
-    levels = F.array(*[F.struct(F.lit(d).cast("bigint").alias("depth"), F.shiftright("code", 3 - d).alias("prefix")) for d in range(4)])
-    return c.select("n", F.inline(levels)).groupBy("depth", "prefix").agg(F.sum("n").alias("n"))
+    leaves = lsh_forest.leaf_sums(points(spark, sf), [np.array(PLANES)], radius=1.0)[0]
+    tables = [lsh_forest.prefix_table(leaves, d) for d in range(4)]
+    rows = [(d, p, int(t[p, 0])) for d, t in enumerate(tables) for p in range(1 << d) if t[p, 0]]
+    return _values(spark, rows, "depth bigint, prefix bigint, n bigint")
 
 
 # ---- exact grids, marginals, identity ----------------------------------------------------------------
@@ -316,24 +374,26 @@ def _(spark, sf):
 @query("exact_grid_s2", f"""
 WITH {LABELS}, {GRID2} SELECT c.a1, c.a2, count(id) AS w FROM cells c LEFT JOIN labels l ON c.a1 = l.a1 AND c.a2 = l.a2 GROUP BY c.a1, c.a2""")
 def _(spark, sf):
-    own = labels(spark, sf).groupBy("a1", "a2").agg(F.count(F.lit(1)).alias("w"))
-    return _cells(spark).join(own, ["a1", "a2"], "left").select("a1", "a2", F.coalesce("w", F.lit(0)).alias("w"))
+    return _grid_rows(spark, exact(spark, sf, ("a1", "a2")), None)
 
 
 @query("exact_grid_s3", f"WITH {LABELS} SELECT a1, a2, a3, count(*) AS w FROM labels GROUP BY a1, a2, a3")
 def _(spark, sf):
-    df = labels(spark, sf)
-    w = pipeline.exact_weights([df.select("id", F.col(c).alias("a")) for c in ("a1", "a2", "a3")], [3, 3, 3])
-    rows = [(*map(int, i), int(w[i])) for i in np.ndindex(w.shape) if w[i]]
-    return _values(spark, rows, "a1 int, a2 int, a3 int, w bigint")
+    return _grid_rows(spark, exact(spark, sf), None).where("w > 0")
+
+
+@query("exact_grid_s4", f"""
+WITH {LABELS} SELECT a1, a2, a3, CAST(id % 2 AS INT) AS a4, count(*) AS w FROM labels GROUP BY ALL""")
+def _(spark, sf):
+    df = labels(spark, sf).withColumn("a4", (F.col("id") % 2).cast("int"))
+    w = pipeline.exact_weights([df.select("id", F.col(c).alias("a")) for c in ("a1", "a2", "a3", "a4")], [3, 3, 3, 2])
+    return _grid_rows(spark, w, None, ("a1", "a2", "a3", "a4")).where("w > 0")
 
 
 @query("grid_points_cross", """
 SELECT p.a AS a1, q.a AS a2, p.x AS x, q.y AS y FROM (VALUES (0, -0.5), (1, 0.5)) p(a, x), (VALUES (0, -0.3), (1, 0.0), (2, 0.3)) q(a, y)""")
 def _(spark, sf):
-    from fedgrid.operators.weights import grid_points
-
-    g = grid_points([np.array([[-0.5], [0.5]]), np.array([[-0.3], [0.0], [0.3]])])
+    g = weights.grid_points([np.array([[-0.5], [0.5]]), np.array([[-0.3], [0.0], [0.3]])])
     rows = [(i // 3, i % 3, float(p[0]), float(p[1])) for i, p in enumerate(g)]
     return _values(spark, rows, "a1 int, a2 int, x double, y double")
 
@@ -341,56 +401,43 @@ def _(spark, sf):
 @query("pair_marginals_grouping_sets", f"""
 WITH {LABELS} SELECT a1, a2, a3, count(*) AS w FROM labels GROUP BY GROUPING SETS ((a1, a2), (a1, a3), (a2, a3))""")
 def _(spark, sf):
-    df = labels(spark, sf).groupBy("a1", "a2", "a3").agg(F.count(F.lit(1)).alias("n"))
-    sets = [[F.col("a1"), F.col("a2")], [F.col("a1"), F.col("a3")], [F.col("a2"), F.col("a3")]]
-    return df.groupingSets(sets, "a1", "a2", "a3").agg(F.sum("n").alias("w"))
+    return grid_frames.pair_tables(labels(spark, sf), ["a1", "a2", "a3"])
 
 
 @query("project_grid_pair", f"WITH {LABELS} SELECT a1, a3, count(*) AS w FROM labels GROUP BY a1, a3")
 def _(spark, sf):
-    grid = labels(spark, sf).groupBy("a1", "a2", "a3").agg(F.count(F.lit(1)).alias("n"))
-    return grid.groupBy("a1", "a3").agg(F.sum("n").alias("w"))
+    return _grid_rows(spark, weights.project(exact(spark, sf), 0, 2), None, ("a1", "a3")).where("w > 0")
 
 
+# the users outside of the union of the complements are counted as such, and compared with the cell itself
 @query("complement_identity_check", f"""
 WITH {LABELS}, {GRID2} SELECT c.a1, c.a2, count(*) FILTER (l.a1 = c.a1 AND l.a2 = c.a2) AS inside, count(*) FILTER (l.a1 <> c.a1 OR l.a2 <> c.a2) AS rest
 FROM cells c, labels l GROUP BY c.a1, c.a2""")
 def _(spark, sf):
-    own = labels(spark, sf).groupBy("a1", "a2").agg(F.count(F.lit(1)).alias("w"))
-    total = Window.partitionBy(F.lit(0))
-    cells = _cells(spark).join(own, ["a1", "a2"], "left").select("a1", "a2", F.coalesce("w", F.lit(0)).alias("inside"))
-    return cells.select("a1", "a2", "inside", (F.sum("inside").over(total) - F.col("inside")).alias("rest"))
+    w = exact(spark, sf, ("a1", "a2"))
+    cells = F.array(*[F.struct(F.lit(i).alias("c1"), F.lit(j).alias("c2")) for i, j in itertools.product(range(3), repeat=2)])
+    away = labels(spark, sf).select("id", "a1", "a2", F.inline(cells)).where("a1 <> c1 OR a2 <> c2")
+    away = away.groupBy("c1", "c2").agg(F.count_distinct("id").alias("rest"))
+    rows = _grid_rows(spark, w, None).withColumnRenamed("w", "inside")
+    return rows.join(away, (F.col("a1") == F.col("c1")) & (F.col("a2") == F.col("c2"))).select("a1", "a2", "inside", "rest")
 
 
 @query("independence_nonoise", f"""
 WITH {LABELS}, n AS (SELECT count(*) AS n FROM labels), p AS (SELECT a1, count(*) AS f FROM labels GROUP BY a1), q AS (SELECT a2, count(*) AS f FROM labels GROUP BY a2)
 SELECT a1, a2, round(n * (p.f / n) * (q.f / n), 4) AS w FROM p, q, n""")
 def _(spark, sf):
-    return _independence(spark, sf, 0.0)
+    w = exact(spark, sf, ("a1", "a2"))
+    return _grid_rows(spark, weights.independence([w.sum(1), w.sum(0)], w.sum()), 4)
 
 
 @query("independence_noisy_md5", f"""
 WITH {LABELS}, n AS (SELECT count(*) AS n FROM labels),
-p AS (SELECT a1, greatest(count(*) + {_LAP.format(u=U.format("'h1' || a1"), s=4.0)}, 0) AS f FROM labels GROUP BY a1),
-q AS (SELECT a2, greatest(count(*) + {_LAP.format(u=U.format("'h2' || a2"), s=4.0)}, 0) AS f FROM labels GROUP BY a2)
+p AS (SELECT a1, greatest(count(*) + {_LAP.format(u=U.format("'h1|' || a1"), s=4.0)}, 0) AS f FROM labels GROUP BY a1),
+q AS (SELECT a2, greatest(count(*) + {_LAP.format(u=U.format("'h2|' || a2"), s=4.0)}, 0) AS f FROM labels GROUP BY a2)
 SELECT a1, a2, round(n * (p.f / n) * (q.f / n), 4) AS w FROM p, q, n""")
 def _(spark, sf):
-    return _independence(spark, sf, 4.0)
-
-
-def _independence(spark, sf, s):
-    df = labels(spark, sf)
-    n = df.agg(F.count(F.lit(1)).alias("n"))
-
-    def side(c, tag):
-        f = F.count(F.lit(1))
-        rows = df.groupBy(c).agg(f.alias("f"))
-        noise = C.laplace_from_uniform(C.md5_uniform(F.concat(F.lit(tag), F.col(c).cast("string"))), s) if s else F.lit(0.0)
-        return rows.select(c, F.greatest(F.col("f") + noise, F.lit(0.0)).alias(f"f_{c}"))
-
-    both = _cells(spark).join(F.broadcast(side("a1", "h1")), "a1").join(F.broadcast(side("a2", "h2")), "a2")
-    total = n.first()["n"]
-    return both.select("a1", "a2", F.round(total * (F.col("f_a1") / total) * (F.col("f_a2") / total), 4).alias("w"))
+    parts = [pipeline.party_histogram(f, 3, 0.25, HashedNoise(t)) for f, t in zip(label_frames(spark, sf), ("h1", "h2"), strict=True)]
+    return _grid_rows(spark, weights.independence(parts, labels(spark, sf).count()), 4)
 
 
 # ---- sketches ----------------------------------------------------------------------------------------
@@ -419,7 +466,11 @@ def _(spark, sf):
 
 @query("fm_union_max", f"WITH {LABELS} {SKETCH} SELECT party, i, max(alpha) AS alpha FROM long GROUP BY party, i")
 def _(spark, sf):
-    return long_sketch(spark, sf).groupBy("party", F.col("i").cast("bigint").alias("i")).agg(F.max("alpha").alias("alpha"))
+    joined = [t[:, [0]] for t in party_sketches(spark, sf)]
+    for p, t in enumerate(party_sketches(spark, sf)):
+        for a in (1, 2):
+            joined[p] = sketch.union(joined[p], t[:, [a]])
+    return sketch_frame(spark, {p + 1: t for p, t in enumerate(joined)}).drop("a")
 
 
 @query("fm_cardinality_corrected", f"WITH {LABELS} {SKETCH} SELECT party, a, round(count(*) / sum(pow({1 + GAMMA!r}, -alpha)) * {bias(GAMMA)!r}, 4) AS n FROM long GROUP BY party, a")
@@ -430,55 +481,39 @@ def _(spark, sf):
 
 @query("fm_min_hash_rewrite", f"WITH {LABELS} {SKETCH} SELECT a, i, alpha FROM long WHERE party = 2")
 def _(spark, sf):
-    keyed = labels(spark, sf).select("id", F.col("a2").alias("a"), F.explode(F.sequence(F.lit(1), F.lit(M))).alias("i"))
-    least = keyed.groupBy("a", "i").agg(F.min(C.md5_uniform("id", "i")).alias("u"))
-    return least.select("a", F.col("i").cast("bigint").alias("i"), C.geometric_from_uniform(F.col("u"), GAMMA).alias("alpha"))
+    rows = sketch.sketch_rows(labels(spark, sf).select("id", F.col("a2").alias("a")), M, GAMMA)
+    return rows.select("a", F.col("i").cast("bigint").alias("i"), "alpha")
 
 
 EPS_ROW = 0.5
 _NP, _FLOOR = phantoms(EPS_ROW), floor_value(EPS_ROW, GAMMA)
 
 
+# phantoms of a cell are one draw from the distribution of their maximum; draws go by repeat, then cluster
 @query("dp_sketch_floor_phantom", f"""
 WITH {LABELS} {SKETCH}, ghosts AS (
-  SELECT party, a, i, max(CAST(greatest(ceil(-ln({U.format("'g' || party || '|' || a || '|' || i || '|' || j")}) / {LOG!r}), 1) AS INT)) AS g
-  FROM long CROSS JOIN (SELECT unnest(range({_NP})) AS j) GROUP BY party, a, i)
-SELECT party, a, i, greatest(alpha, g, {_FLOOR}) AS alpha FROM long JOIN ghosts USING (party, a, i)""")
+  SELECT *, CAST(greatest(ceil(-ln(1 - pow({U.format("'g' || party || '|' || ((i - 1) * 3 + a)")}, {1 / _NP!r})) / {LOG!r}), 1) AS INT) AS g FROM long)
+SELECT party, a, i, greatest(alpha, g, {_FLOOR}) AS alpha FROM ghosts""")
 def _(spark, sf):
-    text = F.concat(F.lit("g"), F.concat_ws("|", *[F.col(c).cast("string") for c in ("party", "a", "i", "j")]))
-    rows = long_sketch(spark, sf).withColumn("j", F.explode(F.sequence(F.lit(0), F.lit(_NP - 1))))
-    ghost = C.geometric_from_uniform((C.md5_hash60(text) + 1) / F.lit(C.TWO60), GAMMA)
-    out = rows.groupBy("party", "a", F.col("i").cast("bigint").alias("i")).agg(F.greatest(F.max("alpha"), F.max(ghost), F.lit(_FLOOR)).alias("alpha"))
-    return out
+    tables = party_sketches(spark, sf)
+    return sketch_frame(spark, {p: sketch.privatise(t, EPS_ROW, GAMMA, HashedNoise(f"g{p}")) for p, t in enumerate(tables, start=1)})
 
 
 _LOO = """, loo AS (SELECT x.party, x.a, x.i, max(y.alpha) AS rest FROM long x JOIN long y ON x.party = y.party AND x.i = y.i AND x.a <> y.a GROUP BY ALL)"""
 _UNION = """, u AS (SELECT p.a AS a1, q.a AS a2, p.i, greatest(p.rest, q.rest) AS u FROM loo p JOIN loo q ON p.i = q.i WHERE p.party = 1 AND q.party = 2)"""
 
 
-def _loo(spark, sf):
-    """Maximum over the other clusters: frames before and behind the own row."""
-    w = Window.partitionBy("party", "i").orderBy("a")
-    before = F.max("alpha").over(w.rowsBetween(Window.unboundedPreceding, -1))
-    behind = F.max("alpha").over(w.rowsBetween(1, Window.unboundedFollowing))
-    return long_sketch(spark, sf).select("party", "a", F.col("i").cast("bigint").alias("i"), F.greatest(before, behind).alias("rest"))
-
-
-def _union_grid(spark, sf):
-    loo = _loo(spark, sf)
-    p = loo.where("party = 1").select(F.col("a").alias("a1"), "i", F.col("rest").alias("r1"))
-    q = loo.where("party = 2").select(F.col("a").alias("a2"), "i", F.col("rest").alias("r2"))
-    return p.join(q, "i").select("a1", "a2", "i", F.greatest("r1", "r2").alias("u"))
-
-
 @query("leave_one_out_max", f"WITH {LABELS} {SKETCH} {_LOO} SELECT party, a, i, rest FROM loo")
 def _(spark, sf):
-    return _loo(spark, sf)
+    tables = party_sketches(spark, sf)
+    return sketch_frame(spark, {p: weights.leave_one_out(t) for p, t in enumerate(tables, start=1)}, "rest")
 
 
 @query("union_sketch_grid_s2", f"WITH {LABELS} {SKETCH} {_LOO} {_UNION} SELECT a1, a2, i, u FROM u")
 def _(spark, sf):
-    return _union_grid(spark, sf)
+    unions = weights.complement_unions(party_sketches(spark, sf, (1, 2)))
+    rows = [(head[0], a, i + 1, int(u[i, a])) for head, u in unions for i in range(M) for a in range(3)]
+    return _values(spark, rows, "a1 int, a2 int, i bigint, u int")
 
 
 _RAW = f""", raw AS (SELECT a1, a2, (SELECT count(*) FROM labels) - count(*) / sum(pow({1 + GAMMA!r}, -u)) * {bias(GAMMA)!r} AS w FROM u GROUP BY a1, a2)"""
@@ -486,13 +521,12 @@ _RAW = f""", raw AS (SELECT a1, a2, (SELECT count(*) FROM labels) - count(*) / s
 
 def _raw(spark, sf):
     n = labels(spark, sf).count()
-    read = F.count(F.lit(1)) / F.sum(F.pow(F.lit(1 + GAMMA), -F.col("u").cast("double"))) * F.lit(bias(GAMMA))
-    return _union_grid(spark, sf).groupBy("a1", "a2").agg((F.lit(n) - read).alias("w")), n
+    return weights.complement_weights(party_sketches(spark, sf, (1, 2)), n, 0, GAMMA), n
 
 
 @query("complement_union_raw_s2", f"WITH {LABELS} {SKETCH} {_LOO} {_UNION} {_RAW} SELECT a1, a2, round(w, 4) AS w FROM raw")
 def _(spark, sf):
-    return _raw(spark, sf)[0].select("a1", "a2", F.round("w", 4).alias("w"))
+    return _grid_rows(spark, _raw(spark, sf)[0], 4)
 
 
 @query("simplex_consistency", f"""
@@ -502,11 +536,7 @@ theta AS (SELECT arg_max(t, k) AS t FROM r WHERE w > t)
 SELECT a1, a2, round(greatest(w - theta.t, 0), 3) AS w FROM raw, theta""")
 def _(spark, sf):
     raw, n = _raw(spark, sf)
-    o = Window.partitionBy(F.lit(0)).orderBy(F.col("w").desc(), "a1", "a2").rowsBetween(Window.unboundedPreceding, 0)
-    run = raw.withColumns({"k": F.count(F.lit(1)).over(o), "s": F.sum("w").over(o)}).withColumn("t", (F.col("s") - n) / F.col("k"))
-    every = Window.partitionBy(F.lit(0)).orderBy("k").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    theta = F.max(F.when(F.col("w") > F.col("t"), F.struct("k", "t"))).over(every)["t"]
-    return run.select("a1", "a2", F.round(F.greatest(F.col("w") - theta, F.lit(0.0)), 3).alias("w"))
+    return _grid_rows(spark, weights.consistent(raw, n, "simplex"), 3)
 
 
 @query("clip_scale_consistency", f"""
@@ -514,16 +544,14 @@ WITH {LABELS} {SKETCH} {_LOO} {_UNION} {_RAW}, t AS (SELECT sum(greatest(w, 0))
 SELECT a1, a2, round(greatest(w, 0) * ((SELECT count(*) FROM labels) / s), 3) AS w FROM raw, t""")
 def _(spark, sf):
     raw, n = _raw(spark, sf)
-    total = F.sum(F.greatest("w", F.lit(0.0))).over(Window.partitionBy(F.lit(0)))
-    return raw.select("a1", "a2", F.round(F.greatest("w", F.lit(0.0)) * (F.lit(n) / total), 3).alias("w"))
+    return _grid_rows(spark, weights.consistent(raw, n, "clip_scale"), 3)
 
 
 @query("cluster_sizes_sketch", f"""
 WITH {LABELS} {SKETCH} SELECT party, a, round(count(*) / sum(pow({1 + GAMMA!r}, -greatest(alpha, {_FLOOR}))) * {bias(GAMMA)!r} - {_NP}, 4) AS n FROM long GROUP BY party, a""")
 def _(spark, sf):
-    rows = long_sketch(spark, sf).withColumn("alpha", F.greatest("alpha", F.lit(_FLOOR)))
-    packed = sketch.sketch_arrays(rows, ["party", "a"])
-    return packed.select("party", "a", F.round(cardinality_column(F.col("alpha"), GAMMA) - _NP, 4).alias("n"))
+    found = [weights.size_estimates(np.maximum(t, _FLOOR), _NP, GAMMA) for t in party_sketches(spark, sf)]
+    return _values(spark, [(p, a, round(float(v), 4)) for p, n in enumerate(found, start=1) for a, v in enumerate(n)], "party int, a int, n double")
 
 
 @query("refine_one_step_s3", f"""
@@ -534,16 +562,37 @@ t AS (SELECT a1, a2, count(*) AS want FROM labels GROUP BY a1, a2)
 SELECT g.a1, g.a2, a3, round(w - (sum(w) OVER (PARTITION BY g.a1, g.a2) - coalesce(want, 0)) / count(*) OVER (PARTITION BY g.a1, g.a2), 4) AS w
 FROM g LEFT JOIN t ON g.a1 = t.a1 AND g.a2 = t.a2""")
 def _(spark, sf):
-    from fedgrid.operators.weights import product_grid, refine
+    return _refined(spark, sf, [(0, 1)], rounds=1, clip=False)
 
-    df = labels(spark, sf)
-    w = pipeline.exact_weights([df.select("id", F.col(c).alias("a")) for c in ("a1", "a2", "a3")], [3, 3, 3])
+
+def _refined(spark, sf, pairs, **how):
+    w = exact(spark, sf)
     sizes = [w.sum((1, 2)), w.sum((0, 2)), w.sum((0, 1))]
-    got = refine(product_grid(sizes, w.sum()), {(0, 1): w.sum(2)}, w.sum(), np.random.default_rng(0), rounds=1, finalize="none", clip=False)
+    tables = {p: weights.project(w, *p) for p in pairs}
+    got = weights.refine(weights.product_grid(sizes, w.sum()), tables, w.sum(), np.random.default_rng(0), finalize="none", **how)
     rows = [(*map(int, i), round(float(got[i]), 4)) for i in np.ndindex(got.shape) if all(s[j] for s, j in zip(sizes, i, strict=True))]
     return _values(spark, rows, "a1 int, a2 int, a3 int, w double")
 
 
+def _refine_sql(rounds: int) -> str:
+    """So many rounds over the pairs in turn, negative cells cut in each."""
+    pairs = [("a1", "a2"), ("a1", "a3"), ("a2", "a3")]
+    parts = [f"""WITH {LABELS}, n AS (SELECT count(*) AS n FROM labels),
+p AS (SELECT a1, count(*) AS f FROM labels GROUP BY a1), q AS (SELECT a2, count(*) AS f FROM labels GROUP BY a2), r AS (SELECT a3, count(*) AS f FROM labels GROUP BY a3),
+g0 AS MATERIALIZED (SELECT a1, a2, a3, n * (p.f / n) * (q.f / n) * (r.f / n) AS w FROM p, q, r, n)"""]
+    parts += [f"t{k} AS MATERIALIZED (SELECT {a}, {b}, count(*) AS want FROM labels GROUP BY {a}, {b})" for k, (a, b) in enumerate(pairs)]
+    for t in range(rounds):
+        a, b = pairs[t % 3]
+        parts.append(f"""g{t + 1} AS MATERIALIZED (SELECT g.a1, g.a2, g.a3, greatest(w - (sum(w) OVER o - coalesce(want, 0)) / count(*) OVER o, 0) AS w
+FROM g{t} g LEFT JOIN t{t % 3} t ON g.{a} = t.{a} AND g.{b} = t.{b} WINDOW o AS (PARTITION BY g.{a}, g.{b}))""")
+    return ", ".join(parts) + f" SELECT a1, a2, a3, round(w, 4) AS w FROM g{rounds}"
+
+
+@query("refine_rounds_s3", _refine_sql(50))
+def _(spark, sf):
+    return _refined(spark, sf, [(0, 1), (0, 2), (1, 2)], rounds=50, order="cyclic")
+
+
 # ---- reports -----------------------------------------------------------------------------------------
 
 EPS_LDP = 1.0
@@ -590,12 +639,51 @@ def _(spark, sf):
     return _decoded(spark, sf, "posterior")
 
 
-@query("olh_weights_s2")
+EPS_OLH = 2.0
+_G = local_dp.buckets(EPS_OLH)
+_KEEP_OLH = math.exp(EPS_OLH) / (math.exp(EPS_OLH) + _G - 1)
+
+
+def _md5(text: str) -> str:
+    return f"('0x' || substr(md5({text}), 1, 15))::BIGINT"
+
+
+def _olh_sql(c: str, tag: str) -> str:
+    """(id, seed, y) of one party's reports."""
+    own = f"CAST({_md5(f"seed || '|' || {c}")} % {_G} AS INT)"
+    other = _md5(f"'{tag}o|' || id")
+    return f"""(SELECT id, seed, CAST(CASE WHEN {U.format(f"'{tag}|' || id")} <= {_KEEP_OLH!r} THEN {own} ELSE ({own} + 1 + {other} % {_G - 1}) % {_G} END AS INT) AS y
+FROM (SELECT *, {_md5(f"'{tag}h|' || id")} AS seed FROM labels))"""
+
+
+_HIT = f"CAST(CASE WHEN CAST({_md5("seed || '|' || l.a")} % {_G} AS INT) = y THEN 1 ELSE 0 END AS DOUBLE)"
+_OLH_LABELS = "(SELECT unnest(range(3)) AS a)"
+
+
+def olh_reports(spark, sf, names=("a1", "a2")) -> list[DataFrame]:
+    return [local_dp.olh(f, 3, EPS_OLH, f"o{p}") for p, f in enumerate(label_frames(spark, sf, names), start=1)]
+
+
+@query("olh_reports_md5", f"WITH {LABELS} SELECT id, seed, y FROM {_olh_sql('a1', 'o1')}")
 def _(spark, sf):
-    df = labels(spark, sf)
-    reports = [local_dp.olh(df.select("id", F.col(c).alias("a")), 3, 2.0, s) for c, s in (("a1", 1), ("a2", 2))]
-    w = local_dp.olh_weights(reports, 3, 2.0)
-    return _values(spark, [(i, j, float(w[i, j])) for i in range(3) for j in range(3)], "a1 int, a2 int, w double")
+    return olh_reports(spark, sf, ("a1",))[0]
+
+
+@query("olh_support_counts", f"""
+WITH {LABELS} SELECT CAST(l.a AS INT) AS a, sum({_HIT}) AS n FROM {_olh_sql('a1', 'o1')}, {_OLH_LABELS} l GROUP BY l.a""")
+def _(spark, sf):
+    n = local_dp.olh_counts(olh_reports(spark, sf, ("a1",))[0], 3, EPS_OLH)
+    return _values(spark, [(a, float(v)) for a, v in enumerate(n)], "a int, n double")
+
+
+_VEC = f"({_HIT} - {1 / _G!r}) / {_KEEP_OLH - 1 / _G!r}"
+
+
+@query("olh_weights_s2", f"""
+WITH {LABELS}, p AS (SELECT id, l.a, {_VEC} AS v FROM {_olh_sql('a1', 'o1')}, {_OLH_LABELS} l), q AS (SELECT id, l.a, {_VEC} AS v FROM {_olh_sql('a2', 'o2')}, {_OLH_LABELS} l)
+SELECT CAST(p.a AS INT) AS a1, CAST(q.a AS INT) AS a2, round(sum(p.v * q.v), 3) AS w FROM p JOIN q ON p.id = q.id GROUP BY p.a, q.a""")
+def _(spark, sf):
+    return _grid_rows(spark, local_dp.olh_weights(olh_reports(spark, sf), 3, EPS_OLH), 3)
 
 
 # ---- privacy and costs -------------------------------------------------------------------------------
@@ -664,11 +752,8 @@ WITH {LABELS}, n AS (SELECT count(*) AS n FROM labels), p AS (SELECT a1, count(*
 e AS (SELECT a1, a2, n * (p.f / n) * (q.f / n) AS w FROM p, q, n), t AS (SELECT a1, a2, count(*) AS c FROM labels GROUP BY a1, a2)
 SELECT round(sum(abs(w - coalesce(c, 0))) / (SELECT n FROM n), 8) AS error FROM e LEFT JOIN t USING (a1, a2)""")
 def _(spark, sf):
-    from fedgrid.operators.weights import independence
-
-    df = labels(spark, sf)
-    w = pipeline.exact_weights([df.select("id", F.col(c).alias("a")) for c in ("a1", "a2")], [3, 3])
-    got = independence([w.sum(1), w.sum(0)], w.sum())
+    w = exact(spark, sf, ("a1", "a2"))
+    got = weights.independence([w.sum(1), w.sum(0)], w.sum())
     return _values(spark, [(round(measures.relative_error(got, w, w.sum()), 8),)], "error double")
 
 
@@ -754,9 +839,18 @@ def _(spark, sf):
 SELECT tile, count(*) AS n, round(min(o_totalprice), 2) AS lo, round(max(o_totalprice), 2) AS hi
 FROM (SELECT o_totalprice, ntile(8) OVER (ORDER BY o_totalprice, o_orderkey) AS tile FROM orders) GROUP BY tile""")
 def _(spark, sf):
-    """Equal-count bins by ranks; the window is global and for reports on small tables only."""
-    tile = F.ntile(8).over(Window.orderBy("o_totalprice", "o_orderkey"))
-    return load(spark, sf, "orders").withColumn("tile", tile).groupBy("tile").agg(
+    """Equal-count bins by exact ranks, without a global window: a range-partitioned sort and the partitions' offsets."""
+    rows = load(spark, sf, "orders").select("o_totalprice", "o_orderkey")
+    part = rows.repartitionByRange("o_totalprice", "o_orderkey").withColumn("p", F.spark_partition_id())
+    part = checkpoints.checkpointed(part)  # ranges are drawn from a sample: fixed here for both uses
+    sizes = part.groupBy("p").agg(F.count(F.lit(1)).alias("size"))
+    before = F.coalesce(F.sum("size").over(Window.orderBy("p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    offsets = sizes.select("p", before.alias("before"), F.sum("size").over(Window.partitionBy(F.lit(0))).alias("total"))
+    rank = F.row_number().over(Window.partitionBy("p").orderBy("o_totalprice", "o_orderkey")) + F.col("before") - 1
+    ranked = part.join(F.broadcast(offsets), "p").withColumn("rank", rank)  # a row for each partition
+    wide, more = F.floor(F.col("total") / 8), F.col("total") % 8  # the first ``more`` bins have a row more
+    tile = F.when(F.col("rank") < more * (wide + 1), F.floor(F.col("rank") / (wide + 1))).otherwise(F.floor((F.col("rank") - more) / wide))
+    return ranked.withColumn("tile", tile + 1).groupBy("tile").agg(
         F.count(F.lit(1)).alias("n"), F.round(F.min("o_totalprice"), 2).alias("lo"), F.round(F.max("o_totalprice"), 2).alias("hi"))
 
 
@@ -802,12 +896,22 @@ for _name, _how in {
 }.items():
     QUERIES[_name] = lambda spark, sf, how=_how: X.runs(spark, sf, "gauss", 2, (4.0,), (0,), repeats=1024, **how)
 
+_SEEDS, _MORE = (0,), {"repeats": 1024}
 QUERIES |= {
-    "x3_uneven_small": lambda spark, sf: X.runs(spark, sf, "gauss", 2, (1.0,), (0,), ("pairwise",), sizes=[3, 5], repeats=1024),
-    "x4_parties_small": lambda spark, sf: X.runs(spark, sf, "gauss", 4, (2.0,), (0,), ("pairwise", "complement"), repeats=1024, k_local=3),
-    "x8_costs_small": lambda spark, sf: X.x8_costs(spark, sf, k_locals=(5,), repeats=(2048,), parties=(2,)),
-    "x9_nonprivate_cust": lambda spark, sf: X.runs(spark, sf, "cust", 2, (1.0,), (0,), ("nonprivate", "central")),
-    "x11_repeats_small": lambda spark, sf: X.x11_repeats(spark, sf, repeats=(256, 1024), seeds=(0,)),
+    "x1_x2_gauss": lambda spark, sf: X.runs(spark, sf, "gauss", 4, (1.0, 8.0), _SEEDS, X.ALL, **_MORE),
+    "x1_x2_trip": lambda spark, sf: X.runs(spark, sf, "trip", 2, (1.0, 8.0), _SEEDS, X.ALL, **_MORE),
+    "x1_x2_loan": lambda spark, sf: X.runs(spark, sf, "loan", 2, (1.0, 8.0), _SEEDS, X.ALL, **_MORE),
+    "x1_x2_indep": lambda spark, sf: X.runs(spark, sf, "indep", 2, (1.0, 8.0), _SEEDS, X.ALL, **_MORE),
+    "x3_uneven": lambda spark, sf: X.x3_uneven(spark, sf, seeds=_SEEDS, **_MORE),
+    "x4_parties": lambda spark, sf: X.x4_parties(spark, sf, eps=(2.0,), seeds=_SEEDS, **_MORE),
+    "x5_weight_error": lambda spark, sf: X.x5_weight_error(spark, sf, eps=(1.0, 8.0), seeds=_SEEDS, **_MORE),
+    "x6_ablation": lambda spark, sf: X.x6_ablation(spark, sf, eps=(4.0,), seeds=_SEEDS, **_MORE),
+    "x7_local_clusters": lambda spark, sf: X.x7_local_clusters(spark, sf, k_locals=(2, 3, 5, 8), eps=(1.0, 8.0), seeds=_SEEDS, **_MORE),
+    "x8_costs": lambda spark, sf: X.x8_costs(spark, sf),
+    "x9_nonprivate": lambda spark, sf: X.x9_nonprivate(spark, sf, seeds=_SEEDS),
+    "x10_silhouette": lambda spark, sf: X.x10_silhouette(spark, sf, ks=(2, 3, 5, 8)),
+    "x11_repeats": lambda spark, sf: X.x11_repeats(spark, sf, repeats=(256, 1024, 4096), seeds=_SEEDS),
+    "other_workloads": lambda spark, sf: X.other_workloads(spark, sf),
 }
 
 
@@ -815,16 +919,16 @@ QUERIES |= {
 
 
 def _streamed(spark: SparkSession, sf: str, name: str, make, mode: str) -> DataFrame:
-    """Runs a streaming plan over a table's files to their end; the sink is an in-memory table."""
+    """Runs a streaming plan over a table's files to their end; what it has found goes to Parquet in the shared folder."""
     path = f"{sf}/{name}.parquet"
     schema = spark.read.parquet(path).schema
     source = spark.readStream.schema(schema).format("parquet").option("pathGlobFilter", f"{name}*.parquet").load(path if _is_dir(spark, path) else sf)
-    table = f"stream_{name}_{abs(hash((make.__name__, sf))) % 10**8}"
-    place = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    run = make(source).writeStream.format("memory").queryName(table).outputMode(mode)
-    run = run.option("checkpointLocation", f"{place}/{table}_{np.random.default_rng().integers(1 << 60)}")
+    place = f"{checkpoints.folder(spark)}/stream_{name}_{np.random.default_rng().integers(1 << 60):x}"
+    # in complete mode each batch replaces the table; a repeated batch writes the same rows again
+    run = make(source).writeStream.outputMode(mode).option("checkpointLocation", f"{place}/state")
+    run = run.foreachBatch(lambda rows, _: rows.write.mode("overwrite").parquet(f"{place}/rows"))
     run.trigger(availableNow=True).start().awaitTermination()
-    return spark.table(table)
+    return spark.read.parquet(f"{place}/rows")
 
 
 def _is_dir(spark: SparkSession, path: str) -> bool:
@@ -868,8 +972,7 @@ def _(spark, sf):
 
 def flagship(spark: SparkSession, sf: str) -> DataFrame:
     """Private clustering of the customers over four parties: the final centers."""
-    df = workloads.customers(spark, sf)
-    views = build_views(df, "id", workloads.CUST_GROUPS)
-    got = pipeline.fit(views, 3, 8.0, k_local=2, params=X.params(512, 0))
+    parts = build_views(workloads.customers(spark, sf), "id", workloads.CUST_GROUPS)
+    got = pipeline.fit(parts, 3, 8.0, k_local=2, params=X.params(512, 0), seed=0)
     rows = [(k, [float(v) for v in c]) for k, c in enumerate(got.centers)]
     return spark.createDataFrame(rows, "k int, center array<double>")
