@@ -1,10 +1,18 @@
-"""Shared helpers of the corpus operators: table loading, hold-out masks, lineage cuts."""
+"""Shared helpers of the corpus operators: table loading, hold-out masks, samples by hash, lineage cuts."""
 
 from __future__ import annotations
 
+import re
+from collections.abc import Callable
+from functools import wraps
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from fedgrid.checkpoints import checkpointed, stored
+
+__all__ = ["checkpointed", "crc_mod", "hash_share", "named", "shielded", "stored", "table"]
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given tables, read through Spark only (any Hadoop path works)."""
@@ -17,19 +25,35 @@ def crc_mod(key: str | Column, modulus: int) -> Column:
     return F.coalesce(F.crc32(col.cast("string").cast("binary")) % modulus, F.lit(-1))
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Reliable lineage cut in the folder that the session names in spark.checkpoint.dir.
-
-    Only where the session names none (tests) a folder under /tmp/checkpoints is used.
-    """
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        place = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        context.setCheckpointDir(place or f"/tmp/checkpoints/{context.applicationId}")
-    return df.checkpoint(eager=True)
-
-
 def hash_share(key: str | Column, share: Column | float) -> Column:
     """True for a ``share`` of the keys, always the same ones (a partition-independent sample)."""
     col = F.col(key) if isinstance(key, str) else key
     return F.pmod(F.xxhash64(col), F.lit(1_000_003)) < share * 1_000_003
+
+
+def named(df: DataFrame, name: str) -> str:
+    """``name`` as a helper column that ``df`` doesn't have (columns are told apart without regard to case)."""
+    there = {c.lower() for c in df.columns}
+    out = f"__{name}"
+    while out.lower() in there:
+        out = f"_{out}"
+    return out
+
+
+def shielded(operator: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
+    """For operators that keep further columns: those with names of helper columns (two underscores in front) or with
+    signs in their names are called otherwise inside, and by their names again in the result."""
+
+    @wraps(operator)
+    def run(*args, **how) -> DataFrame:
+        at = next(i for i, x in enumerate(args) if isinstance(x, DataFrame))
+        docs = args[at]
+        odd = [c for c in docs.columns if c.startswith("__") or not re.fullmatch(r"[A-Za-z0-9_]+", c)]
+        there = {c.lower() for c in docs.columns}
+        inside = {c: next(n for n in (f"kept{i}{'x' * k}" for k in range(len(there) + 1)) if n not in there) for i, c in enumerate(odd)}
+        if not inside:
+            return operator(*args, **how)
+        out = operator(*args[:at], docs.withColumnsRenamed(inside), *args[at + 1 :], **how)
+        return out.withColumnsRenamed({n: c for c, n in inside.items() if n in out.columns})
+
+    return run
