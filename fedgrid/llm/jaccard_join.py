@@ -13,7 +13,9 @@ From segments to links, without listing the pairs of a group:
 
 1. Documents of one set become a class under its smallest doc_id; classes go on alone.
 2. Equal segments meet by hash; groups of the same members (a family of copies shares most segments) melt
-   into one. A third of all rows that are near copies of each other still spread over one key per segment.
+   into one. Keys that a large family shares are told beforehand from one document in SAMPLE: their rows are
+   summed up before anything moves and meet the sums by broadcast, so no task gets such a key's rows. Which
+   keys are handled so changes where rows go, not what is found.
 3. Every member is compared with its group's smallest one, linear in the group; links make components.
 4. Only where a group still has several components, members outside the smallest one's component are
    compared with the members of other components. All pairs that share a segment are then linked, or
@@ -37,13 +39,16 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from fedgrid.llm.common import checkpointed, table
+from fedgrid.llm.common import checkpointed, hash_share, shielded, table
 
 BROADCAST_IDS = 1_000_000
+#: Rows of a key (estimated from one document in SAMPLE) from which it is summed up first, and the most such keys.
+HOT_ROWS, SAMPLE, HOT_KEYS = 4096, 64, 1_000_000
 #: Bytes of text that are hashed at a time.
 _BLOCK = 1 << 20
 
@@ -218,15 +223,28 @@ def signatures(shingles: np.ndarray, bands: Bands) -> tuple[np.ndarray, np.ndarr
     return np.concatenate(keys), np.concatenate(probes)
 
 
+def _parts(batch: pa.RecordBatch, rows: int, size: int = _BLOCK) -> Iterator[pa.RecordBatch]:
+    """Slices of a batch of so many rows and bytes of text at most (a longer text alone)."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(1)), 0).to_numpy(zero_copy_only=False))
+    at = 0
+    while at < batch.num_rows:
+        before = ends[at - 1] if at else 0
+        to = min(max(int(np.searchsorted(ends, before + size, "right")), at + 1), at + rows)
+        yield batch.slice(at, to - at)
+        at = to
+
+
 def _mapped(docs: DataFrame, schema: str, width: int, make: Callable, chunk: int = 512) -> DataFrame:
-    """``make`` gets lists of ids and sets, a chunk of rows at a time, and gives a list of arrays."""
+    """``make`` gets lists of ids and sets, of some rows at a time, and gives a list of arrays.
+
+    Rows are taken by number and by bytes, so that a run of very long texts makes many small results.
+    """
     names = [part.split()[0] for part in schema.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         np.seterr(over="ignore")
         for batch in batches:
-            for at in range(0, batch.num_rows, chunk):
-                part = batch.slice(at, chunk)
+            for part in _parts(batch, chunk):
                 sets = list(shingle_sets(part.column(1).to_pylist(), width))
                 yield pa.RecordBatch.from_arrays(make(part.column(0), sets), names=names)
 
@@ -309,17 +327,32 @@ def verified(docs: DataFrame, pairs: DataFrame, maps: DataFrame, width: int, per
     return both.where(_alike(percent, shared, F.size("x"), F.size("y"))).select("a", "b").distinct()
 
 
+#: Edges from which hubs are told apart, and the most hubs there can be then.
+HUB_EDGES, HUBS = 100_000, 100_000
+
+
 def components(edges: DataFrame) -> DataFrame:
-    """(node, component): the smallest node that the edges (a, b) reach, for each node of an edge."""
+    """(node, component): the smallest node that the edges (a, b) reach, for each node of an edge.
+
+    A node of very many edges is a hub: the edges of hubs stay where they are and meet the hubs' least neighbours,
+    of which there are HUBS at most, by broadcast.
+    """
     edges = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct()
 
-    def star(edges: DataFrame, large: bool) -> DataFrame:
+    def star(edges: DataFrame, large: bool, total: int) -> DataFrame:
         if large:
             near = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
         else:
             near = edges
-        least = near.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        joined = near.join(least, "u")
+        least = near.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n"))
+        least = least.select("u", F.least("u", "m").alias("m"), "n")
+        if total > HUB_EDGES:
+            many = F.col("n") >= max(HOT_ROWS, 2 * total // HUBS)
+            hubs = least.where(many).drop("n")
+            joined = near.join(F.broadcast(hubs.select("u")), "u", "left_anti").join(least.where(~many).drop("n"), "u")
+            joined = joined.unionByName(near.join(F.broadcast(hubs), "u"))
+        else:
+            joined = near.join(least.drop("n"), "u")
         if large:
             out = joined.where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         else:
@@ -328,18 +361,52 @@ def components(edges: DataFrame) -> DataFrame:
             )
         return out.where("u <> v").distinct()
 
-    before = None
+    before, edges = None, checkpointed(edges)
+    total = edges.count()
     while True:
-        edges = checkpointed(star(star(edges, True), False))
+        edges = checkpointed(star(star(edges, True, total), False, total))
         now = edges.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("u", "v"))).first()
         if now == before:
             break
-        before = now
+        before, total = now, now[0]
     return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(
         edges.select("v", "v").distinct().toDF("node", "component")
     )
 
 
+def _groups(docs: DataFrame, width: int, percent: int) -> DataFrame:
+    """(name, size, p, pn, doc, n): members of each key's group beside its smallest one; groups of two or more."""
+    rows = _signature_rows(docs, width, percent)
+    share = _signature_rows(docs.where(hash_share("doc_id", 1.0 / SAMPLE)), width, percent)
+    hot = share.groupBy("key").count().where(F.col("count") >= HOT_ROWS // SAMPLE)
+    hot = checkpointed(hot.orderBy(F.col("count").desc()).limit(HOT_KEYS).select("key"))
+
+    n = F.abs("n").alias("n")
+    sums = {
+        "pivot": F.min(F.struct("doc", n)),
+        "top": F.max("doc"),
+        "probed": F.max("n"),
+        "name": F.bit_xor(F.xxhash64("doc")),
+        "size": F.count(F.lit(1)),
+    }
+    same = Window.partitionBy("key")
+
+    def cold(rows: DataFrame) -> DataFrame:
+        return rows.select("doc", n, *[f.over(same).alias(c) for c, f in sums.items()])
+
+    if hot.isEmpty():
+        grouped = cold(rows)
+    else:
+        grouped = cold(rows.join(F.broadcast(hot), "key", "left_anti"))
+        own = checkpointed(rows.join(F.broadcast(hot), "key", "left_semi"))
+        heads = own.groupBy("key").agg(*[f.alias(c) for c, f in sums.items()])  # HOT_KEYS rows at most
+        grouped = grouped.unionByName(own.join(F.broadcast(heads), "key").select("doc", n, *sums))
+    grouped = grouped.where((F.col("probed") > 0) & (F.col("top") > F.col("pivot.doc")))
+    return checkpointed(
+        grouped.select("name", "size", F.col("pivot.doc").alias("p"), F.col("pivot.n").alias("pn"), "doc", "n").distinct()
+    )
+
+
 def links(docs: DataFrame, width: int, percent: int, prints: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(classes, components): each doc_id's class, and the component of each class that has links."""
     known = prints.where(F.col("doc_id").isNotNull() & (F.col("n") > 0))
@@ -348,35 +415,19 @@ def links(docs: DataFrame, width: int, percent: int, prints: DataFrame) -> tuple
     classes = known.groupBy("a", "b").agg(F.min("doc_id").alias("class"))
     classes = checkpointed(known.join(classes, ["a", "b"]).select("doc_id", "class").distinct())
     alone = docs.where(F.col("doc_id").isNotNull())
-    copies = checkpointed(
-        classes.groupBy("doc_id").agg(F.min("class").alias("least")).where("least <> doc_id").select("doc_id")
-    )
-    rows = _signature_rows(_only(alone, copies, "left_anti"), width, percent)
-
-    same = Window.partitionBy("key")
-    member = F.struct("doc", F.abs("n").alias("n"))
-    grouped = rows.select(
-        "doc",
-        F.abs("n").alias("n"),
-        F.min(member).over(same).alias("pivot"),
-        F.max("doc").over(same).alias("top"),
-        F.max("n").over(same).alias("probed"),
-        F.bit_xor(F.xxhash64("doc")).over(same).alias("name"),
-        F.count(F.lit(1)).over(same).alias("size"),
-    )
-    grouped = grouped.where((F.col("probed") > 0) & (F.col("top") > F.col("pivot.doc")))
-    groups = checkpointed(
-        grouped.select("name", "size", F.col("pivot.doc").alias("p"), F.col("pivot.n").alias("pn"), "doc", "n").distinct()
-    )
+    # documents that stand for no class of their own: all their sets are copies of others'
+    ids = classes.groupBy("doc_id").agg(F.min("class").alias("a"), F.max(F.col("class") == F.col("doc_id")).alias("own"), F.count(F.lit(1)).alias("sets"))
+    copies = checkpointed(ids.where(~F.col("own")).select("doc_id"))
+    groups = _groups(_only(alone, copies, "left_anti"), width, percent)
 
     def near(x: str, y: str) -> Column:
         return 100 * F.least(x, y) >= percent * F.greatest(x, y)
 
     star = groups.where((F.col("doc") > F.col("p")) & near("n", "pn"))
     star = checkpointed(star.select(F.col("p").alias("a"), F.col("doc").alias("b")).distinct())
-    # one document of two classes (rows that share a doc_id) joins them
-    joined = classes.where("doc_id <> class").groupBy("doc_id").agg(F.min("class").alias("a"), F.max("class").alias("b"))
-    joined = joined.where("a <> b").select("a", "b")
+    # one document of several classes (rows that share a doc_id) joins them
+    joined = ids.where("sets > 1").select("doc_id", "a").join(classes, "doc_id").where("a <> class")
+    joined = joined.select("a", F.col("class").alias("b"))
     first = checkpointed(verified(alone, star, maps, width, percent).unionByName(joined))
 
     found = components(first).withColumnRenamed("node", "doc")
@@ -417,6 +468,7 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return similar_documents(table(spark, sf_dir, "documents"), width=4, percent=85)
 
 
+@shielded
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document of the smallest doc_id of each group; of rows that share a doc_id one stays."""
     found = checkpointed(similar_documents(docs))
