@@ -8,28 +8,35 @@ a paragraph is inserted or deleted by adding or subtracting its vector. A vector
 * 64 counters: a paragraph's vector is the sum of the sign vectors of its windows of three words, each
   counter telling for how many windows one hash bit is set, besides the number of windows. Sums of sign
   vectors keep inner products, hence ``likeness``: 2<u,v> / (|u|^2 + |v|^2), cut to 0..1, which estimates
-  the share of windows that two documents have in common.
+  the share of windows that two documents have in common. A paragraph without spaces to speak of (LONG
+  characters a word and more) has windows of eight characters instead.
 
-Counters are added two to a 64-bit column (31 bits each), with map-side combining per document.
+Counters are added two to a 64-bit column (31 bits each), with map-side combining per document. ``insert`` and
+``delete`` change stored vectors by those of paragraphs, without the documents' texts.
 
-Next document: rows are cut into ranges of doc_id; each range is sorted on its own, and only the ranges'
-first rows (at most MAX_RANGES) are ordered globally.
+Next document: rows are cut into ranges of doc_id of about RANGE_ROWS rows, whose bounds are quantiles of the
+ids; an id that many rows share is a range of its own, cut further by a hash of the text. Each range is
+sorted on its own, and only the ranges' first rows are ordered globally.
 
 Defined results: a null text counts as empty; a null doc_id sorts after all others; repeated rows get a
-row each, in the order (doc_id descending, text); a single document is its own next; an empty table gives
-no rows; further columns are ignored.
+row each, in the order (doc_id descending, hash of text, text); a single document is its own next; an empty table
+gives no rows; further columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from fedgrid.llm.common import checkpointed, table
 
 WIDTH, COLUMNS = 3, 32
+#: Characters a word from which a paragraph has no words, and its windows' characters then.
+LONG, CHARACTERS = 40, 8
 #: Rows aimed at in a range of doc_id, and the most ranges whatever the size of the table.
-RANGE_ROWS, MAX_RANGES = 1500, 1_000_000
+RANGE_ROWS, MAX_RANGES = 1500, 100_000
 _PAIR = (1 << 31) | 1
 _LOW = (1 << 31) - 1
 _WORDS = ["w0", "w1", "w2", "w3"]
@@ -38,13 +45,17 @@ _SUMS = [f"c{b}" for b in range(COLUMNS)]
 
 def _windows(text: Column) -> Column:
     """Hashes of the word windows of all paragraphs; a shorter paragraph is one window."""
-    words = F.transform(F.split(text, "\n"), lambda p: F.split(p, " "))
 
-    def of(w: Column) -> Column:
-        places = F.sequence(F.lit(0), F.greatest(F.size(w) - WIDTH, F.lit(0)))
-        return F.transform(places, lambda i: F.xxhash64(*[F.get(w, i + k) for k in range(WIDTH)]))
+    def of(w: Column, width: int) -> Column:
+        places = F.sequence(F.lit(0), F.greatest(F.size(w) - width, F.lit(0)))
+        return F.transform(places, lambda i: F.xxhash64(*[F.get(w, i + k) for k in range(width)]))
+
+    def windows(p: Column) -> Column:
+        words = F.split(p, " ")
+        dense = F.length(p) > LONG * F.size(words)
+        return F.when(dense, of(F.split(p, ""), CHARACTERS)).otherwise(of(words, WIDTH))
 
-    return F.flatten(F.transform(words, of))
+    return F.flatten(F.transform(F.split(text, "\n"), windows))
 
 
 def _exact(text: Column) -> Column:
@@ -75,6 +86,27 @@ def vectors(rows: DataFrame, keys: list[str], text: str = "text", carried: tuple
     return exploded.groupBy(*keys).agg(*firsts, F.count(F.lit(1)).alias("windows"), *sums)
 
 
+def _changed(stored: DataFrame, paragraphs: DataFrame, key: str, text: str, sign: int) -> DataFrame:
+    rows = paragraphs.select(F.col(key).alias("__key"), F.xxhash64(key, text, F.monotonically_increasing_id()).alias("__row"), F.coalesce(text, F.lit("")).alias("__text"))
+    parts = ("windows", *_WORDS, *_SUMS)
+    delta = vectors(rows, ["__key", "__row"], "__text").groupBy("__key").agg(*[F.sum(c).alias(f"__{c}") for c in parts])
+    joined = stored.join(delta, F.col(key) == F.col("__key"), "left")
+    new = {c: F.col(c) + sign * F.coalesce(f"__{c}", F.lit(0)) for c in parts}
+    new |= {c: new[c].bitwiseAND(F.lit((1 << 32) - 1)) for c in _WORDS}
+    return joined.select(*[new[c].alias(c) if c in new else F.col(c) for c in stored.columns])
+
+
+def insert(stored: DataFrame, paragraphs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """``stored`` vectors (columns of ``vectors``, one row a key) with the paragraphs' vectors added: the fingerprint of
+    the document with these lines more, wherever they stand. Keys without paragraphs stay as they are."""
+    return _changed(stored, paragraphs, key, text, 1)
+
+
+def delete(stored: DataFrame, paragraphs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """The same with the paragraphs' vectors taken off; the paragraphs must be in the documents."""
+    return _changed(stored, paragraphs, key, text, -1)
+
+
 def _hex(c: Column, digits: int) -> Column:
     return F.lower(F.lpad(F.hex(c), digits, "0"))
 
@@ -107,33 +139,72 @@ def likeness(a: Column, b: Column) -> Column:
     return F.when(norm == 0, 1.0).otherwise(F.least(F.greatest(2 * dot(a, b) / norm, F.lit(0.0)), F.lit(1.0)))
 
 
-def with_next(docs: DataFrame) -> DataFrame:
-    """(rng, rn) as a row's key, doc_id, text, the next row's key (next_rng, next_rn) and ``next_text``.
+def range_bounds(ids: DataFrame) -> tuple[list[int], list[int]]:
+    """(lowest id of each range, ids that are a range of their own), from quantiles of ``doc_id``.
 
-    Next: the following row by doc_id descending (then text); the first row after the last.
+    Bounded: MAX_RANGES quantiles, and ids that hold a ten-thousandth of all rows and ten ranges' rows at least.
     """
-    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    low, high, n = rows.agg(F.min("doc_id"), F.max("doc_id"), F.count(F.lit(1))).first()
+    rows = ids.where(F.col("doc_id").isNotNull())
+    n = rows.count()
     ranges = max(1, min(MAX_RANGES, n // RANGE_ROWS))
-    bottom, width = (float(low), float(high) - float(low) + 1.0) if n and low is not None else (0.0, 1.0)
-    place = F.floor((F.col("doc_id").cast("double") - bottom) / width * ranges)
-    place = F.least(place.cast("bigint"), F.lit(ranges - 1))  # rounding of huge ids may reach the end
-    rows = rows.withColumn("rng", F.coalesce(place, F.lit(-1).cast("bigint")))
+    if ranges == 1:
+        return [], []
+    shares = F.array(*[F.lit(k / ranges) for k in range(1, ranges)]) if ranges <= 1000 else F.transform(
+        F.sequence(F.lit(1), F.lit(ranges - 1)), lambda k: k / F.lit(float(ranges)))
+    quantiles = rows.agg(F.percentile_approx("doc_id", shares, F.lit(max(10_000, 10 * ranges)))).first()[0]
+    least = max(10 * RANGE_ROWS, n // 10_000)
+    hot = [r["doc_id"] for r in rows.groupBy("doc_id").count().where(F.col("count") >= least).collect()]  # 10,000 at most
+    return sorted({*quantiles, *hot, *(h + 1 for h in hot if h < (1 << 63) - 1)}), hot
+
 
-    order = Window.partitionBy("rng").orderBy(F.col("doc_id").desc_nulls_last(), "text")
+def _constant(values: list[int]) -> Column:
+    """An array that the optimizer folds to one literal, however long."""
+    return F.split(F.lit(",".join(map(str, values))), ",").cast("array<bigint>")
+
+
+def _range(bounds: list[int]) -> Column:
+    """How many bounds are at or below doc_id, found in two steps of about the root of their number."""
+    if not bounds:
+        return F.lit(0)
+    step = math.isqrt(len(bounds) - 1) + 1
+    steps = F.size(F.filter(_constant(bounds[::step]), lambda b: b <= F.col("doc_id")))
+    part = F.slice(_constant(bounds), F.greatest((steps - 1) * step, F.lit(0)) + 1, F.lit(step))
+    return F.when(steps == 0, 0).otherwise((steps - 1) * step + F.size(F.filter(part, lambda b: b <= F.col("doc_id"))))
+
+
+#: Ranges that one doc_id's rows are cut into by the hash of their texts, and bits for their number.
+_CUTS, _CUT_BITS = 4096, 12
+
+
+def with_next(docs: DataFrame) -> DataFrame:
+    """(rng, rn) as a row's key, doc_id, text, the next row's key (next_rng, next_rn) and ``next_text``.
+
+    Next: the following row by doc_id descending (then hash of text, text); the first row after the last.
+    """
+    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    bounds, hot = range_bounds(rows.select("doc_id"))
+    # rows without an id are cut by hash too; ranges count downwards, as the order does
+    cut = F.col("doc_id").isin(hot) if hot else F.lit(False)
+    hashed = F.xxhash64("text")
+    sub = F.when(F.col("doc_id").isNull() | cut, F.shiftright(hashed, 64 - _CUT_BITS) + _CUTS // 2).otherwise(0)
+    place = F.when(F.col("doc_id").isNull(), len(bounds) + 1).otherwise(len(bounds) - _range(bounds)).cast("bigint")
+    rows = rows.withColumn("h", hashed).withColumn("rng", place * _CUTS + sub)
+
+    order = Window.partitionBy("rng").orderBy(F.col("doc_id").desc_nulls_last(), "h", "text")
     sorted_rows = rows.select(
         "*",
         F.row_number().over(order).alias("rn"),
         F.lead("text").over(order).alias("lead_text"),
         F.lead(F.lit(1)).over(order).isNull().alias("last"),
     )
-    # the first row of each range: at most MAX_RANGES + 1 rows, so ids and order may meet in one task
-    heads = rows.groupBy("rng").agg(F.max("doc_id").alias("doc_id"))
-    by_range = Window.orderBy(F.col("rng").desc())
-    top = -1 if n == 0 or high is None else ranges - 1
-    after = heads.select("rng", F.coalesce(F.lead("rng").over(by_range), F.lit(top)).alias("next_rng"))
-    texts = rows.join(F.broadcast(heads.withColumnRenamed("doc_id", "head")), "rng")
-    texts = texts.where(F.col("doc_id").eqNullSafe(F.col("head"))).groupBy("rng").agg(F.min("text").alias("head_text"))
+    # the first row of each range: MAX_RANGES of them, and _CUTS more for each hot id, so their keys meet in one task
+    first = F.struct(F.bitwise_not("doc_id").alias("d"), "h")  # least: the largest id
+    heads = rows.groupBy("rng").agg(F.min(first).alias("head"))
+    by_range = Window.orderBy("rng")
+    start = F.first("rng").over(by_range.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
+    after = heads.select("rng", F.coalesce(F.lead("rng").over(by_range), start).alias("next_rng"))
+    texts = rows.withColumn("own", first).join(F.broadcast(heads.withColumnRenamed("rng", "r")), F.col("rng") == F.col("r"))
+    texts = texts.where(F.col("own").eqNullSafe(F.col("head"))).groupBy("rng").agg(F.min("text").alias("head_text"))
     ends = after.join(texts.withColumnRenamed("rng", "next_rng"), "next_rng").select(
         "rng", F.col("next_rng").alias("end_rng"), "head_text"
     )
