@@ -6,27 +6,31 @@ pieces; a text's log probability is the sum over its words, and the score is the
 language under equal priors. The piece probabilities are learned by expectation-maximisation (forward
 and backward over the same lattices) from word counts of a bounded sample of labelled texts.
 
-Words are maximal runs of letters, lower-cased; runs of more than 64 letters are scored in stretches of
-64. A character outside the vocabulary costs one fixed piece. Every word of the whole text counts.
+A word is a letter (Unicode category L) and the letters and marks (M) that follow, lower-cased; so numerals and
+signs aren't words, and words of Indic scripts stay whole. A character outside the vocabulary costs one fixed
+piece. Every word of the whole text counts, whatever its length: sums are rescaled on the way, so they don't
+underflow. Texts labelled ``und`` are left out of the learning.
 
 Defined results: a null text, or one without a letter, gives ``und`` and score 0; so does everything
 when no language could be learned; ties go to the language first in name order; repeated rows are scored
-one by one; an empty table gives no rows; further columns are ignored (the stage keeps them).
+one by one; an empty table gives no rows; further columns, whatever their names, are ignored (the stage keeps them).
 """
 
 from __future__ import annotations
 
 import re
 import uuid
-from dataclasses import dataclass
+from collections.abc import Iterator
+from dataclasses import dataclass, replace
 from functools import lru_cache
 
 import numpy as np
 import pandas as pd
+import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fedgrid.llm.common import crc_mod, hash_share, table
+from fedgrid.llm.common import crc_mod, hash_share, named, shielded, table
 
 #: Where the public vocabularies lie, and which one is used.
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
@@ -36,9 +40,17 @@ MAX_TEXTS = 200
 MAX_WORDS = 500_000
 
 UND = "und"
-_WORD = re.compile(r"[^\W\d_]+")
-_STRETCH, _MARK = 64, "▁"
+#: Nats by which a text as a whole may be less likely than the floor: a few letters tell little.
+SHORT = 100.0
+_WORD = regex.compile(r"\p{L}[\p{L}\p{M}]*+")
+#: The same words in texts that have no mark and no numeral but decimal digits: those are all that \w is wrong about.
+_PLAIN, _SPECIAL = re.compile(r"[^\W\d_]+"), regex.compile(r"[\p{M}\p{Nl}\p{No}]")
+_MARK = "▁"
 _UNKNOWN = 1e-9
+#: Letters of a piece at most, and words times letters of the longest that share a lattice.
+_PIECE, _AREA = 63, 1 << 18
+#: Sums below the first bound are multiplied by the second, and the logarithm is told.
+_TINY, _UP = 1e-150, 1e150
 
 
 @lru_cache(maxsize=2)
@@ -48,14 +60,22 @@ def vocabulary(path: str = VOCABULARY) -> tuple[str, ...]:
 
     model = sentencepiece.SentencePieceProcessor(model_file=path)
     pieces = {model.id_to_piece(i).lower() for i in range(model.get_piece_size())}
-    return tuple(sorted(p for p in pieces if _WORD.fullmatch(p.removeprefix(_MARK))))
+    return tuple(sorted(p for p in pieces if len(p) <= _PIECE and _WORD.fullmatch(p.removeprefix(_MARK))))
 
 
 def words_of(text: str | None) -> list[str]:
-    found = _WORD.findall((text or "").lower())
-    if any(len(w) > _STRETCH for w in found):
-        found = [w[i : i + _STRETCH] for w in found for i in range(0, len(w), _STRETCH)]
-    return found
+    text = (text or "").lower()
+    return (_PLAIN if text.isascii() or not _SPECIAL.search(text) else _WORD).findall(text)
+
+
+def batches(words: list[str]) -> Iterator[list[str]]:
+    """The words by length, in parts of 4096 at most whose lattices stay small."""
+    rest = sorted(words, key=len, reverse=True)
+    at = 0
+    while at < len(rest):
+        n = max(1, min(4096, _AREA // (len(rest[at]) + 1)))
+        yield rest[at : at + n]
+        at += n
 
 
 def prefixes(pieces: tuple[str, ...]) -> dict[str, int]:
@@ -70,76 +90,92 @@ class Lattice:
 
     def __init__(self, words: list[str], index: dict[str, int]):
         """index: of every piece its number, of every proper beginning of a piece -1 (see ``prefixes``)."""
-        # an edge is one integer: word, start and stop (7 bits each, up to _STRETCH), piece (16 bits)
+        # an edge is one integer: word (12 bits), stop (28), length (6), piece (16)
         edges, unknown, get = [], index[""], index.get
         add = edges.append
         for k, w in enumerate(words):
-            ends = range(1, len(w) + 1)
-            for i in range(len(w)):
-                here, single = k << 30 | i << 23, unknown
-                for j in ends[i:]:
+            n = len(w)
+            for i in range(n):
+                here, single = k << 50 | i << 22, unknown
+                for j in range(i + 1, n + 1):
                     p = get(w[i:j])
                     if p is None:
                         break
                     if p >= 0:
                         if j == i + 1:
                             single = -1
-                        add(here | j << 16 | p)
+                        add(here + ((j - i) << 22 | (j - i) << 16 | p))
                 if single >= 0:
-                    add(here | (i + 1) << 16 | single)
+                    add(here + (1 << 22 | 1 << 16 | single))
             w = _MARK + w
-            for j in ends:
+            for j in range(1, n + 1):
                 p = get(w[: j + 1])
                 if p is None:
                     break
                 if p >= 0:
-                    add(k << 30 | j << 16 | p)
+                    add(k << 50 | j << 22 | j << 16 | p)
         self.n, self.lengths = len(words), np.array([len(w) for w in words], np.int64)
         packed = np.array(edges, np.int64)
-        packed = packed[np.argsort(packed >> 16 & 127, kind="stable")]
-        self.edges = packed >> 30, packed >> 23 & 127, packed >> 16 & 127, packed & 0xFFFF
-
-    def forward(self, probs: np.ndarray) -> np.ndarray:
-        """Sums over the segmentations of each prefix; probs: one per piece (the last is unknown)."""
-        word, start, stop, piece = self.edges
-        alpha = np.zeros((int(self.lengths.max(initial=0)) + 1, self.n))
-        alpha[0] = 1.0
-        cuts = np.searchsorted(stop, np.arange(len(alpha) + 1))
-        weight = probs[piece]
-        for j in range(1, len(alpha)):
-            part = slice(cuts[j], cuts[j + 1])
-            alpha[j] = np.bincount(word[part], weight[part] * alpha[start[part], word[part]], self.n)
-        return alpha
+        stop = packed >> 22 & ((1 << 28) - 1)
+        order = np.argsort(stop, kind="stable")
+        packed, stop = packed[order], stop[order]
+        self.edges = packed >> 50, stop - (packed >> 16 & 63), stop, packed & 0xFFFF
 
-    def totals(self, probs: np.ndarray) -> np.ndarray:
-        """Each word's sum over all segmentations; probs: pieces by languages, and so is the result."""
+    def logs(self, probs: np.ndarray) -> np.ndarray:
+        """Logarithm of each word's sum over all segmentations; probs: pieces by languages, and so is the result."""
         word, start, stop, piece = self.edges
         alpha = np.zeros((int(self.lengths.max(initial=0)) + 1, self.n, probs.shape[1]))
         alpha[0] = 1.0
+        taken = np.zeros((self.n, probs.shape[1]))
         cuts = np.searchsorted(stop, np.arange(len(alpha) + 1))
         weight = probs[piece]
         for j in range(1, len(alpha)):
             part = slice(cuts[j], cuts[j + 1])
             own = word[part]  # in order, as edges are made word by word
-            if len(own):
+            if not len(own):
+                continue
+            first = np.flatnonzero(np.diff(own, prepend=-1))
+            sums = np.add.reduceat(weight[part] * alpha[start[part], own], first, axis=0)
+            alpha[j, own[first]] = sums
+            if sums.min() < _TINY:
+                # what later sums are made of is scaled up alike; a word that has ended has no later sums
+                low = (alpha[j] < _TINY) & (alpha[j] > 0)
+                alpha[max(0, j - _PIECE) : j + 1, low] *= _UP
+                taken[low] += np.log(_UP)
+        return np.log(alpha[self.lengths, np.arange(self.n)]) - taken
+
+    def _sweep(self, logs: np.ndarray, into: np.ndarray, out: np.ndarray, ends: np.ndarray, begin: np.ndarray) -> np.ndarray:
+        """Log sums at each place of each word, from where ``begin`` is 0, along edges from ``out`` to ``into``."""
+        word = self.edges[0]
+        sums = begin.copy()
+        order = np.lexsort((word, into))
+        cuts = np.searchsorted(into[order], np.arange(len(sums) + 1))
+        for j in ends:
+            part = order[cuts[j] : cuts[j + 1]]
+            if len(part):
+                own = word[part]
                 first = np.flatnonzero(np.diff(own, prepend=-1))
-                alpha[j, own[first]] = np.add.reduceat(weight[part] * alpha[start[part], own], first, axis=0)
-        return alpha[self.lengths, np.arange(self.n)]
+                value = logs[part] + sums[out[part], own]
+                top = np.maximum.reduceat(value, first)
+                with np.errstate(invalid="ignore"):
+                    rest = np.exp(value - np.repeat(top, np.diff(np.append(first, len(own)))))
+                    sums[j, own[first]] = np.where(np.isneginf(top), -np.inf, top + np.log(np.add.reduceat(rest, first)))
+        return sums
 
     def expected(self, probs: np.ndarray, counts: np.ndarray) -> np.ndarray:
-        """Expected uses of each piece, for words that occur ``counts`` times."""
+        """Expected uses of each piece, for words that occur ``counts`` times; probs: one per piece."""
         word, start, stop, piece = self.edges
-        alpha = self.forward(probs)
-        beta = np.zeros_like(alpha)
-        beta[self.lengths, np.arange(self.n)] = 1.0
-        order = np.argsort(start, kind="stable")
-        cuts = np.searchsorted(start[order], np.arange(len(alpha) + 1))
-        weight = probs[piece]
-        for i in range(len(alpha) - 2, -1, -1):
-            part = order[cuts[i] : cuts[i + 1]]
-            beta[i] += np.bincount(word[part], weight[part] * beta[stop[part], word[part]], self.n)
-        total = np.maximum(alpha[self.lengths, np.arange(self.n)], 1e-300)
-        use = counts[word] * alpha[start, word] * weight * beta[stop, word] / total[word]
+        with np.errstate(divide="ignore"):
+            logs = np.log(probs)[piece]
+        longest = int(self.lengths.max(initial=0))
+        begin = np.full((longest + 1, self.n), -np.inf)
+        begin[0] = 0.0
+        alpha = self._sweep(logs, stop, start, np.arange(1, longest + 1), begin)
+        begin = np.full((longest + 1, self.n), -np.inf)
+        begin[self.lengths, np.arange(self.n)] = 0.0
+        beta = self._sweep(logs, start, stop, np.arange(longest - 1, -1, -1), begin)
+        total = alpha[self.lengths, np.arange(self.n)]
+        use = counts[word] * np.exp(alpha[start, word] + logs + beta[stop, word] - total[word])
         return np.bincount(piece, use, len(probs))
 
 
@@ -148,6 +184,8 @@ class Model:
     languages: list[str]
     pieces: dict[str, int]
     probs: np.ndarray  # languages by pieces, the last of which is the unknown character
+    #: Of each language the least mean log probability a letter that a text of it is expected to have.
+    floors: np.ndarray | None = None
 
 
 def fit(rows: pd.DataFrame, pieces: tuple[str, ...], rounds: int = 4, smoothing: float = 0.05) -> Model:
@@ -157,12 +195,12 @@ def fit(rows: pd.DataFrame, pieces: tuple[str, ...], rounds: int = 4, smoothing:
     probs = []
     for lang in languages:
         own = rows[rows["lang"] == lang]
-        lattice = Lattice(own["word"].tolist(), index)
-        counts = own["n"].to_numpy(float)
+        times = dict(zip(own["word"], own["n"], strict=True))
+        parts = [(Lattice(b, index), np.array([times[w] for w in b], float)) for b in batches(list(times))]
         p = np.full(n + 1, 1.0 / (n + 1))
         p[-1] = _UNKNOWN
         for _ in range(rounds):
-            used = lattice.expected(p, counts)[:-1] + smoothing
+            used = sum(lattice.expected(p, counts) for lattice, counts in parts)[:-1] + smoothing
             p = np.append(used / used.sum(), _UNKNOWN)
         probs.append(p)
     # pieces that no language uses more than smoothing does stay in the lattice: their mass is common
@@ -177,11 +215,28 @@ def train(documents: DataFrame, bound: int = MAX_TEXTS, path: str = VOCABULARY)
         return fit(pd.DataFrame({"lang": [], "word": [], "n": []}), vocabulary(path))
     share = F.coalesce(*[F.when(F.col("lang") == k, F.lit(min(1.0, bound / v))) for k, v in totals.items()])
     split = F.pandas_udf(lambda s: pd.Series([words_of(t) for t in s]), "array<string>")
-    words = usable.where(hash_share("doc_id", share)).select("lang", F.explode(split("text")).alias("word"))
+    picked = usable.where(hash_share("doc_id", share))
+    words = picked.select("lang", F.explode(split("text")).alias("word"))
     rows = words.groupBy("lang", "word").agg(F.count(F.lit(1)).alias("n")).toPandas()
     return fit(rows.sort_values(["lang", "word"]), vocabulary(path))
 
 
+def with_floors(documents: DataFrame, model: Model, spread: float = 8.0, least: float = 1.5, bound: int = MAX_TEXTS) -> Model:
+    """The model with each language's floor: the mean over its learned texts of the mean log probability a letter, less
+    ``spread`` standard deviations, ``least`` nats at least."""
+    usable = documents.where(F.col("lang").isin(model.languages) & F.col("text").isNotNull())
+    totals = {r["lang"]: r["count"] for r in usable.groupBy("lang").count().collect()}
+    floors = np.full(len(model.languages), -np.inf)
+    if totals:
+        share = F.coalesce(*[F.when(F.col("lang") == k, F.lit(min(1.0, bound / v))) for k, v in totals.items()])
+        seen = identifier(documents.sparkSession, model)("text").alias("f")
+        rows = usable.where(hash_share("doc_id", share)).select("lang", seen).where("f.lang_pred = lang")
+        per = rows.groupBy("lang").agg(F.avg("f.evidence").alias("m"), F.coalesce(F.stddev("f.evidence"), F.lit(0.0)).alias("s"))
+        for r in per.collect():  # a row for each language
+            floors[model.languages.index(r["lang"])] = r["m"] - max(least, spread * r["s"])
+    return replace(model, floors=floors)
+
+
 class Scorer:
     """Scores texts; keeps the log probabilities of words it has met, within MAX_WORDS."""
 
@@ -195,9 +250,8 @@ class Scorer:
         if len(self.known) + len(new) > MAX_WORDS:
             self.known.clear()
             new = list(words)
-        for at in range(0, len(new), 4096):
-            part = new[at : at + 4096]
-            logs = np.log(np.maximum(Lattice(part, self.model.pieces).totals(self.model.probs.T), 1e-300))
+        for part in batches(new):
+            logs = Lattice(part, self.model.pieces).logs(self.model.probs.T)
             first = len(self.known)
             self.table[first : first + len(part)] = logs
             self.known.update(zip(part, range(first, first + len(part)), strict=True))
@@ -207,14 +261,14 @@ class Scorer:
         return self.table[[known[w] for w in words]].sum(axis=0)
 
     def log_probabilities(self, texts: list[str | None]) -> list[tuple[int, np.ndarray]]:
-        """Number of words and log probability under each language, for some texts at a time."""
+        """Number of letters and log probability under each language, for some texts at a time."""
         out: list[tuple[int, np.ndarray]] = []
         waiting: list[list[str]] = []
         size = 0
 
         def flush() -> None:
             self._learn(set().union(*waiting))
-            out.extend((len(words), self._sum(words)) for words in waiting)
+            out.extend((sum(map(len, words)), self._sum(words)) for words in waiting)
             waiting.clear()
 
         for text in texts:
@@ -226,7 +280,7 @@ class Scorer:
                     part = words[at : at + MAX_WORDS // 2]
                     self._learn(set(part))
                     total += self._sum(part)
-                out.append((len(words), total))
+                out.append((sum(map(len, words)), total))
                 continue
             if waiting and size + len(words) > MAX_WORDS // 8:
                 flush()
@@ -237,15 +291,18 @@ class Scorer:
         return out
 
     def predict(self, texts: pd.Series) -> pd.DataFrame:
-        langs, scores = [], []
+        langs, scores, evidence, letters = [], [], [], []
         for n, logs in self.log_probabilities(texts.tolist()):
+            letters.append(n)
             if not n or not len(logs):
-                langs.append(UND), scores.append(0.0)
+                langs.append(UND), scores.append(0.0), evidence.append(None)
                 continue
             best = int(np.argmax(logs))
             langs.append(self.model.languages[best])
             scores.append(float(1.0 / np.exp(np.minimum(logs - logs[best], 0.0)).sum()))
-        return pd.DataFrame({"lang_pred": langs, "score": scores})
+            evidence.append(float(logs[best]) / n)
+        return pd.DataFrame({"lang_pred": langs, "score": scores, "evidence": pd.Series(evidence, dtype="float64"),
+                             "letters": letters})
 
 
 #: The scorer of the model in use; a worker keeps it from task to task.
@@ -253,7 +310,9 @@ _SCORERS: dict[str, Scorer] = {}
 
 
 def identifier(spark: SparkSession, model: Model):
-    """A Column function: text to struct(lang_pred, score). The model goes out once, by broadcast.
+    """A Column function: text to struct(lang_pred, score, evidence, letters). The model goes out once, by broadcast.
+
+    Evidence is the mean log probability a letter under the language found.
 
     Its size is fixed by the vocabulary and the number of languages, not by the corpus.
     """
@@ -268,10 +327,8 @@ def identifier(spark: SparkSession, model: Model):
         for texts in batches:
             yield here._SCORERS[key].predict(texts)
 
-    from collections.abc import Iterator
-
     predict.__annotations__ = {"batches": Iterator[pd.Series], "return": Iterator[pd.DataFrame]}
-    return F.pandas_udf(predict, "lang_pred string, score double")
+    return F.pandas_udf(predict, "lang_pred string, score double, evidence double, letters bigint")
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -283,12 +340,21 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "held_out", "found.lang_pred", "found.score")
 
 
+@shielded
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str, least: float = 0.5) -> DataFrame:
-    """Keeps the documents that are in some learned language with a posterior of ``least`` or more.
+    """Keeps the documents that are in some learned language: with a posterior of ``least`` or more, and not less
+    likely a letter than the language's floor less SHORT / letters (other languages and noise have a winner too).
 
-    Rejected: texts that are null or have no letter, and texts that no language wins. Languages are
-    learned from the labels of the given documents themselves.
+    Rejected: texts that are null or have no letter, and texts that no language wins or that no learned language
+    explains. Languages are learned from the labels of the given documents themselves.
     """
-    found = identifier(spark, train(docs.select("doc_id", "text", "lang")))(F.col("text"))
-    kept = docs.withColumn("__found", found)
-    return kept.where((F.col("__found.lang_pred") != UND) & (F.col("__found.score") >= least)).drop("__found")
+    labelled = docs.select("doc_id", "text", "lang")
+    model = with_floors(labelled, train(labelled))
+    found = named(docs, "found")
+    kept = docs.withColumn(found, identifier(spark, model)(F.col("text")))
+    kept = kept.where((F.col(f"{found}.lang_pred") != UND) & (F.col(f"{found}.score") >= least))
+    floors = [F.when(F.col(f"{found}.lang_pred") == k, F.lit(float(v))) for k, v in zip(model.languages, model.floors, strict=True)]
+    if floors:
+        floor = F.coalesce(*floors) - SHORT / F.col(f"{found}.letters")
+        kept = kept.where(F.col(f"{found}.evidence") >= floor)
+    return kept.drop(found)
