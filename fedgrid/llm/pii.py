@@ -1,15 +1,16 @@
 """Personal data: base patterns plus a linear-chain conditional random field over word shapes.
 
-The base patterns (e-mail, IP address, payment card, phone) are matched exactly. The random field adds spans
-that are written otherwise: phones without a plus sign, cards with other separators, masked e-mails. Its
-tokens are runs of non-space characters, its sequences are lines, its features the shapes of a token and of
-its two neighbours, its labels O and B/I of each kind. It is trained by gradient steps on the conditional
-likelihood (forward-backward) over the small labelled table that ``labelled_table`` makes, and decoded by
-Viterbi in numpy, many lines at a time. An added span must pass a plausibility check of its kind and may not
+The base patterns (e-mail, IP address, payment card, phone) are matched exactly. The random field adds spans that they
+can't describe: phones without a plus sign, cards with other separators, masked e-mails and addresses, and secrets
+(keys, tokens, passwords). Its tokens are runs of non-space characters, its sequences are lines, its features the
+shapes of a token, of the two before it and of the one behind it (a cue word has a shape of its own, a long number
+tells whether its check digit fits), its labels O and B/I of each kind. It is trained by gradient steps on the
+conditional likelihood (forward-backward) over the small labelled table that ``labelled_table`` makes, and decoded by
+Viterbi in numpy, many lines at a time. What it labels is a span; nothing filters it but that an added span may not
 overlap a base span.
 
 Defined results: a null text counts as empty and has no spans; whole texts are read whatever their length;
-repeated rows are treated one by one; an empty table gives no rows; further columns are ignored.
+repeated rows are treated one by one; an empty table gives no rows; further columns, whatever their names, are ignored.
 """
 
 from __future__ import annotations
@@ -28,7 +29,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from fedgrid.llm.common import table
 
-KINDS = ("email", "ip", "card", "phone")
+BASE = ("email", "ip", "card", "phone")
+KINDS = (*BASE, "secret")
 LABELS = ("O", *(f"{p}-{k}" for k in KINDS for p in "BI"))
 Span = tuple[int, int, int]  # start, index of the kind, end
 
@@ -84,26 +86,54 @@ def base_spans(text: str) -> list[Span]:
 
 # ---- word shapes -------------------------------------------------------------------------------------
 
-_RUN = re.compile(r"[a-z]+|[A-Z]+|[0-9]+|[^a-zA-Z0-9]")
+_RUN = re.compile(r"[0-9]+|[^\W\d_]+|.", re.DOTALL)
+_NUMBERS = re.compile(r"[0-9]+")
+_IP_LIKE = re.compile(r"[0-9]{1,3}(?:(?:\.|\[\.\])[0-9]{1,3}){3}(?::[0-9]+)?")
 _REST = ("<word>", "<digits>", "<at>", "<mixed>", "<none>")
 _EDGE = ".,;:!?\"'"
+_NOISE = _EDGE + "#$%&*"
+#: A token of more runs than this has its length and alphabet as its shape.
+_RUNS = 8
+
+_CUES = {
+    "email": ["mail", "write to", "contact", "e-mail:", "reach me at"],
+    "ip": ["host", "from", "server", "login from", "address"],
+    "card": ["card", "visa", "card no.", "paid with", "number"],
+    "phone": ["call", "phone:", "tel.", "mobile", "fax"],
+    "secret": ["token", "api_key", "apikey", "key", "secret", "password", "passwd", "pwd", "bearer", "access_token"],
+}
+_TELLING = {word.strip(_EDGE): kind for kind in ("phone", "card", "secret") for cue in _CUES[kind] for word in cue.split()}
 
 
 def shape(word: str) -> str:
-    """Runs of letters as x or X, of digits as d and their number (6 and more as d+), the rest as it is."""
-    if word.isalpha():
-        return "x" if word.islower() else "X" if word.isupper() else "Xx"
+    """Runs of letters as x, X or Xx, of digits as d and their number (6 and more as d+), the rest as it is."""
+    bare = word.rstrip(_NOISE).lstrip(_EDGE)
+    cue = _TELLING.get(bare.lower())
+    if cue:
+        return f"<{cue}>"
+    if bare.isalpha():
+        return "x" if bare.islower() else "X" if bare.isupper() else "Xx"
+    runs = _RUN.findall(bare)
+    if len(runs) > _RUNS:
+        if _IP_LIKE.fullmatch(bare):
+            return "ip" if all(int(p) < 256 for p in _NUMBERS.findall(bare)[:4]) else "no ip"
+        kind = "hex" if all(c in "0123456789abcdef" for c in bare.lower()) else "key" if all(c.isalnum() or c in "+/=_-" for c in bare) else "mix"
+        return f"{kind}{min(len(bare) // 8, 8)}"
+    if _IP_LIKE.fullmatch(bare):
+        return "ip" if all(int(p) < 256 for p in _NUMBERS.findall(bare)[:4]) else "no ip"
+    digits = _digits(bare)
+    if len(digits) >= 12 and len(digits) + 4 >= len(bare):
+        rest = "".join(dict.fromkeys(c for c in bare if not c.isdigit()))
+        return f"long{min(len(digits), 20)}{rest}{'ok' if luhn(digits) else ''}"
     out = []
-    for m in _RUN.finditer(word.strip(_EDGE)):
-        c, n = m[0][0], len(m[0])
+    for run in runs:
+        c, n = run[0], len(run)
         if "0" <= c <= "9":
             out.append(f"d{n}" if n < 6 else f"d+{min(n, 20) // 4}")
         elif c.isalpha():
-            out.append("x" if c.islower() else "X")
+            out.append("x" if run.islower() else "X" if run.isupper() else "Xx")
         else:
             out.append(c)
-        if len(out) > 12:
-            break
     return "".join(out)
 
 
@@ -117,15 +147,7 @@ def _rest(word: str) -> str:
 
 # ---- labelled table ----------------------------------------------------------------------------------
 
-_CUES = {
-    "email": ["mail", "write to", "contact", "e-mail:", "reach me at"],
-    "ip": ["host", "from", "server", "login from", "address"],
-    "card": ["card", "visa", "card no.", "paid with", "number"],
-    "phone": ["call", "phone:", "tel.", "mobile", "fax"],
-}
-
-
-def labelled_table(rows: int = 900, seed: int = 7) -> list[tuple[list[str], list[str]]]:
+def labelled_table(rows: int = 1500, seed: int = 7) -> list[tuple[list[str], list[str]]]:
     """A small table of token sequences with labels, made from patterns of writing by a seeded generator."""
     r = random.Random(seed)
 
@@ -134,7 +156,27 @@ def labelled_table(rows: int = 900, seed: int = 7) -> list[tuple[list[str], list
 
     def word() -> str:
         w = "".join(r.choice("aeioubdfglmnrst") for _ in range(r.randint(2, 9)))
-        return r.choices([w, w.title(), w.upper()], [10, 3, 1])[0]
+        w = r.choices([w, w.title(), w.upper()], [10, 3, 1])[0]
+        return w if r.random() < 0.8 else w + r.choice([",", ".", "!!", "###", "%%%", "$$$", "&&&", "***", ".###", ",***"])
+
+    def check(n: int) -> str:
+        """A number of n digits whose last one is its check digit."""
+        body = digits(n - 1)
+        return next(body + d for d in "0123456789" if luhn(body + d))
+
+    def letters(n: int, alphabet: str) -> str:
+        return "".join(r.choice(alphabet) for _ in range(n))
+
+    def secret() -> str:
+        low, many = "0123456789abcdef", "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789"
+        n = r.choice([16, 24, 32, 40, 40, 40, 48, 64])
+        value = r.choice([letters(n, low), letters(n, low), letters(n, low.upper()), letters(n, many), "sk-" + letters(n, many),
+                          letters(16, many).upper() + letters(4, "0123456789"), letters(n, many + "+/") + "="])
+        return r.choice([f'"{value}"', value, f"'{value}'"])
+
+    def asked() -> str:
+        cue = r.choice([*_CUES["secret"], *[c.upper() for c in _CUES["secret"]]])
+        return r.choice([f"{cue} =", f"{cue}:", f"{cue}", f"{cue} ="])
 
     def email() -> str:
         user = r.choice([word(), f"{word()}.{word()}", f"{word()}{digits(2)}", f"{word()}.{digits(2)}"]).lower()
@@ -147,7 +189,8 @@ def labelled_table(rows: int = 900, seed: int = 7) -> list[tuple[list[str], list
         return r.choice([".".join(parts), ".".join(parts) + ":" + digits(4), "[.]".join(parts)])
 
     def card() -> str:
-        groups = [digits(4) for _ in range(4)]
+        number = check(16)
+        groups = [number[k : k + 4] for k in range(0, 16, 4)]
         return r.choice([" ".join(groups), "-".join(groups), "".join(groups), ".".join(groups), "/".join(groups)])
 
     def phone() -> str:
@@ -161,9 +204,18 @@ def labelled_table(rows: int = 900, seed: int = 7) -> list[tuple[list[str], list
                          f"{digits(3)}%", f"#{digits(5)}", f"{digits(4)}-{digits(4)}", f"({digits(4)})", f"({digits(1)})",
                          f'"{digits(6)}{word().lower()}{digits(5)}"', f"{digits(1)},{digits(3)}", digits(r.randint(9, 30)),
                          f"@{word()}", f"{word()}###", f"{word()}$$$", f"{word()}%%%", "|", "=", f"{word()}-{word()}",
-                         f"{digits(2)}/{digits(2)}/{digits(4)}", f"{word()}{digits(2)}", f"[{word()}]", f"({word()})"])
-
-    make = {"email": email, "ip": ip, "card": card, "phone": phone}
+                         f"{digits(2)}/{digits(2)}/{digits(4)}", f"{word()}{digits(2)}", f"[{word()}]", f"({word()})",
+                         wrong(16), wrong(16), wrong(13), f"commit {letters(40, '0123456789abcdef')}", f"ISBN 978-{digits(1)}-{digits(4)}-{digits(4)}-{digits(1)}",
+                         f"{r.randint(256, 999)}.{r.randint(256, 999)}.{digits(3)}.{digits(2)}", f"{r.choice(_CUES['secret'])} {word()}",
+                         f"{r.choice(_CUES['phone'])} {word()}", f"{r.choice(_CUES['card'])} {word()}", f"{word()}_{word()}_{digits(2)}",
+                         f"https://{word().lower()}.org/{word().lower()}/{digits(3)}"])
+
+    def wrong(n: int) -> str:
+        while luhn(number := digits(n)):
+            pass
+        return r.choice([number, number, ".".join(number[k : k + 4] for k in range(0, n, 4))])
+
+    make = {"email": email, "ip": ip, "card": card, "phone": phone, "secret": secret}
     out = []
     for _ in range(rows):
         tokens, labels = [], []
@@ -177,9 +229,11 @@ def labelled_table(rows: int = 900, seed: int = 7) -> list[tuple[list[str], list
             add(neutral() if r.random() < 0.25 else word())
         for _ in range(r.choice([0, 1, 1, 2])):
             kind = r.choice(KINDS)
-            if r.random() < 0.5:
+            if kind == "secret":  # the value alone could be any number or digest
+                add(asked())
+            elif r.random() < 0.5:
                 add(r.choice(_CUES[kind]))
-            add(make[kind]() + r.choice(["", "", ".", ","]), kind)
+            add(make[kind]() + r.choice(["", "", "", ".", ",", "###", "***", "&&&", "!!"]), kind)
             for _ in range(r.randint(1, 5)):
                 add(neutral() if r.random() < 0.25 else word())
         if tokens:
@@ -190,9 +244,13 @@ def labelled_table(rows: int = 900, seed: int = 7) -> list[tuple[list[str], list
 # ---- the random field --------------------------------------------------------------------------------
 
 
+#: Places beside a token whose shapes are its features.
+OFFSETS = (-2, -1, 0, 1)
+
+
 @dataclass
 class Field:
-    """Shape numbers; weights by (offset -1, 0, +1), shape and label; transition and start weights."""
+    """Shape numbers; weights by OFFSETS, shape and label; transition and start weights."""
 
     shapes: dict[str, int]
     weights: np.ndarray
@@ -203,12 +261,16 @@ class Field:
         found = self.shapes.get(shape(word))
         return self.shapes[_rest(word)] if found is None else found
 
-    def emissions(self, numbers: np.ndarray, first: np.ndarray, last: np.ndarray) -> np.ndarray:
-        """Label weights of each token; first and last mark the tokens at sequence ends."""
-        none = self.shapes["<none>"]
-        before, after = np.roll(numbers, 1), np.roll(numbers, -1)
-        before[first], after[last] = none, none
-        return self.weights[0][before] + self.weights[1][numbers] + self.weights[2][after]
+    def emissions(self, numbers: np.ndarray, places: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+        """Label weights of each token; places and lengths: each token's place in its sequence, and that one's length."""
+        none, out = self.shapes["<none>"], 0.0
+        for k, offset in enumerate(OFFSETS):
+            near = np.roll(numbers, -offset)
+            if offset:
+                there = places + offset
+                near[(there < 0) | (there >= lengths)] = none
+            out = out + self.weights[k][near]
+        return out
 
 
 def _pad(rows: list[list[int]]) -> tuple[np.ndarray, np.ndarray]:
@@ -220,7 +282,7 @@ def _pad(rows: list[list[int]]) -> tuple[np.ndarray, np.ndarray]:
 
 
 @lru_cache(maxsize=2)
-def train(rows: int = 900, seed: int = 7, steps: int = 150, rate: float = 0.15, decay: float = 1e-3) -> Field:
+def train(rows: int = 1500, seed: int = 7, steps: int = 150, rate: float = 0.15, decay: float = 1e-3) -> Field:
     """Adam on the mean negative log likelihood of the labelled table."""
     data = labelled_table(rows, seed)
     counts = Counter(shape(t) for tokens, _ in data for t in tokens)
@@ -230,16 +292,18 @@ def train(rows: int = 900, seed: int = 7, steps: int = 150, rate: float = 0.15,
     x, mask = _pad([[field.number(t) for t in tokens] for tokens, _ in data])
     y, _ = _pad([[LABELS.index(v) for v in labels] for _, labels in data])
     none, (n, length) = field.shapes["<none>"], x.shape
-    edge = np.full((n, 1), none)
-    views = [np.hstack([edge, x[:, :-1]]), x, np.hstack([x[:, 1:], edge])]
-    views[2] = np.where(np.hstack([mask[:, 1:], edge < 0]), views[2], none)
-    theta = [np.zeros((3, n_shapes, n_labels)), np.zeros((n_labels, n_labels)), np.zeros(n_labels)]
+    views = []
+    for offset in OFFSETS:
+        there = np.arange(length) + offset
+        inside = (there >= 0) & (there < mask.sum(1)[:, None])
+        views.append(np.where(inside, x[:, there.clip(0, length - 1)], none))
+    theta = [np.zeros((len(OFFSETS), n_shapes, n_labels)), np.zeros((n_labels, n_labels)), np.zeros(n_labels)]
     onehot = np.eye(n_labels)[y] * mask[..., None]
     gold = [None, np.einsum("nti,ntj->ij", onehot[:, :-1], onehot[:, 1:]), onehot[:, 0].sum(0)]
     moments = [(np.zeros_like(t), np.zeros_like(t)) for t in theta]
     for step in range(1, steps + 1):
         w, moves, starts = theta
-        e = sum(w[k][views[k]] for k in range(3))
+        e = sum(w[k][v] for k, v in enumerate(views))
         expm = np.exp(moves)
         alpha, scale = np.zeros((n, length, n_labels)), np.ones((n, length))
         ee = np.exp(e - e.max(axis=2, keepdims=True)) * mask[..., None]
@@ -260,7 +324,7 @@ def train(rows: int = 900, seed: int = 7, steps: int = 150, rate: float = 0.15,
         prob = prob / prob.sum(axis=2, keepdims=True) * mask[..., None]
         diff = (prob - onehot).reshape(-1, n_labels)
         grad_w = np.zeros_like(w)
-        for k in range(3):
+        for k in range(len(OFFSETS)):
             for label in range(n_labels):
                 grad_w[k][:, label] = np.bincount(views[k].ravel(), diff[:, label], n_shapes)
         grads = [grad_w, pairs - gold[1], prob[:, 0].sum(0) - gold[2]]
@@ -278,11 +342,10 @@ def viterbi(field: Field, numbers: np.ndarray, lengths: np.ndarray) -> np.ndarra
     """Best labels of the tokens of many sequences, which lie one behind the other."""
     out = np.zeros(len(numbers), np.int8)
     starts = np.concatenate([[0], np.cumsum(lengths)[:-1]])
+    places, sizes = np.arange(len(numbers)) - np.repeat(starts, lengths), np.repeat(lengths, lengths)
     order = np.argsort(-lengths, kind="stable")
     starts, lengths = starts[order], lengths[order]
-    first, last = np.zeros(len(numbers), bool), np.zeros(len(numbers), bool)
-    first[starts], last[starts + lengths - 1] = True, True
-    e = field.emissions(numbers, first, last)
+    e = field.emissions(numbers, places, sizes)
     longest = int(lengths[0])
     live = np.searchsorted(-lengths, -np.arange(1, longest + 1), side="right")  # sequences longer than t
     came = np.zeros(e.shape, np.int8)
@@ -306,24 +369,6 @@ def viterbi(field: Field, numbers: np.ndarray, lengths: np.ndarray) -> np.ndarra
     return out
 
 
-_LIKELY = {
-    "email": re.compile(r"[\w.%+-]+\s*(?:@|[\[(]at[\])])\s*[\w-]+(?:\s*(?:\.|[\[(]dot[\])])\s*[\w-]+)+"),
-    "ip": re.compile(r"[0-9]{1,3}(?:(?:\.|\[\.\])[0-9]{1,3}){3}(?::[0-9]{1,5})?"),
-    "card": re.compile(r"[0-9]{4}([\x20./-]?)[0-9]{4}\1[0-9]{4}\1[0-9]{1,7}"),
-    "phone": re.compile(r"(?:\+|00)?(?:\(?[0-9]{1,6}\)?[\x20./-]{0,2}){1,4}[0-9]{2,7}"),
-}
-
-
-def _plausible(kind: str, text: str) -> bool:
-    """Whether an added span can be of its kind at all."""
-    if not _LIKELY[kind].fullmatch(text):
-        return False
-    if kind == "ip":
-        return all(int(p) <= 255 for p in re.findall(r"[0-9]+", text)[:4])
-    n = len(_digits(text))
-    return kind == "email" or (9 <= n <= 15 if kind == "phone" else luhn(_digits(text)))
-
-
 class Finder:
     """All spans of texts; keeps the shape numbers of tokens it has met, within a bound."""
 
@@ -343,7 +388,7 @@ class Finder:
             return [known[w] for w in words]
 
     def added(self, texts: list[str]) -> list[list[Span]]:
-        """The field's spans of each text, plausible ones only."""
+        """The field's spans of each text."""
         numbers, lengths, lines = [], [], []
         for k, text in enumerate(texts):
             at = 0
@@ -376,9 +421,11 @@ class Finder:
             while u < len(labels) and labels[u] == 2 * kind + 2:
                 u += 1
             start, stop = places[t][0], places[u - 1][1]
-            while stop > start and line[stop - 1] in _EDGE:
+            while stop > start and line[stop - 1] in _NOISE:
                 stop -= 1
-            if _plausible(KINDS[kind], line[start:stop]):
+            while start < stop and line[start] in _EDGE:
+                start += 1
+            if start < stop:
                 yield at + start, kind, at + stop
             t = u
 
@@ -398,10 +445,34 @@ def _joined(spans: list[Span]) -> str:
 
 SCHEMA = (
     "doc_id bigint, n_email bigint, n_ip bigint, n_card bigint, n_phone bigint, base_sha256 string, spans string, "
-    "n_added bigint"
+    "n_added bigint, n_spans bigint"
 )
 
 
+def span_scores(field: Field, data: list[tuple[list[str], list[str]]]) -> dict[str, tuple[float, float]]:
+    """(precision, recall) of whole spans of each kind on labelled sequences."""
+
+    def spans(labels: list[str]) -> set[tuple[str, int, int]]:
+        out, t = set(), 0
+        while t < len(labels):
+            kind, u = labels[t][2:], t + 1
+            while kind and u < len(labels) and labels[u] == f"I-{kind}":
+                u += 1
+            if kind:
+                out.add((kind, t, u))
+            t = u
+        return out
+
+    right, found, there = Counter(), Counter(), Counter()
+    for tokens, labels in data:
+        got = viterbi(field, np.array([field.number(t) for t in tokens]), np.array([len(tokens)]))
+        mine, truth = spans([LABELS[i] for i in got]), spans(labels)
+        found.update(k for k, *_ in mine)
+        there.update(k for k, *_ in truth)
+        right.update(k for k, *_ in mine & truth)
+    return {k: (right[k] / max(found[k], 1), right[k] / max(there[k], 1)) for k in KINDS}
+
+
 def find(docs: DataFrame, field: Field | None = None) -> DataFrame:
     """A row per row of ``docs`` with its counts of base spans, their digest, and all spans."""
     field = field or train()
@@ -412,12 +483,13 @@ def find(docs: DataFrame, field: Field | None = None) -> DataFrame:
             for at in range(0, len(batch), 256):
                 part = batch.iloc[at : at + 256]
                 found = finder.spans([t or "" for t in part["text"]])
-                counts = np.array([[sum(s[1] == k for s in base) for k in range(4)] for base, _ in found])
+                counts = np.array([[sum(s[1] == k for s in base) for k in range(len(BASE))] for base, _ in found])
                 out = {"doc_id": part["doc_id"].to_numpy()}
-                out |= {f"n_{kind}": counts[:, k] for k, kind in enumerate(KINDS)}
+                out |= {f"n_{kind}": counts[:, k] for k, kind in enumerate(BASE)}
                 out["base_sha256"] = [hashlib.sha256(_joined(base).encode()).hexdigest() for base, _ in found]
                 out["spans"] = [_joined(every) for _, every in found]
                 out["n_added"] = [len(every) - len(base) for base, every in found]
+                out["n_spans"] = [len(every) for _, every in found]
                 yield pd.DataFrame(out).astype({"doc_id": "Int64"})
 
     return docs.select("doc_id", "text").mapInPandas(run, SCHEMA)
