@@ -12,7 +12,8 @@ lines, so they go back to the pages as one array per host: broadcast when their
 
 Defined results: null hosts form one host together with the empty name; a null text stays null and has no
 lines; repeated rows are pages of their own; a page may end up empty but is never dropped; an empty table
-gives no rows; further columns are kept by ``drop_lines`` and by the stage, ignored by the query.
+gives no rows; further columns, whatever their names, are kept by ``drop_lines`` (but for those called n_lines and
+n_dropped, which it makes) and by the stage, ignored by the query.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fedgrid.llm.common import checkpointed, table
+from fedgrid.llm.common import checkpointed, shielded, table
 
 #: Boilerplate lines (16 bytes each) up to which their arrays are broadcast.
 BROADCAST_LINES = 500_000
@@ -54,10 +55,11 @@ def boilerplate(pages: DataFrame, host: str, text: str, ratio: float, least: int
     return found.where(F.col("pages") > F.lit(float(ratio)) * F.col("total")).select("host", "line")
 
 
+@shielded
 def drop_lines(
     pages: DataFrame, host: str = "source", text: str = "text", ratio: float = 0.05, least: int = 3
 ) -> DataFrame:
-    """The pages with ``text`` freed of boilerplate lines, plus ``__n_lines`` and ``__n_dropped``."""
+    """The pages with ``text`` freed of boilerplate lines, plus ``n_lines`` and ``n_dropped``."""
     found = checkpointed(boilerplate(pages, host, text, ratio, least))
     few = found.count() <= BROADCAST_LINES
     arrays = found.groupBy("host").agg(F.collect_list("line").alias("__drop")).withColumnRenamed("host", "__host")
@@ -68,29 +70,40 @@ def drop_lines(
         salted = arrays.withColumn("__salt", F.explode(F.array(*map(F.lit, range(SALTS)))))
         keyed = keyed.withColumn("__salt", F.pmod(F.xxhash64(F.col(text)), F.lit(SALTS)).cast("int"))
         joined = keyed.join(salted, ["__host", "__salt"], "left").drop("__salt")
-    lines = _lines(F.col(text))
-    kept = F.filter(lines, lambda x: (F.trim(x) == "") | ~F.array_contains(F.col("__drop"), _key(x)))
-    joined = joined.withColumn("__n_lines", F.coalesce(F.size(lines), F.lit(0)))
-    joined = joined.withColumn("__kept", F.when(F.col("__drop").isNull(), lines).otherwise(kept))
-    joined = joined.withColumn("__n_dropped", F.col("__n_lines") - F.coalesce(F.size("__kept"), F.lit(0)))
+    joined = joined.withColumn("__lines", _lines(F.col(text)))
+    # the page's own boilerplate first, by one hash set, so that a line is only held against these few
+    own = F.array_intersect(F.transform("__lines", _key), "__drop")
+    joined = joined.withColumn("__drop", F.when(F.col("__drop").isNotNull(), own))
+    kept = F.filter("__lines", lambda x: (F.trim(x) == "") | ~F.array_contains(F.col("__drop"), _key(x)))
+    none = F.col("__drop").isNull() | (F.size("__drop") == 0)
+    joined = joined.withColumn("__kept", F.when(none, F.col("__lines")).otherwise(kept))
+    lines = F.coalesce(F.size("__lines"), F.lit(0))
     cleaned = F.when(F.col(text).isNotNull(), F.concat_ws("\n", "__kept"))
-    return joined.withColumn(text, cleaned).drop("__host", "__drop", "__kept")
+    names = [c for c in pages.columns if c.lower() not in ("n_lines", "n_dropped")]
+    return joined.select(
+        *[cleaned.alias(c) if c == text else F.col(c) for c in names],
+        lines.alias("n_lines"),
+        (lines - F.coalesce(F.size("__kept"), F.lit(0))).alias("n_dropped"),
+    )
 
 
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "documents").select("doc_id", "source", "text")
     return drop_lines(pages).select(
         "doc_id",
-        F.col("__n_lines").cast("bigint").alias("n_lines"),
-        F.col("__n_dropped").cast("bigint").alias("n_dropped"),
+        F.col("n_lines").cast("bigint").alias("n_lines"),
+        F.col("n_dropped").cast("bigint").alias("n_dropped"),
         "text",
     )
 
 
+@shielded
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without their sources' boilerplate lines; n_chars follows the new text."""
-    cleaned = drop_lines(docs).withColumn("n_chars", F.length("text").cast("bigint"))
-    return cleaned.select(*docs.columns)
+    found = docs.select(F.struct(*docs.columns).alias("doc"), "source", "text")  # columns that drop_lines makes stay
+    cleaned = drop_lines(found)
+    new = {"text": F.col("text"), "n_chars": F.length("text").cast("bigint")}
+    return cleaned.select(*[new.get(c, F.col(f"doc.{c}")).alias(c) for c in docs.columns])
 
 
 SQL = """
