@@ -17,18 +17,21 @@ fitted rates go back to the documents as a broadcast table of the cells (MAX_CEL
 
 Defined results: a null text has no tokens and the features of the empty text; labels of other values than
 0 and 1 are ignored; a document labelled twice counts with each label; without any label the posteriors are
-uniform; with no tokens at all every rate is 1; repeated rows get a rate each; an empty table gives no rows.
+uniform; with no tokens at all every rate is 1; repeated rows get a rate each; an empty table gives no rows; further
+columns, whatever their names, are kept, but for those called tokens, rate, p_<domain> (and, by the stage, copies),
+which are replaced. Targets that the fit doesn't reach are warned about.
 """
 
 from __future__ import annotations
 
 import math
+import warnings
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fedgrid.llm.common import checkpointed, hash_share, table
+from fedgrid.llm.common import checkpointed, hash_share, shielded, table
 
 DOMAINS = ("high", "low", "toxic")
 TARGETS = {"high": 0.9, "low": 0.08, "toxic": 0.02}
@@ -214,9 +217,12 @@ def fit_rates(
         now = reached(history)
         if max(abs(a - w) for a, w in zip(now["rate"], wanted, strict=True)) < tolerance:
             break
+    else:
+        warnings.warn(f"after {rounds} rounds the shares are {now['rate']}, the targets {wanted}", stacklevel=2)
     return history
 
 
+@shielded
 def mix(
     docs: DataFrame,
     labels: DataFrame,
@@ -237,7 +243,7 @@ def mix(
     history = fit_rates(cells, targets or TARGETS, ridge)
     rates = checkpointed(cells.withColumn("__rate", rate_of(history, ridge)).drop("__tokens"))
     out = members.join(F.broadcast(rates), "__cell")  # MAX_CELLS rows at most, and every document has its cell
-    kept = [c for c in members.columns if c in docs.columns and c not in {"tokens", "rate", *(f"p_{d}" for d in DOMAINS)}]
+    kept = [c for c in members.columns if c in docs.columns and c.lower() not in {"tokens", "rate", *(f"p_{d}" for d in DOMAINS)}]
     return out.select(
         *kept,
         F.col("__tokens").cast("bigint").alias("tokens"),
@@ -251,11 +257,13 @@ def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix(docs, table(spark, sf_dir, "labels"), text_free=True)
 
 
+@shielded
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents with their fitted rate and, as ``copies``, how often the mix takes each.
+    """The documents that the mix takes, with their fitted rate and, as ``copies``, how often it takes each.
 
-    copies is the rate rounded up or down by a hash of doc_id and text, so that it is the rate on average.
+    copies is the rate rounded up or down by a hash of doc_id and text, so that it is the rate on average; documents
+    with no copy go. A document that is taken several times stays one row: readers repeat it.
     """
     mixed = mix(docs, table(spark, sf_dir, "labels"))
     u = F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 30)) / float(1 << 30)
-    return mixed.withColumn("copies", F.floor(F.col("rate") + u).cast("bigint"))
+    return mixed.withColumn("copies", F.floor(F.col("rate") + u).cast("bigint")).where("copies > 0")
