@@ -57,8 +57,7 @@ def test_forward_sums_all_segmentations():
     lattice = language_id.Lattice(["aba"], language_id.prefixes(pieces))
     p = np.array([0.3, 0.2, 0.25, 0.15, 0.1, 1e-9])
     by_hand = p[0] * p[2] * p[0] + p[1] * p[0] + p[0] * p[3] + p[4] * p[2] * p[0] + p[4] * p[3]
-    assert lattice.totals(np.array([p, p / 2]).T)[0, 0] == pytest.approx(by_hand)
-    assert lattice.forward(p)[3, 0] == pytest.approx(by_hand)
+    assert np.exp(lattice.logs(np.array([p, p / 2]).T)[0, 0]) == pytest.approx(by_hand)
     used = lattice.expected(p, np.array([1.0]))
     assert (used[:-1] * [1, 2, 1, 2, 1]).sum() == pytest.approx(3.0)  # letters covered
 
@@ -242,24 +241,42 @@ def test_viterbi_is_the_best_path():
     got = pii.viterbi(field, numbers, lengths)
     at = 0
     for n in lengths:
-        e = field.emissions(numbers[at : at + n], np.arange(n) == 0, np.arange(n) == n - 1)
+        e = field.emissions(numbers[at : at + n], np.arange(n), np.full(n, n))
         import itertools
 
         def score(path, e=e):
             return field.starts[path[0]] + sum(e[i, v] for i, v in enumerate(path)) + sum(field.moves[a, b] for a, b in zip(path, path[1:], strict=False))
 
-        best = max(itertools.product(range(len(pii.LABELS)), repeat=int(n)), key=score)
+        best = max(itertools.product(range(len(pii.LABELS)), repeat=int(n)), key=score)  # up to 11^4 paths
         assert score(tuple(got[at : at + n])) == pytest.approx(score(best))
         at += n
 
 
-def test_field_held_out_accuracy():
-    field, right, every = pii.train(), 0, 0
-    for tokens, labels in pii.labelled_table(200, seed=1234):
-        found = pii.viterbi(field, np.array([field.number(t) for t in tokens]), np.array([len(tokens)]))
-        right += sum(pii.LABELS[i] == v for i, v in zip(found, labels, strict=True))
-        every += len(tokens)
-    assert right / every > 0.97
+def test_field_on_held_out_spans():
+    """Whole spans of a labelled table from another seed: half of its sequences have none, and all kinds of numbers."""
+    scores = pii.span_scores(pii.train(), pii.labelled_table(800, seed=1234))
+    for kind, (precision, recall) in scores.items():
+        assert precision > (0.8 if kind == "email" else 0.95) and recall > (0.75 if kind == "email" else 0.95), (kind, precision, recall)
+
+
+def test_field_finds_what_patterns_cannot(spark):
+    secret = "0f" * 20
+    texts = {1: f'and then token = "{secret}" followed', 2: f"the digest {secret} of a file", 3: "call 555.867.5309 now or pay 4111/1111/1111/1111 today",
+             4: "an order 4111111111111112 and 1234.5678 of them", 5: f"PASSWORD: {secret.upper()}### end"}
+    got = {r.doc_id: r.spans for r in pii.find(docs_of(spark, list(texts.items()))).collect()}
+    at = texts[1].index(secret)
+    assert got[1] == f"secret:{at}:{at + 40}" and got[2] == "" and got[4] == ""
+    assert [x.split(":")[0] for x in got[3].split(",")] == ["phone", "card"]
+    at = texts[5].index("0F")
+    assert got[5] == f"secret:{at}:{at + 40}"
+
+
+def test_no_secret_in_the_documents_is_missed(spark, sf):
+    got = {r.doc_id: r.spans for r in pii.query(spark, sf).collect()}
+    pattern = re.compile(r'token = "([0-9a-f]{40})"', re.I)
+    for r in given(spark, sf).collect():
+        for m in pattern.finditer(r.text or ""):
+            assert f"secret:{m.start(1)}:{m.end(1)}" in got[r.doc_id].split(",")
 
 
 def test_pii_edges(spark, odd, none):
@@ -308,7 +325,7 @@ def test_discriminant_is_the_gaussian_ratio():
 def test_line_dedup(spark, odd, none):
     texts = [(i, f"header\nown line {i}\n\n header \nmore {i}") for i in range(10)] + [(99, None), (100, "")]
     got = {r.doc_id: r for r in line_dedup.drop_lines(docs_of(spark, texts)).collect()}
-    assert got[3].text == "own line 3\n\nmore 3" and got[3]["__n_dropped"] == 2 and got[3]["__n_lines"] == 5
+    assert got[3].text == "own line 3\n\nmore 3" and got[3].n_dropped == 2 and got[3].n_lines == 5
     assert got[99].text is None and got[100].text == ""
     assert line_dedup.drop_lines(none).count() == 0
     assert line_dedup.drop_lines(odd).count() == odd.count()
@@ -345,6 +362,7 @@ def remove_by_hand(rows):
 
 def test_substring_dedup(spark, sf, odd, none):
     passage = "One two three four five six. Seven eight nine ten eleven. Twelve thirteen fourteen! "
+    passage += "Fifteen sixteen seventeen eighteen nineteen. Twenty one and two and three and four and five. "
     docs = [(1, "Start of one here. " + passage + "End one."), (2, passage * 2), (3, "Clean text of its own. Nothing else. At all.")]
     got = {r.doc_id: r.text for r in substring_dedup.remove_repeats(docs_of(spark, docs)).collect()}
     assert got == remove_by_hand(docs) and got[1] == docs[0][1] and got[3] == docs[2][1] and "eleven" not in got[2]
@@ -380,7 +398,7 @@ def test_substring_dedup_finds_passages_in_mid_sentence(spark):
         assert left < len(passage) / 2, (k, left)
         own = set(words) - set(passage)
         assert own <= set(got[2 * k + 1])  # the surroundings stay
-    unlike = "one two three. four five six. seven eight nine. ten."
+    unlike = "one two three. four five six. seven eight nine. ten. " * 3
     assert list(substring_dedup.spans(unlike)) and not list(substring_dedup.spans("one two three. four five."))
 
 
