@@ -11,6 +11,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -41,17 +42,8 @@ def _nearest(x: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return a, (gap * gap).sum(axis=1)
 
 
-def cluster_sums(
-    df: DataFrame, runs: list[Centers], weight: str | None = None, radius: float | None = None
-) -> list[np.ndarray]:
-    """For each set of centers a (k, m + 2) array of weight, weighted sums and cost; all runs in one pass.
-
-    With ``radius`` every value is cut to [-radius, radius] first, which bounds what one user can change.
-    """
-    runs = [np.asarray(c, float) for c in runs]
-    m = runs[0].shape[1]
-    sent = df.sparkSession.sparkContext.broadcast(runs)
-    cuts = np.cumsum([0, *[len(c) * (m + 2) for c in runs]])
+def sums_frame(df: DataFrame, sent: Broadcast, m: int, weight: str | None = None, radius: float | None = None) -> DataFrame:
+    """(c, v): the numbers of all centers' tables, laid end to end. The plan doesn't depend on the centers."""
 
     def fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tables = [np.zeros((len(c), m + 2)) for c in sent.value]
@@ -71,11 +63,24 @@ def cluster_sums(
 
     w = F.col(weight) if weight else F.lit(1.0)
     rows = df.where(F.col("x").isNotNull()).select("x", w.cast("double").alias("w"))
-    got = rows.mapInArrow(fold, "c int, v double").groupBy("c").agg(F.sum("v").alias("v")).collect()
-    sent.unpersist()
+    return rows.mapInArrow(fold, "c int, v double").groupBy("c").agg(F.sum("v").alias("v"))
+
+
+def cluster_sums(
+    df: DataFrame, runs: list[Centers], weight: str | None = None, radius: float | None = None
+) -> list[np.ndarray]:
+    """For each set of centers a (k, m + 2) array of weight, weighted sums and cost; all runs in one pass.
+
+    With ``radius`` every value is cut to [-radius, radius] first, which bounds what one user can change.
+    """
+    runs = [np.asarray(c, float) for c in runs]
+    m = runs[0].shape[1]
+    cuts = np.cumsum([0, *[len(c) * (m + 2) for c in runs]])
+    sent = df.sparkSession.sparkContext.broadcast(runs)
     flat = np.zeros(cuts[-1])
-    for row in got:
+    for row in sums_frame(df, sent, m, weight, radius).collect():
         flat[row["c"]] = row["v"]
+    sent.unpersist()
     return [flat[a:b].reshape(-1, m + 2) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
 
 
