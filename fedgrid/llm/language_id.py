@@ -47,9 +47,10 @@ _WORD = regex.compile(r"\p{L}[\p{L}\p{M}]*+")
 _PLAIN, _SPECIAL = re.compile(r"[^\W\d_]+"), regex.compile(r"[\p{M}\p{Nl}\p{No}]")
 _MARK = "▁"
 _UNKNOWN = 1e-9
-#: Letters of a piece at most, and words times letters of the longest that share a lattice.
-_PIECE, _AREA = 63, 1 << 18
-#: Sums below the first bound are multiplied by the second, and the logarithm is told.
+#: Characters of a piece at most, and words times letters of the longest that share a lattice.
+_PIECE, _AREA = 16, 1 << 18
+#: Where all sums that later ones are made of are below the first bound they are multiplied by the second, and the
+#: logarithm is told. Within _PIECE places sums differ by _UNKNOWN ** _PIECE at most, so none is lost.
 _TINY, _UP = 1e-150, 1e150
 
 
@@ -138,10 +139,11 @@ class Lattice:
             sums = np.add.reduceat(weight[part] * alpha[start[part], own], first, axis=0)
             alpha[j, own[first]] = sums
             if sums.min() < _TINY:
-                # what later sums are made of is scaled up alike; a word that has ended has no later sums
-                low = (alpha[j] < _TINY) & (alpha[j] > 0)
-                alpha[max(0, j - _PIECE) : j + 1, low] *= _UP
-                taken[low] += np.log(_UP)
+                recent = slice(max(0, j - _PIECE + 1), j + 1)
+                low = (alpha[recent].max(axis=0) < _TINY) & (alpha[j] > 0)  # a word that has ended has no later sums
+                if low.any():
+                    alpha[recent, low] *= _UP
+                    taken[low] += np.log(_UP)
         return np.log(alpha[self.lengths, np.arange(self.n)]) - taken
 
     def _sweep(self, logs: np.ndarray, into: np.ndarray, out: np.ndarray, ends: np.ndarray, begin: np.ndarray) -> np.ndarray:
