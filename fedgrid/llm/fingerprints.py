@@ -11,7 +11,7 @@ a paragraph is inserted or deleted by adding or subtracting its vector. A vector
   the share of windows that two documents have in common. A paragraph without spaces to speak of (LONG
   characters a word and more) has windows of eight characters instead.
 
-Counters are added two to a 64-bit column (31 bits each), with map-side combining per document. ``insert`` and
+Counters are added two to a 64-bit column (32 bits each; up to 2^31 windows), with map-side combining per document. ``insert`` and
 ``delete`` change stored vectors by those of paragraphs, without the documents' texts.
 
 Next document: rows are cut into ranges of doc_id of about RANGE_ROWS rows, whose bounds are quantiles of the
@@ -37,8 +37,8 @@ WIDTH, COLUMNS = 3, 32
 LONG, CHARACTERS = 40, 8
 #: Rows aimed at in a range of doc_id, and the most ranges whatever the size of the table.
 RANGE_ROWS, MAX_RANGES = 1500, 100_000
-_PAIR = (1 << 31) | 1
-_LOW = (1 << 31) - 1
+_PAIR = (1 << 32) | 1
+_LOW = (1 << 32) - 1
 _WORDS = ["w0", "w1", "w2", "w3"]
 _SUMS = [f"c{b}" for b in range(COLUMNS)]
 
@@ -125,7 +125,7 @@ def signs(prefix: str = "") -> Column:
     for c in _SUMS:
         s = F.col(prefix + c)
         parts += [(2 * s.bitwiseAND(F.lit(_LOW)) - n).cast("double")]
-        parts += [(2 * F.shiftrightunsigned(s, 31) - n).cast("double")]
+        parts += [(2 * F.shiftrightunsigned(s, 32) - n).cast("double")]
     return F.array(*parts)
 
 
