@@ -908,6 +908,7 @@ QUERIES |= {
     "x6_ablation": lambda spark, sf: X.x6_ablation(spark, sf, eps=(4.0,), seeds=_SEEDS, **_MORE),
     "x7_local_clusters": lambda spark, sf: X.x7_local_clusters(spark, sf, k_locals=(2, 3, 5, 8), eps=(1.0, 8.0), seeds=_SEEDS, **_MORE),
     "x8_costs": lambda spark, sf: X.x8_costs(spark, sf),
+    "pipeline_nonprivate_cust": lambda spark, sf: X.runs(spark, sf, "cust", 4, (1.0,), _SEEDS, ("nonprivate",), k_local=3),
     "x9_nonprivate": lambda spark, sf: X.x9_nonprivate(spark, sf, seeds=_SEEDS),
     "x10_silhouette": lambda spark, sf: X.x10_silhouette(spark, sf, ks=(2, 3, 5, 8)),
     "x11_repeats": lambda spark, sf: X.x11_repeats(spark, sf, repeats=(256, 1024, 4096), seeds=_SEEDS),
