@@ -4,7 +4,7 @@ A text is cut into sentences (each with the white space behind it, so that they
 STRETCH words in a row that hold no sentence's end, the one of least hash (the last of equal ones) is an end too.
 So a cut depends only on the STRETCH - 1 words before and behind it, not on how the sentence around it goes on:
 a passage that is repeated in mid-sentence is cut alike everywhere, but for its first and last words, and a
-passage of 63 words or more always has a run in common with its copies (one of 51 nearly always; see the README).
+passage of 73 words or more always has a run in common with its copies (one of 51 nearly always; see the README).
 From every sentence the shortest run of consecutive sentences is taken that has at least MIN_SENTENCES of
 them and MIN_WORDS words; its words, lower-cased, are hashed to 96 bits. Runs of equal hash anywhere in the
 corpus are one span. Of each span the first occurrence, by (doc_id, place), stays; sentences covered by any
@@ -14,8 +14,7 @@ Shape of the plan: occurrences are (hash, doc_id, place) rows. First occurrences
 map-side combining, so a passage that a third of all documents share is one row per task there; only spans
 that occur again are joined back to the occurrences, a plain equi-join that the adaptive skew join splits. Texts
 are hashed once: occurrences wait in a Parquet table of the shared folder, which goes when they have been used.
-Removed sentences go back to their document as one array of places, by broadcast while these are BROADCAST_PLACES
-at most, so that texts needn't move.
+Removed sentences go back to their document as one array of places, in one join with the texts.
 
 Defined results: a null text stays null and a text without a repeated span stays as it is; a text may become
 empty; rows with one doc_id count as one document (they don't repeat each other, and lose what either
@@ -38,16 +37,15 @@ from pyspark.sql import functions as F
 
 from fedgrid.llm.common import checkpointed, named, shielded, stored, table
 
-MIN_SENTENCES, MIN_WORDS = 2, 25
+MIN_SENTENCES, MIN_WORDS = 2, 20
 #: Of so many words in a row one at least is followed by a cut.
-STRETCH = 10
-#: Places (and eight more a document) up to which the arrays are broadcast: 16 MB.
-BROADCAST_PLACES = 4_000_000
+STRETCH = 14
 
 _SENTENCE = re.compile(r"[^.!?\n]*(?:[.!?\n]+(?:\s+|(?=[^\s.!?])|\Z)|\Z)")
 _WORD = re.compile(r"(\S+)\s*")
-#: A run: its first sentence, the one behind its last, and whether its hash was in the text before.
-_OCCURRENCES = "h1 bigint, h2 int, doc_id bigint, first int, behind int, again boolean"
+_OCCURRENCES = "h1 bigint, h2 int, doc_id bigint, run bigint"
+#: A run's number: its first sentence and its length (31 bits each), and whether its hash was in the text before.
+_LENGTH = 31
 
 
 class _Ranks(dict):
@@ -130,15 +128,15 @@ def spans(text: str) -> Iterator[tuple[int, int, int]]:
 
 
 def occurrences(docs: DataFrame) -> DataFrame:
-    """(h1, h2, doc_id, first, behind, again) of all spans of all texts."""
+    """(h1, h2, doc_id, run) of all spans of all texts; see ``_LENGTH`` for run."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            rows: list[tuple[int, int, int, int, bool]] = []
+            rows: list[tuple[int, int, int]] = []
             for doc_id, text in zip(batch["doc_id"], batch["text"], strict=True):
                 seen: set[int] = set()
                 for i, j, h in spans(text):
-                    rows.append((h, doc_id, i, j, h in seen))
+                    rows.append((h, doc_id, (i << _LENGTH | j - i) << 1 | (h in seen)))
                     seen.add(h)
                 if len(rows) > 50_000:
                     yield _frame(rows)
@@ -149,16 +147,14 @@ def occurrences(docs: DataFrame) -> DataFrame:
     return rows.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInPandas(run, _OCCURRENCES)
 
 
-def _frame(rows: list[tuple[int, int, int, int, bool]]) -> pd.DataFrame:
+def _frame(rows: list[tuple[int, int, int]]) -> pd.DataFrame:
     low = (1 << 32) - 1
     return pd.DataFrame(
         {
             "h1": np.array([h >> 32 for h, *_ in rows], np.uint64).view(np.int64),
             "h2": np.array([h & low for h, *_ in rows], np.uint32).view(np.int32),
             "doc_id": np.array([r[1] for r in rows], np.int64),
-            "first": np.array([r[2] for r in rows], np.int32),
-            "behind": np.array([r[3] for r in rows], np.int32),
-            "again": np.array([r[4] for r in rows], bool),
+            "run": np.array([r[2] for r in rows], np.int64),
         }
     )
 
@@ -169,9 +165,14 @@ def repeats(docs: DataFrame) -> DataFrame:
         first = found.groupBy("h1", "h2").agg(F.min("doc_id").alias("least"), F.count(F.lit(1)).alias("n"))
         # cut here, so that the join has two plain exchanges and the adaptive plan can split a frequent span
         again = checkpointed(first.where("n > 1").select("h1", "h2", "least"))
-        later = found.join(again, ["h1", "h2"]).where((F.col("doc_id") > F.col("least")) | F.col("again"))
-        places = later.groupBy("doc_id").agg(F.collect_set(F.struct("first", "behind")).alias("runs"))
-        covered = F.array_distinct(F.flatten(F.transform("runs", lambda r: F.sequence(r["first"], r["behind"] - 1))))
+        later = found.join(again, ["h1", "h2"]).where((F.col("doc_id") > F.col("least")) | (F.col("run") % 2 == 1))
+        places = later.groupBy("doc_id").agg(F.collect_set(F.shiftright("run", 1)).alias("runs"))
+
+        def sentences_of(r):
+            start = F.shiftright(r, _LENGTH).cast("int")
+            return F.sequence(start, start + r.bitwiseAND(F.lit((1 << _LENGTH) - 1)).cast("int") - 1)
+
+        covered = F.array_distinct(F.flatten(F.transform("runs", sentences_of)))
         return checkpointed(places.select("doc_id", covered.alias("places")))
 
 
@@ -190,8 +191,6 @@ def remove_repeats(docs: DataFrame, removed: str = "n_removed") -> DataFrame:
     """``docs`` with shortened texts, and the number of removed sentences as column ``removed``."""
     key, gone, cut = (named(docs, x) for x in ("id", "places", "cut"))
     found = repeats(docs).toDF(key, gone)
-    total = found.agg(F.sum(F.size(gone) + 8)).first()[0] or 0
-    found = F.broadcast(found) if total <= BROADCAST_PLACES else found
     joined = docs.join(found, F.col("doc_id") == F.col(key), "left")
     # only texts that lose something go to Python
     hit = F.col(gone).isNotNull() & F.col("text").isNotNull()
