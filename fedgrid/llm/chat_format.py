@@ -12,7 +12,8 @@ so that it can be undone exactly whatever the text holds.
 
 Defined results: a null role or text counts as empty; turns are ordered by (turn, role, text), nulls
 first, so ties and repeated rows keep a fixed order and are all kept; an empty table gives no rows;
-further columns are ignored.
+further columns, whatever their names, are ignored. One conversation at a time is held in memory (its
+turns and the rendered text), never a group of them.
 """
 
 from __future__ import annotations
