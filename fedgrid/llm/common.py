@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
+import gc
 import re
 from collections.abc import Callable
 from functools import wraps
+from typing import Any
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fedgrid.checkpoints import checkpointed, stored
 
-__all__ = ["checkpointed", "crc_mod", "hash_share", "named", "shielded", "stored", "table"]
+__all__ = ["checkpointed", "crc_mod", "hash_share", "kept", "named", "shielded", "stored", "table"]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -57,3 +59,23 @@ def shielded(operator: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
         return out.withColumnsRenamed({n: c for c, n in inside.items() if n in out.columns})
 
     return run
+
+
+#: What the operator at work keeps in this Python worker from task to task.
+_KEPT: dict[str, Any] = {}
+
+
+def kept(owner: str, make: Callable[[], Any] = bool) -> Any:
+    """The worker's table of ``owner``, made on first use.
+
+    The tables of other operators go then: a worker outlives the stage that filled them, and must not carry them
+    into the next one.
+    """
+    if owner not in _KEPT:
+        import pyarrow as pa
+
+        _KEPT.clear()
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+        _KEPT[owner] = make()
+    return _KEPT[owner]

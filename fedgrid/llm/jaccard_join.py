@@ -44,13 +44,13 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from fedgrid.llm.common import checkpointed, hash_share, shielded, table
+from fedgrid.llm.common import checkpointed, hash_share, kept, shielded, table
 
 BROADCAST_IDS = 1_000_000
 #: Rows of a key (estimated from one document in SAMPLE) from which it is summed up first, and the most such keys.
 HOT_ROWS, SAMPLE, HOT_KEYS = 4096, 64, 1_000_000
 #: Bytes of text that are hashed at a time.
-_BLOCK = 1 << 20
+_BLOCK = 1 << 18
 
 _U = np.uint64
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -242,6 +242,7 @@ def _mapped(docs: DataFrame, schema: str, width: int, make: Callable, chunk: int
     names = [part.split()[0] for part in schema.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kept("jaccard_join")
         np.seterr(over="ignore")
         for batch in batches:
             for part in _parts(batch, chunk):

@@ -30,7 +30,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fedgrid.llm.common import crc_mod, hash_share, named, shielded, table
+from fedgrid.llm.common import crc_mod, hash_share, kept, named, shielded, table
 
 #: Where the public vocabularies lie, and which one is used.
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
@@ -307,10 +307,6 @@ class Scorer:
                              "letters": letters})
 
 
-#: The scorer of the model in use; a worker keeps it from task to task.
-_SCORERS: dict[str, Scorer] = {}
-
-
 def identifier(spark: SparkSession, model: Model):
     """A Column function: text to struct(lang_pred, score, evidence, letters). The model goes out once, by broadcast.
 
@@ -321,13 +317,9 @@ def identifier(spark: SparkSession, model: Model):
     sent, key = spark.sparkContext.broadcast(model), uuid.uuid4().hex
 
     def predict(batches):
-        from fedgrid.llm import language_id as here  # the module's table: this function's globals go with the task
-
-        if key not in here._SCORERS:
-            here._SCORERS.clear()
-            here._SCORERS[key] = here.Scorer(sent.value)
+        scorer = kept(f"language_id {key}", lambda: Scorer(sent.value))
         for texts in batches:
-            yield here._SCORERS[key].predict(texts)
+            yield scorer.predict(texts)
 
     predict.__annotations__ = {"batches": Iterator[pd.Series], "return": Iterator[pd.DataFrame]}
     return F.pandas_udf(predict, "lang_pred string, score double, evidence double, letters bigint")
@@ -353,10 +345,10 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str, least: float = 0.5)
     labelled = docs.select("doc_id", "text", "lang")
     model = with_floors(labelled, train(labelled))
     found = named(docs, "found")
-    kept = docs.withColumn(found, identifier(spark, model)(F.col("text")))
-    kept = kept.where((F.col(f"{found}.lang_pred") != UND) & (F.col(f"{found}.score") >= least))
+    rest = docs.withColumn(found, identifier(spark, model)(F.col("text")))
+    rest = rest.where((F.col(f"{found}.lang_pred") != UND) & (F.col(f"{found}.score") >= least))
     floors = [F.when(F.col(f"{found}.lang_pred") == k, F.lit(float(v))) for k, v in zip(model.languages, model.floors, strict=True)]
     if floors:
         floor = F.coalesce(*floors) - SHORT / F.col(f"{found}.letters")
-        kept = kept.where(F.col(f"{found}.evidence") >= floor)
-    return kept.drop(found)
+        rest = rest.where(F.col(f"{found}.evidence") >= floor)
+    return rest.drop(found)
