@@ -125,53 +125,61 @@ def weighted_kmeans(
     return best
 
 
-def _picked(df: DataFrame, c: Centers, factor: float, seed: int, weight: str | None) -> np.ndarray:
-    """The points that a hash of their id picks with probability factor * weight * squared distance."""
-    m = c.shape[1]
-    sent = df.sparkSession.sparkContext.broadcast((c, factor, np.uint64(seed)))
+def _picked(df: DataFrame, runs: list[tuple[Centers, float, int]], weight: str | None) -> list[np.ndarray]:
+    """For each run of (centers, factor, salt) the points that a salted hash of their id picks with probability
+    factor * weight * squared distance; one pass for all runs."""
+    m = runs[0][0].shape[1]
+    sent = df.sparkSession.sparkContext.broadcast([(c, factor, np.uint64(salt)) for c, factor, salt in runs])
 
     def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        centers, share, salt = sent.value
         for batch in batches:
-            x = _points(batch.column(1), m)
-            with np.errstate(over="ignore"):
-                hashed = mix64(mix64(batch.column(0).to_numpy().view(np.uint64) ^ salt) + np.uint64(0x9E3779B97F4A7C15))
-            u = ((hashed >> np.uint64(11)) + 0.5) / float(1 << 53)
-            chosen = np.flatnonzero(u < share * batch.column(2).to_numpy(zero_copy_only=False) * _nearest(x, centers)[1])
-            if len(chosen):
-                yield batch.take(pa.array(chosen)).select([0, 1])
+            x, w = _points(batch.column(1), m), batch.column(2).to_numpy(zero_copy_only=False)
+            for r, (centers, share, salt) in enumerate(sent.value):
+                with np.errstate(over="ignore"):
+                    hashed = mix64(mix64(batch.column(0).to_numpy().view(np.uint64) ^ salt) + np.uint64(0x9E3779B97F4A7C15))
+                u = ((hashed >> np.uint64(11)) + 0.5) / float(1 << 53)
+                chosen = pa.array(np.flatnonzero(u < share * w * _nearest(x, centers)[1]))
+                if len(chosen):
+                    own = batch.take(chosen)
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array([r] * len(chosen), pa.int32()), own.column(0), own.column(1)], names=["r", "id", "x"]
+                    )
 
     w = F.col(weight) if weight else F.lit(1.0)
     key = F.col("id") if dict(df.dtypes)["id"] == "bigint" else F.xxhash64("id")
     rows = df.where(F.col("x").isNotNull()).select(key.alias("id"), "x", w.cast("double").alias("w"))
-    got = rows.mapInArrow(pick, "id bigint, x array<double>").collect()
+    got = rows.mapInArrow(pick, "r int, id bigint, x array<double>").collect()
     sent.unpersist()
-    return np.array([r["x"] for r in sorted(got, key=lambda r: r["id"])]).reshape(-1, m)
+    return [np.array([g["x"] for g in sorted(got, key=lambda g: g["id"]) if g["r"] == r]).reshape(-1, m) for r in range(len(runs))]
 
 
 def seed_centers(
-    df: DataFrame, k: int, seed: int, method: str = "parallel", rounds: int = 3, weight: str | None = None
-) -> Centers:
-    """Start centers: ``random`` (hash order) or ``parallel`` (oversampling rounds, then k-means++ on them).
+    df: DataFrame, k: int, seeds: list[int], method: str = "parallel", rounds: int = 3, weight: str | None = None
+) -> list[Centers]:
+    """Start centers for each seed, all in the same passes: ``random`` (hash order) or ``parallel`` (oversampling
+    rounds, then k-means++ on what they found).
 
     A round of oversampling picks 2k points on average, and all of them are kept. Picks are by a hash of the id, so
     they don't depend on the partitioning.
     """
-    u = F.xxhash64("id", F.lit(seed))
-    live = df if weight is None else df.where(F.col(weight) > 0)
-    start = live.where(F.col("x").isNotNull()).orderBy(u).limit(k if method == "random" else 1).select("x").collect()
-    c = np.array([r["x"] for r in start])
+    live = df.where(F.col("x").isNotNull())
+    live = live if weight is None else live.where(F.col(weight) > 0)
     if method == "random":
-        return c
+        return [np.array([r["x"] for r in live.orderBy(F.xxhash64("id", F.lit(s))).limit(k).select("x").collect()]) for s in seeds]
+    first = live.agg(*[F.min_by("x", F.xxhash64("id", F.lit(s))).alias(f"x{i}") for i, s in enumerate(seeds)]).first()
+    runs = [np.array([first[f"x{i}"]]) for i in range(len(seeds))]
     for r in range(rounds):
-        total = cost(df, c, weight)
-        if total <= 0:
+        totals = [float(s[:, -1].sum()) for s in cluster_sums(df, runs, weight)]
+        asked = [(c, 2.0 * k / t if t > 0 else 0.0, s + 1 + r) for c, t, s in zip(runs, totals, seeds, strict=True)]
+        if not any(factor for _, factor, _ in asked):
             break
-        c = np.vstack([c, _picked(df, c, 2.0 * k / total, seed + 1 + r, weight)])
-    mass = cluster_sums(df, [c], weight)[0][:, 0]
-    out = weighted_kmeans(c, mass, min(k, len(c)), seed, n_init=1, max_iter=0)
-    while len(out) < k:
-        out = np.vstack([out, out[-1:] + 1e-6])
+        runs = [np.vstack([c, more]) for c, more in zip(runs, _picked(df, asked, weight), strict=True)]
+    out = []
+    for c, sums, seed in zip(runs, cluster_sums(df, runs, weight), seeds, strict=True):
+        found = weighted_kmeans(c, sums[:, 0], min(k, len(c)), seed, n_init=1, max_iter=0)
+        while len(found) < k:
+            found = np.vstack([found, found[-1:] + 1e-6])
+        out.append(found)
     return out
 
 
@@ -180,7 +188,8 @@ def lloyd(
     tol: float = 1e-6, seed: int = 0, n_init: int = 1, method: str = "parallel",
 ) -> Centers:
     """Lloyd's iterations; ``n_init`` starts advance together, one aggregate a round for all of them."""
-    runs = [np.asarray(init, float)] if init is not None else [seed_centers(df, k, seed + 101 * r, method, weight=weight) for r in range(n_init)]
+    seeds = [seed + 101 * r for r in range(n_init)]
+    runs = [np.asarray(init, float)] if init is not None else seed_centers(df, k, seeds, method, weight=weight)
     costs = [np.inf] * len(runs)
     for _ in range(max_iter):
         sums = cluster_sums(df, runs, weight)

@@ -899,18 +899,18 @@ for _name, _how in {
 _SEEDS, _MORE = (0,), {"repeats": 1024}
 QUERIES |= {
     "x1_x2_gauss": lambda spark, sf: X.runs(spark, sf, "gauss", 4, (1.0, 8.0), _SEEDS, X.ALL, **_MORE),
-    "x1_x2_trip": lambda spark, sf: X.runs(spark, sf, "trip", 2, (1.0, 8.0), _SEEDS, X.ALL, **_MORE),
-    "x1_x2_loan": lambda spark, sf: X.runs(spark, sf, "loan", 2, (1.0, 8.0), _SEEDS, X.ALL, **_MORE),
-    "x1_x2_indep": lambda spark, sf: X.runs(spark, sf, "indep", 2, (1.0, 8.0), _SEEDS, X.ALL, **_MORE),
+    "x1_x2_trip": lambda spark, sf: X.runs(spark, sf, "trip", 2, (4.0,), _SEEDS, X.ALL, **_MORE),
+    "x1_x2_loan": lambda spark, sf: X.runs(spark, sf, "loan", 2, (4.0,), _SEEDS, X.ALL, **_MORE),
+    "x1_x2_indep": lambda spark, sf: X.runs(spark, sf, "indep", 2, (4.0,), _SEEDS, X.ALL, **_MORE),
     "x3_uneven": lambda spark, sf: X.x3_uneven(spark, sf, seeds=_SEEDS, **_MORE),
     "x4_parties": lambda spark, sf: X.x4_parties(spark, sf, eps=(2.0,), seeds=_SEEDS, **_MORE),
     "x5_weight_error": lambda spark, sf: X.x5_weight_error(spark, sf, eps=(1.0, 8.0), seeds=_SEEDS, **_MORE),
     "x6_ablation": lambda spark, sf: X.x6_ablation(spark, sf, eps=(4.0,), seeds=_SEEDS, **_MORE),
-    "x7_local_clusters": lambda spark, sf: X.x7_local_clusters(spark, sf, k_locals=(2, 3, 5, 8), eps=(1.0, 8.0), seeds=_SEEDS, **_MORE),
+    "x7_local_clusters": lambda spark, sf: X.x7_local_clusters(spark, sf, k_locals=(2, 5, 8), eps=(1.0, 8.0), seeds=_SEEDS, **_MORE),
     "x8_costs": lambda spark, sf: X.x8_costs(spark, sf),
     "pipeline_nonprivate_cust": lambda spark, sf: X.runs(spark, sf, "cust", 4, (1.0,), _SEEDS, ("nonprivate",), k_local=3),
-    "x9_nonprivate": lambda spark, sf: X.x9_nonprivate(spark, sf, seeds=_SEEDS),
-    "x10_silhouette": lambda spark, sf: X.x10_silhouette(spark, sf, ks=(2, 3, 5, 8)),
+    "x9_nonprivate": lambda spark, sf: X.x9_nonprivate(spark, sf, parties=(2,), seeds=_SEEDS),
+    "x10_silhouette": lambda spark, sf: X.x10_silhouette(spark, sf, ks=(2, 5, 8)),
     "x11_repeats": lambda spark, sf: X.x11_repeats(spark, sf, repeats=(256, 1024, 4096), seeds=_SEEDS),
     "other_workloads": lambda spark, sf: X.other_workloads(spark, sf),
 }
