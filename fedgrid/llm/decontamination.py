@@ -12,7 +12,7 @@ asked again with other numbers is caught, but not a chance run of placeholders.
 
 A name or number of several tokens ("Mary Ann", "1 000") may stand for one of another number: in a second form of
 each text, runs of names and runs of numbers are folded to one token, and windows of that form (all names as slots)
-make alignments of their own.
+make alignments of their own. Texts without a number or a name in mid-sentence have no second form.
 
 The benchmark's windows are broadcast when their counted number is within BROADCAST_WINDOWS; beyond it the
 join shuffles by hash, and frequent windows are split by the adaptive skew join. The corpus is read once for windows
@@ -90,50 +90,63 @@ READINGS = (NUMBER + UNIT, NUMBER + UNIT + NAME, NUMBER + UNIT + NAME + INITIAL)
 LITERAL, FOLDED = len(READINGS), len(READINGS) + 1
 
 
-def windows(rows: DataFrame, keys: list[str], sizes: list[int], readings: tuple[int, ...]) -> DataFrame:
+def windows(
+    rows: DataFrame, keys: list[str], sizes: list[int], readings: tuple[int, ...], asked: DataFrame | None = None
+) -> DataFrame:
     """Windows of ``__marked`` tokens (``__folded`` ones in that reading) of all ``sizes``: keys, ``reading``, ``size``,
     ``place`` and ``hash``. Where a reading's window is the first reading's it isn't given again.
 
+    With ``asked`` only windows that it has by ``hash``, with its columns: where a window stands is told for hits alone.
     Windows of fewer than 3 tokens are no evidence inside of a longer text: there the whole text must be the window.
     """
     reads = [*map(_reading, READINGS), value, _reading(READINGS[-1])]
 
     def hashed(k: int) -> Column:
-        return F.transform("__folded" if k == FOLDED else "__marked", lambda w: F.xxhash64(F.lit(k == FOLDED), reads[k](w)))
+        return F.transform("__folded" if k == FOLDED else "__marked", lambda w: F.xxhash64(reads[k](w)))
 
     made = rows.withColumns({f"__h{k}": hashed(k) for k in readings})
 
     def at(k: int, size: int) -> Column:
         n = F.size(f"__h{k}")
         places = F.when(n >= size if size >= 3 else n == size, F.sequence(F.lit(0), n - size))
-        return F.coalesce(F.transform(places, lambda i: F.xxhash64(F.slice(f"__h{k}", i + 1, size))), F.array().cast("array<bigint>"))
+        # the folded form has hashes of its own, as its places are others
+        window = [F.lit(FOLDED)] if k == FOLDED else []
+        return F.transform(places, lambda i: F.xxhash64(*window, F.slice(f"__h{k}", i + 1, size)))
 
     parts = [(s, k) for s in sizes for k in readings if k != FOLDED or s == WINDOW]
     made = made.withColumns({f"__w{s}_{k}": at(k, s) for s, k in parts})
     first = readings[0]
-    kept = {
-        (s, k): F.col(f"__w{s}_{k}") if k in (first, FOLDED) else F.zip_with(f"__w{s}_{k}", f"__w{s}_{first}", lambda a, b: F.when(a != b, a))
-        for s, k in parts
-    }
-    counts = [F.size(f"__w{s}_{k}").alias(f"__n{i}") for i, (s, k) in enumerate(parts)]
-    made = made.select(*keys, *counts, F.concat(*kept.values()).alias("__w"))
+
+    def new(s: int, k: int) -> Column:
+        own = F.col(f"__w{s}_{k}")
+        if k not in (first, FOLDED):
+            own = F.zip_with(own, f"__w{s}_{first}", lambda a, b: F.when(a != b, a))
+        return F.coalesce(own, F.array().cast("array<bigint>"))
+
+    counts = [F.coalesce(F.size(f"__w{s}_{k}"), F.lit(0)).alias(f"__n{i}") for i, (s, k) in enumerate(parts)]
+    made = made.select(*keys, *counts, F.concat(*[new(s, k) for s, k in parts]).alias("__w"))
     # the outer form: for the inner one the optimizer adds a filter that makes the whole array once more
     made = made.select(*keys, *[f"__n{i}" for i in range(len(parts))], F.posexplode_outer("__w").alias("__at", "hash"))
     made = made.where(F.col("hash").isNotNull())
-    start, which = F.lit(0), F.lit(None)
+    found = [] if asked is None else [c for c in asked.columns if c != "hash"]
+    made = made if asked is None else made.join(asked, "hash")
+    start, which = F.lit(0), None
     for i, (s, k) in enumerate(parts):  # the arrays lie one behind the other
-        stop = start + F.col(f"__n{i}")
+        stop = start + F.greatest(F.col(f"__n{i}"), F.lit(0))
         here = F.struct(F.lit(k).alias("reading"), F.lit(s).alias("size"), (F.col("__at") - start).alias("place"))
-        inside = (F.col("__at") >= start) & (F.col("__at") < stop)
-        which = F.when(inside, here) if i == 0 else which.when(inside, here)
+        which = F.when(F.col("__at") < stop, here) if which is None else which.when(F.col("__at") < stop, here)
         start = stop
-    return made.select(*keys, which.alias("__which"), "hash").select(*keys, "__which.reading", "__which.size", "__which.place", "hash")
+    told = made.select(*keys, *found, which.alias("__which"), "hash")
+    return told.select(*keys, *found, "__which.reading", "__which.size", "__which.place", "hash")
 
 
 def _forms(rows: DataFrame, *keys: str) -> DataFrame:
-    """``keys``, ``__marked`` and ``__folded`` tokens of ``text``."""
+    """``keys``, ``__marked`` and ``__folded`` tokens of ``text``; none of these in a text that has no number, nor a name
+    but at the start of sentences."""
     rows = rows.select(*keys, marked(F.col("text")).alias("__m"))
-    return rows.select(*keys, tokens(F.col("__m")).alias("__marked"), tokens(folded(F.col("__m"))).alias("__folded"))
+    some = F.col("__m").contains(NAME) | F.col("__m").contains(NUMBER)
+    fold = F.when(some, tokens(folded(F.col("__m")))).otherwise(F.array().cast("array<string>"))
+    return rows.select(*keys, tokens(F.col("__m")).alias("__marked"), fold.alias("__folded"))
 
 
 def _asked(items: DataFrame, sizes: list[int]) -> DataFrame:
@@ -178,7 +191,7 @@ def leaks(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
     if asked.count() <= BROADCAST_WINDOWS:
         asked = F.broadcast(asked)
     rows = _forms(docs, "doc_id", "row")
-    found = windows(rows, ["doc_id", "row"], sizes, tuple(sorted({0, *readings}))).drop("reading", "size").join(asked, "hash")
+    found = windows(rows, ["doc_id", "row"], sizes, tuple(sorted({0, *readings})), asked)
     aligned = found.groupBy("doc_id", "row", "item_id", "n", "folded", (F.col("place") - F.col("item_place")).alias("diagonal")).agg(
         F.count_distinct("item_place").alias("windows"),
         F.min("item_place").alias("low"),
