@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import re
 from collections.abc import Callable
@@ -13,7 +14,7 @@ from pyspark.sql import functions as F
 
 from fedgrid.checkpoints import checkpointed, stored
 
-__all__ = ["checkpointed", "crc_mod", "hash_share", "kept", "named", "shielded", "stored", "table"]
+__all__ = ["checkpointed", "crc_mod", "hash_share", "kept", "named", "shielded", "stored", "table", "trim"]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -61,6 +62,17 @@ def shielded(operator: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
     return run
 
 
+def trim() -> None:
+    """Gives free memory of this Python worker back to the machine, where its C library can (glibc)."""
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    release = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if release is not None:
+        release(0)
+
+
 #: What the operator at work keeps in this Python worker from task to task.
 _KEPT: dict[str, Any] = {}
 
@@ -72,10 +84,7 @@ def kept(owner: str, make: Callable[[], Any] = bool) -> Any:
     into the next one.
     """
     if owner not in _KEPT:
-        import pyarrow as pa
-
         _KEPT.clear()
-        gc.collect()
-        pa.default_memory_pool().release_unused()
+        trim()
         _KEPT[owner] = make()
     return _KEPT[owner]

@@ -44,7 +44,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from fedgrid.llm.common import checkpointed, hash_share, kept, shielded, table
+from fedgrid.llm.common import checkpointed, hash_share, kept, shielded, table, trim
 
 BROADCAST_IDS = 1_000_000
 #: Rows of a key (estimated from one document in SAMPLE) from which it is summed up first, and the most such keys.
@@ -248,6 +248,7 @@ def _mapped(docs: DataFrame, schema: str, width: int, make: Callable, chunk: int
             for part in _parts(batch, chunk):
                 sets = list(shingle_sets(part.column(1).to_pylist(), width))
                 yield pa.RecordBatch.from_arrays(make(part.column(0), sets), names=names)
+        trim()
 
     return docs.select("doc_id", "text").mapInArrow(run, schema)
 

@@ -30,7 +30,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fedgrid.llm.common import crc_mod, hash_share, kept, named, shielded, table
+from fedgrid.llm.common import crc_mod, hash_share, kept, named, shielded, table, trim
 
 #: Where the public vocabularies lie, and which one is used.
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
@@ -320,6 +320,7 @@ def identifier(spark: SparkSession, model: Model):
         scorer = kept(f"language_id {key}", lambda: Scorer(sent.value))
         for texts in batches:
             yield scorer.predict(texts)
+        trim()
 
     predict.__annotations__ = {"batches": Iterator[pd.Series], "return": Iterator[pd.DataFrame]}
     return F.pandas_udf(predict, "lang_pred string, score double, evidence double, letters bigint")
