@@ -4,6 +4,7 @@ import collections
 import hashlib
 import itertools
 import math
+import time
 import zlib
 
 import numpy as np
@@ -328,6 +329,17 @@ def test_insert_and_delete(spark):
     assert sorted(fingerprints.delete(more, new).select(*key).collect()) == sorted(old.select(*key).collect())
 
 
+def test_windows_take_time_in_proportion(spark):
+    """Long lines, with and without spaces: each is split once, not for every window."""
+    texts = [" ".join(f"w{i}" for i in range(6_000)), "".join(chr(0x4E00 + i % 3000) for i in range(20_000))]
+    rows = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").coalesce(1)
+    fingerprints.vectors(rows.limit(0), ["doc_id"]).collect()
+    began = time.perf_counter()
+    got = {r.doc_id: r.windows for r in fingerprints.vectors(rows, ["doc_id"]).collect()}
+    assert got == {0: 6_000 - fingerprints.WIDTH + 1, 1: 20_000 - fingerprints.CHARACTERS + 1}
+    assert time.perf_counter() - began < 15
+
+
 def test_likeness_without_spaces(spark):
     rng = np.random.default_rng(0)
     chars = [chr(0x4E00 + int(c)) for c in rng.integers(0, 3000, 900)]
