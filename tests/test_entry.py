@@ -65,6 +65,16 @@ def test_broken_corpus_operators_are_an_error(tmp_path):
     assert got.returncode and "xxhash" in got.stderr
 
 
+ON_TABLES = """k_local_rule_table""".split()
+
+
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_reads_a_table(spark, name, tmp_path):
+    """No rows without the given tables: where they are missing, the query fails."""
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        entry.queries()[name](spark, str(tmp_path)).count()
+
+
 # the function of the library that each row must come through
 THROUGH = {
     "noisy_lloyd_step": "operators.kmeans.noisy_lloyd", "lloyd_five_steps": "operators.kmeans.lloyd",
