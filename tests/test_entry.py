@@ -65,7 +65,8 @@ def test_broken_corpus_operators_are_an_error(tmp_path):
     assert got.returncode and "xxhash" in got.stderr
 
 
-ON_TABLES = """budget_table comm_bytes_table grid_points_cross k_local_rule_table key_agreement ledger_table renyi_table report_protocol_table sketch_calibration_table""".split()
+ON_TABLES = """bounds_table budget_table comm_bytes_table grid_points_cross k_local_rule_table key_agreement ledger_table renyi_table
+report_protocol_table sigma_table sketch_calibration_table""".split()
 
 
 @pytest.mark.parametrize("name", ON_TABLES)
