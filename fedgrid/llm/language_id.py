@@ -4,7 +4,8 @@ The pieces of a fixed public vocabulary get one probability per language. A word
 language is the sum over all its segmentations into pieces, by a forward algorithm over the lattice of
 pieces; a text's log probability is the sum over its words, and the score is the posterior of the best
 language under equal priors. The piece probabilities are learned by expectation-maximisation (forward
-and backward over the same lattices) from word counts of a bounded sample of labelled texts.
+and backward over the same lattices) from the word counts of all labelled texts: the tasks sum up expected uses,
+and pieces times languages numbers a round reach the driver.
 
 A word is a letter (Unicode category L) and the letters and marks (M) that follow, lower-cased; so numerals and
 signs aren't words, and words of Indic scripts stay whole. A character outside the vocabulary costs one fixed
@@ -20,6 +21,7 @@ from __future__ import annotations
 
 import re
 import uuid
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, replace
 from functools import lru_cache
@@ -30,12 +32,10 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from fedgrid.llm.common import crc_mod, hash_share, kept, named, shielded, table, trim
+from fedgrid.llm.common import checkpointed, crc_mod, kept, named, shielded, stored, table, trim
 
 #: Where the public vocabularies lie, and which one is used.
 VOCABULARY = "/opt/tokenizers/piece_bpe_32k.model"
-#: Bound on the labelled texts of each language that the piece probabilities are learned from.
-MAX_TEXTS = 200
 #: Words kept in a worker's table of scored words; it is emptied when full.
 MAX_WORDS = 500_000
 
@@ -190,52 +190,79 @@ class Model:
     floors: np.ndarray | None = None
 
 
-def fit(rows: pd.DataFrame, pieces: tuple[str, ...], rounds: int = 4, smoothing: float = 0.05) -> Model:
-    """From word counts (lang, word, n) to piece probabilities, by expectation-maximisation."""
-    index, n = prefixes(pieces), len(pieces)
-    languages = sorted(set(rows["lang"]))
-    probs = []
-    for lang in languages:
-        own = rows[rows["lang"] == lang]
-        times = dict(zip(own["word"], own["n"], strict=True))
-        parts = [(Lattice(b, index), np.array([times[w] for w in b], float)) for b in batches(list(times))]
-        p = np.full(n + 1, 1.0 / (n + 1))
-        p[-1] = _UNKNOWN
-        for _ in range(rounds):
-            used = sum(lattice.expected(p, counts) for lattice, counts in parts)[:-1] + smoothing
-            p = np.append(used / used.sum(), _UNKNOWN)
-        probs.append(p)
-    # pieces that no language uses more than smoothing does stay in the lattice: their mass is common
-    return Model(languages, index, np.array(probs).reshape(len(languages), n + 1))
-
-
-def train(documents: DataFrame, bound: int = MAX_TEXTS, path: str = VOCABULARY) -> Model:
-    """Learned from (text, lang) of about ``bound`` texts of each language, picked by hash of doc_id."""
+def word_counts(usable: DataFrame) -> DataFrame:
+    """(lang, word, n) over all texts; each task adds up its own words first, within MAX_WORDS."""
+
+    def count(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        seen: dict[str, Counter] = {}
+
+        def told() -> Iterator[pd.DataFrame]:
+            yield from (pd.DataFrame({"lang": [k] * len(c), "word": list(c), "n": list(c.values())}) for k, c in seen.items() if c)
+            seen.clear()
+
+        for frame in frames:
+            for lang, text in zip(frame["lang"], frame["text"], strict=True):
+                seen.setdefault(lang, Counter()).update(words_of(text))
+                if sum(map(len, seen.values())) > MAX_WORDS:
+                    yield from told()
+        yield from told()
+        trim()
+
+    counted = usable.select("lang", "text").mapInPandas(count, "lang string, word string, n bigint")
+    return counted.groupBy("lang", "word").agg(F.sum("n").alias("n"))
+
+
+def fit(counts: DataFrame, languages: list[str], pieces: tuple[str, ...], rounds: int = 4, smoothing: float = 0.05) -> Model:
+    """From word counts (lang, word, n) to piece probabilities, by expectation-maximisation; one pass a round."""
+    index, n, at = prefixes(pieces), len(pieces), {k: i for i, k in enumerate(languages)}
+    context = counts.sparkSession.sparkContext
+    sent = context.broadcast(index)
+    probs = np.full((len(languages), n + 1), 1.0 / (n + 1))
+    probs[:, -1] = _UNKNOWN
+
+    def expectations(told):
+        def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            p, used = told.value, np.zeros((len(at), n + 1))
+            for frame in frames:
+                for lang, own in frame.groupby("lang"):
+                    times = dict(zip(own["word"], own["n"], strict=True))
+                    for part in batches(list(times)):
+                        used[at[lang]] += Lattice(part, sent.value).expected(p[at[lang]], np.array([times[w] for w in part], float))
+            i, j = np.nonzero(used)
+            yield pd.DataFrame({"i": i, "j": j, "used": used[i, j]})
+            trim()
+
+        return run
+
+    for _ in range(rounds):
+        told = context.broadcast(probs)
+        used = np.full(probs.shape, smoothing)
+        found = counts.mapInPandas(expectations(told), "i int, j int, used double").groupBy("i", "j").agg(F.sum("used").alias("used")).toPandas()
+        used[found["i"], found["j"]] += found["used"]
+        told.unpersist()
+        # pieces that no language uses more than smoothing does stay in the lattice: their mass is common
+        probs = np.full(probs.shape, _UNKNOWN)
+        probs[:, :-1] = used[:, :-1] / used[:, :-1].sum(axis=1, keepdims=True)
+    sent.unpersist()
+    return Model(languages, index, probs)
+
+
+def train(documents: DataFrame, path: str = VOCABULARY) -> Model:
+    """Learned from (text, lang) of all labelled texts."""
     usable = documents.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (F.col("lang") != UND))
-    totals = {r["lang"]: r["count"] for r in usable.groupBy("lang").count().collect()}
-    if not totals:
-        return fit(pd.DataFrame({"lang": [], "word": [], "n": []}), vocabulary(path))
-    share = F.coalesce(*[F.when(F.col("lang") == k, F.lit(min(1.0, bound / v))) for k, v in totals.items()])
-    split = F.pandas_udf(lambda s: pd.Series([words_of(t) for t in s]), "array<string>")
-    picked = usable.where(hash_share("doc_id", share))
-    words = picked.select("lang", F.explode(split("text")).alias("word"))
-    rows = words.groupBy("lang", "word").agg(F.count(F.lit(1)).alias("n")).toPandas()
-    return fit(rows.sort_values(["lang", "word"]), vocabulary(path))
-
-
-def with_floors(documents: DataFrame, model: Model, spread: float = 8.0, least: float = 1.5, bound: int = MAX_TEXTS) -> Model:
-    """The model with each language's floor: the mean over its learned texts of the mean log probability a letter, less
-    ``spread`` standard deviations, ``least`` nats at least."""
-    usable = documents.where(F.col("lang").isin(model.languages) & F.col("text").isNotNull())
-    totals = {r["lang"]: r["count"] for r in usable.groupBy("lang").count().collect()}
+    with stored(word_counts(usable)) as counts:
+        languages = sorted(r["lang"] for r in counts.select("lang").distinct().collect())
+        return fit(counts, languages, vocabulary(path))
+
+
+def with_floors(scored: DataFrame, model: Model, found: str = "found", spread: float = 8.0, least: float = 1.5) -> Model:
+    """The model with each language's floor: the mean over all its labelled texts of the mean log probability a letter, less
+    ``spread`` standard deviations, ``least`` nats at least. ``scored``: (lang, what ``identifier`` found) of every text."""
     floors = np.full(len(model.languages), -np.inf)
-    if totals:
-        share = F.coalesce(*[F.when(F.col("lang") == k, F.lit(min(1.0, bound / v))) for k, v in totals.items()])
-        seen = identifier(documents.sparkSession, model)("text").alias("f")
-        rows = usable.where(hash_share("doc_id", share)).select("lang", seen).where("f.lang_pred = lang")
-        per = rows.groupBy("lang").agg(F.avg("f.evidence").alias("m"), F.coalesce(F.stddev("f.evidence"), F.lit(0.0)).alias("s"))
-        for r in per.collect():  # a row for each language
-            floors[model.languages.index(r["lang"])] = r["m"] - max(least, spread * r["s"])
+    rows = scored.where(F.col("lang").isin(model.languages)).where(F.col(f"{found}.lang_pred") == F.col("lang"))
+    seen = F.col(f"{found}.evidence")
+    for r in rows.groupBy("lang").agg(F.avg(seen).alias("m"), F.coalesce(F.stddev(seen), F.lit(0.0)).alias("s")).collect():  # a row for each language
+        floors[model.languages.index(r["lang"])] = r["m"] - max(least, spread * r["s"])
     return replace(model, floors=floors)
 
 
@@ -343,10 +370,11 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str, least: float = 0.5)
     Rejected: texts that are null or have no letter, and texts that no language wins or that no learned language
     explains. Languages are learned from the labels of the given documents themselves.
     """
-    labelled = docs.select("doc_id", "text", "lang")
-    model = with_floors(labelled, train(labelled))
+    model = train(docs.select("text", "lang"))
     found = named(docs, "found")
-    rest = docs.withColumn(found, identifier(spark, model)(F.col("text")))
+    # scored once: the floors are told from all scores, and the rows are chosen by them
+    rest = checkpointed(docs.withColumn(found, identifier(spark, model)(F.col("text"))))
+    model = with_floors(rest, model, found)
     rest = rest.where((F.col(f"{found}.lang_pred") != UND) & (F.col(f"{found}.score") >= least))
     floors = [F.when(F.col(f"{found}.lang_pred") == k, F.lit(float(v))) for k, v in zip(model.languages, model.floors, strict=True)]
     if floors:

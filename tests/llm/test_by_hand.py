@@ -267,6 +267,26 @@ def test_quality_on_held_out_rows(spark):
     assert np.mean([r.predicted == r.quality for r in rows]) > 0.9
 
 
+# ---- 1 language ID: nothing from a sample
+
+
+def test_languages_are_learned_from_all_texts(spark):
+    """Of 500 texts of a language any half of which has one of two words alone, both count; so do all texts for its floor."""
+    rows = [(i, "qq" if i % 2 else "zz", "aa", "s", 2) for i in range(500)] + [(500, "bbb abc", "bb", "s", 7)]
+    docs = spark.createDataFrame(rows, DOCS).repartition(3)
+    model = language_id.train(docs)
+    pieces = language_id.vocabulary()
+    counted = {(r.lang, r.word): r.n for r in language_id.word_counts(docs).collect()}
+    assert counted == {("aa", "qq"): 250, ("aa", "zz"): 250, ("bb", "bbb"): 1, ("bb", "abc"): 1}
+    p = model.probs[0]
+    mass = {c: sum(p[i] for i, x in enumerate(pieces) if c in x) for c in "qz"}
+    assert mass["q"] == pytest.approx(mass["z"], rel=0.2) and mass["q"] > 0.05
+    scored = docs.withColumn("found", language_id.identifier(spark, model)("text"))
+    own = [r.found.evidence for r in scored.where("lang = 'aa'").collect()]
+    floor = np.mean(own) - max(1.5, 8 * np.std(own, ddof=1))
+    assert language_id.with_floors(scored, model).floors[0] == pytest.approx(floor)
+
+
 # ---- 10 fingerprints
 
 
