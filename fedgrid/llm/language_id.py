@@ -79,48 +79,81 @@ def batches(words: list[str]) -> Iterator[list[str]]:
         at += n
 
 
-def prefixes(pieces: tuple[str, ...]) -> dict[str, int]:
-    """Piece to number, -1 for what only begins pieces, and at "" the number of the unknown character."""
-    index = {p[:k]: -1 for p in pieces for k in range(1, len(p))}
-    index.update((p, i) for i, p in enumerate(pieces))
-    return index | {"": len(pieces)}
+class Pieces:
+    """A vocabulary as a trie in arrays: a step from many places at once is one search."""
+
+    def __init__(self, pieces: tuple[str, ...]):
+        nodes, chars = {"": 0}, {c: k for k, c in enumerate(sorted({c for p in pieces for c in p}), start=1)}
+        for p in pieces:
+            for k in range(1, len(p) + 1):
+                nodes.setdefault(p[:k], len(nodes))
+        self.unknown, self.mark = len(pieces), nodes.get(_MARK, -1)
+        #: Of each node its piece's number, -1 for what only begins pieces.
+        self.piece = np.full(len(nodes), -1, np.int64)
+        self.piece[[nodes[p] for p in pieces]] = np.arange(len(pieces))
+        # characters are numbered from 1; 0 is any other
+        self.codes = np.zeros(max(map(ord, chars), default=0) + 2, np.int64)
+        self.codes[[ord(c) for c in chars]] = list(chars.values())
+        self.width = len(chars) + 1
+        steps = sorted((nodes[p[:-1]] * self.width + chars[p[-1]], k) for p, k in nodes.items() if p)
+        self.steps = np.array([key for key, _ in steps] + [1 << 62], np.int64)  # the last one is never met
+        self.stops = np.array([k for _, k in steps] + [-1], np.int64)
+
+    def chars(self, text: str) -> np.ndarray:
+        found = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32)
+        return self.codes[np.minimum(found, len(self.codes) - 1)]
+
+    def walk(self, chars: np.ndarray, at: np.ndarray, ends: np.ndarray, node: int) -> list[tuple[np.ndarray, np.ndarray]]:
+        """From each place ``at`` of ``chars`` on, up to its end: by length of the way, (indices into ``at``, pieces)."""
+        out, own, nodes, d = [], np.arange(len(at)), np.full(len(at), node, np.int64), 0
+        while len(own) and node >= 0:
+            keys = nodes * self.width + chars[at[own] + d]
+            found = np.searchsorted(self.steps, keys)
+            there = self.steps[found] == keys
+            own, nodes = own[there], self.stops[found[there]]
+            pieces = self.piece[nodes]
+            told = pieces >= 0
+            out.append((own[told], pieces[told]))
+            d += 1
+            more = at[own] + d < ends[own]
+            own, nodes = own[more], nodes[more]
+        return out
+
+
+def prefixes(pieces: tuple[str, ...]) -> Pieces:
+    """What a lattice looks its pieces up in; the unknown character's number is the one after the last piece's."""
+    return Pieces(pieces)
+
+
+def _sorted_by(place: np.ndarray, word: np.ndarray) -> np.ndarray:
+    """The order by place and then word, ties as they are; numbers of 16 bits are sorted by radix."""
+    order = np.argsort(word.astype(np.uint16), kind="stable")
+    place = place[order]
+    return order[np.argsort(place.astype(np.uint16) if place.max(initial=0) < 1 << 16 else place, kind="stable")]
 
 
 class Lattice:
-    """All pieces of a list of words as edges (word, start, stop, piece), with forward and backward sums."""
-
-    def __init__(self, words: list[str], index: dict[str, int]):
-        """index: of every piece its number, of every proper beginning of a piece -1 (see ``prefixes``)."""
-        # an edge is one integer: word (12 bits), stop (28), length (6), piece (16)
-        edges, unknown, get = [], index[""], index.get
-        add = edges.append
-        for k, w in enumerate(words):
-            n = len(w)
-            for i in range(n):
-                here, single = k << 50 | i << 22, unknown
-                for j in range(i + 1, n + 1):
-                    p = get(w[i:j])
-                    if p is None:
-                        break
-                    if p >= 0:
-                        if j == i + 1:
-                            single = -1
-                        add(here + ((j - i) << 22 | (j - i) << 16 | p))
-                if single >= 0:
-                    add(here + (1 << 22 | 1 << 16 | single))
-            w = _MARK + w
-            for j in range(1, n + 1):
-                p = get(w[: j + 1])
-                if p is None:
-                    break
-                if p >= 0:
-                    add(k << 50 | j << 22 | j << 16 | p)
+    """All pieces of a list of 4096 words at most as edges (word, start, stop, piece), with forward and backward sums."""
+
+    def __init__(self, words: list[str], index: Pieces):
         self.n, self.lengths = len(words), np.array([len(w) for w in words], np.int64)
-        packed = np.array(edges, np.int64)
-        stop = packed >> 22 & ((1 << 28) - 1)
-        order = np.argsort(stop, kind="stable")
-        packed, stop = packed[order], stop[order]
-        self.edges = packed >> 50, stop - (packed >> 16 & 63), stop, packed & 0xFFFF
+        chars, first = index.chars("".join(words)), np.cumsum(self.lengths) - self.lengths
+        own = np.repeat(np.arange(self.n), self.lengths)
+        start = np.arange(len(chars)) - first[own]
+        plain = index.walk(chars, np.arange(len(chars)), (first + self.lengths)[own], 0)
+        single = np.zeros(len(chars), bool)
+        if plain:
+            single[plain[0][0]] = True
+        lone = np.flatnonzero(~single)
+        # (word, start, stop, piece): the longest first, so that a word's edges to one stop begin in order; the marked last
+        parts = [(own[at], start[at], start[at] + d, piece) for d, (at, piece) in reversed(list(enumerate(plain, start=1)))]
+        parts.append((own[lone], start[lone], start[lone] + 1, np.full(len(lone), index.unknown)))
+        whole = np.flatnonzero(self.lengths > 0)
+        marked = index.walk(chars, first[whole], (first + self.lengths)[whole], index.mark)
+        parts += [(whole[at], np.zeros(len(at), np.int64), np.full(len(at), d), piece) for d, (at, piece) in enumerate(marked, start=1)]
+        word, start, stop, piece = (np.concatenate(column) for column in zip(*parts, strict=True))
+        order = _sorted_by(stop, word)
+        self.edges = word[order], start[order], stop[order], piece[order]
 
     def logs(self, probs: np.ndarray) -> np.ndarray:
         """Logarithm of each word's sum over all segmentations; probs: pieces by languages, and so is the result."""
@@ -150,7 +183,7 @@ class Lattice:
         """Log sums at each place of each word, from where ``begin`` is 0, along edges from ``out`` to ``into``."""
         word = self.edges[0]
         sums = begin.copy()
-        order = np.lexsort((word, into))
+        order = _sorted_by(into, word)
         cuts = np.searchsorted(into[order], np.arange(len(sums) + 1))
         for j in ends:
             part = order[cuts[j] : cuts[j + 1]]
@@ -184,7 +217,7 @@ class Lattice:
 @dataclass
 class Model:
     languages: list[str]
-    pieces: dict[str, int]
+    pieces: Pieces
     probs: np.ndarray  # languages by pieces, the last of which is the unknown character
     #: Of each language the least mean log probability a letter that a text of it is expected to have.
     floors: np.ndarray | None = None

@@ -131,6 +131,22 @@ def test_long_words_do_not_underflow():
     assert (used[:-1] * [1, 1, 2, 1]).sum() == pytest.approx(80)
 
 
+def test_lattice_edges_by_hand_in_few_steps(monkeypatch):
+    """Edges of many words are those of a search word by word, and take a step for each letter of a piece, not of a text."""
+    pieces = ("a", "aab", "ab", "b", "ba", "é", "𝒳b", "▁a", "▁ab", "▁é")
+    number = {p: i for i, p in enumerate(pieces)}
+    words = ["".join(w) for n in (5, 3, 2, 1) for w in itertools.product("ab", repeat=n)] + ["é𝒳b", "z", "日本", "ab"]
+    steps, search = [], np.searchsorted
+    monkeypatch.setattr(np, "searchsorted", lambda *a, **k: steps.append(1) or search(*a, **k))
+    lattice = language_id.Lattice(words, language_id.prefixes(pieces))
+    assert 0 < len(steps) <= 2 * (max(map(len, pieces)) + 1)
+    found = sorted(zip(*(e.tolist() for e in lattice.edges), strict=True))
+    by_hand = [(k, i, j, number[w[i:j]]) for k, w in enumerate(words) for i in range(len(w)) for j in range(i + 1, len(w) + 1) if w[i:j] in number]
+    by_hand += [(k, i, i + 1, len(pieces)) for k, w in enumerate(words) for i, c in enumerate(w) if c not in number]
+    by_hand += [(k, 0, j, number["▁" + w[:j]]) for k, w in enumerate(words) for j in range(1, len(w) + 1) if "▁" + w[:j] in number]
+    assert found == sorted(by_hand)
+
+
 def test_letters_by_unicode():
     assert language_id.words_of("½ Ⅷ ² x2 _") == ["x"] and language_id.words_of("नमस्ते दुनिया") == ["नमस्ते", "दुनिया"]
     assert language_id.words_of("ab1cd é²") == ["ab", "cd", "é"]
