@@ -306,6 +306,21 @@ def gauss(spark):
     return df
 
 
+def test_small_tables_are_clustered_in_one_task(spark, gauss, monkeypatch):
+    """All rounds over all points without a Spark job each, and the centers are those of a job a round."""
+    v = views.view(gauss, "id", ["x1", "x2", "x3", "x4"]).frame.withColumn("w", F.col("id") % 3)
+    jobs, sums = [], kmeans.cluster_sums
+    monkeypatch.setattr(kmeans, "cluster_sums", lambda *a, **k: jobs.append(1) or sums(*a, **k))
+    start = np.array([[0.1 * i] * 4 for i in range(3)])
+    for how in ({"n_init": 2}, {"n_init": 2, "weight": "w"}, {"init": start, "max_iter": 3, "tol": 0.0}, {"method": "random", "seed": 2}):
+        jobs.clear()
+        one = kmeans.lloyd(v.repartition(3), 3, **how)
+        assert not jobs
+        with monkeypatch.context() as m:
+            m.setattr(kmeans, "ONE_TASK", 0)
+            assert np.allclose(kmeans.lloyd(v, 3, **how), one, atol=1e-12) and jobs
+
+
 def test_lloyd_and_measures(spark, gauss):
     v = views.view(gauss, "id", ["x1", "x2", "x3", "x4"])
     centers = kmeans.lloyd(v.frame, 3, seed=0, n_init=3)
