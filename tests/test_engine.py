@@ -657,3 +657,65 @@ def test_rounds_share_one_plan(spark, gauss):
         text = plan(kmeans.sums_frame(v.frame, sent, 4))
         texts.add(re.sub(r"#\d+L?|plan_id=\d+", "", text))
     assert len(texts) == 1
+
+
+# ---- runs of an experiment have their exact parts in common
+
+
+def test_runs_share_what_is_exact(spark, sf, monkeypatch):
+    """Runs that differ in budget or method cluster, hash and measure the same points once, with the same results."""
+    calls = {"lloyd": 0, "minima": 0, "measure_all": 0}
+
+    def counted(module, name):
+        made = getattr(module, name)
+
+        def run(*a, **k):
+            calls[name] += 1
+            return made(*a, **k)
+
+        monkeypatch.setattr(module, name, run)
+
+    counted(pipeline, "lloyd"), counted(pipeline, "minima"), counted(X, "measure_all")
+    how = {"parties": (2,), "repeats": 256, "methods": ("pairwise", "complement")}
+    rows = X.x5_weight_error(spark, sf, eps=(1.0, 8.0), **how).collect()
+    assert calls == {"lloyd": 2, "minima": 2, "measure_all": 1}
+    assert [(r.eps, r.method) for r in rows] == [(e, m) for e in (1.0, 8.0) for m in ("pairwise", "complement")]
+    alone = X.x5_weight_error(spark, sf, eps=(8.0,), **how | {"methods": ("complement",)}).first()
+    assert rows[3].weight_error == alone.weight_error and rows[3].loss == pytest.approx(alone.loss, abs=1e-12)
+
+
+def test_one_pass_measures_what_single_ones_do(spark, gauss):
+    names = ["x1", "x2", "x3", "x4"]
+    parts = [views.view(gauss, "id", c) for c in (["x3", "x1"], ["x2", "x4"])]
+    wide = views.view(gauss, "id", names).frame
+    rng = np.random.default_rng(0)
+    own, final, central = [rng.uniform(-1, 1, (3, 2)) for _ in parts], rng.uniform(-1, 1, (4, 4)), rng.uniform(-1, 1, (3, 4))
+    run = measures.Clustering(final, (2, 0, 1, 3), (((2, 0), own[0]), ((1, 3), own[1])))
+    labelled = wide.join(gauss.select("id", "y"), "id").select("x", "y")
+    by_y, by_centers = measures.measure_all(labelled, [run, run], [None, central])
+    flat = views.view(gauss, "id", ["x3", "x1", "x2", "x4"]).frame
+    found = kmeans.assign(flat, final).select("id", "a")
+    assert by_y.loss == pytest.approx(kmeans.mean_cost(flat, final))
+    labels = [kmeans.assign(v.frame, c).select("id", "a") for v, c in zip(parts, own, strict=True)]
+    assert np.array_equal(by_y.cells, pipeline.exact_weights(labels, [3, 3]))
+    truth = kmeans.assign(wide, central).select("id", F.col("a").alias("y"))
+    for seen, y in ((by_y, gauss.select("id", "y")), (by_centers, truth)):
+        assert measures.v_of_counts(seen.pairs) == pytest.approx(measures.v_measure(found.join(y, "id")))
+
+
+def test_kernels_match_the_columns(spark, gauss):
+    """Leaf sums and correlations are those of the engine's own expressions, nulls and constants too."""
+    v = views.view(gauss, "id", ["x1", "x2", "x3"])
+    planes = lsh_forest.directions(3, 4, 1)
+    table = lsh_forest.leaf_sums(v.frame, [planes], radius=0.5)[0]
+    cut = F.transform("x", lambda e: F.greatest(F.least(e, F.lit(0.5)), F.lit(-0.5)))
+    coded = v.frame.select(cut.alias("x")).withColumn("c", lsh_forest.code(F.col("x"), planes))
+    for r in coded.groupBy("c").agg(F.count(F.lit(1)).alias("n"), F.sum(F.get("x", F.lit(1))).alias("s")).collect():
+        assert table[r.c, 0] == r.n and table[r.c, 2] == pytest.approx(r.s)
+    df = gauss.select(
+        F.when(F.col("id") % 3 > 0, F.col("x1")).alias("a"), F.when(F.col("id") % 5 > 0, F.col("x2") + 1e6).alias("b"),
+        F.lit(0.1).alias("same"), F.lit(None).cast("double").alias("none"), (F.col("id") % 7).alias("whole"),
+    )
+    for (a, b), r in views.correlations(df, df.columns).items():
+        flat = {a, b} & {"same", "none"}  # the engine's own fails on these
+        assert r == (0.0 if flat else pytest.approx(df.agg(F.corr(F.col(a), F.col(b).cast("double"))).first()[0], abs=1e-7))
