@@ -115,3 +115,9 @@ def test_runs_meet_in_passes_of_few_tasks(spark, sf, monkeypatch):
     finally:
         spark.conf.set("spark.sql.shuffle.partitions", before)
     assert len(rows) == 3 and set(sizes) == {packed.tasks(spark)} and len(steps) < 0.7 * sum(steps)
+
+
+def test_the_first_of_starts_that_end_alike_is_taken():
+    """Their costs differ by rounding, which must not choose the order of the centers."""
+    assert kmeans._best([3.0, 1.0 + 1e-13, 1.0, 2.0]) == 1 and kmeans._best([1.0 + 1e-6, 1.0]) == 1
+    assert kmeans._best([0.0, 0.0]) == 0 and kmeans._best([np.inf]) == 0
