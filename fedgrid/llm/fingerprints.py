@@ -150,17 +150,16 @@ def range_bounds(ids: DataFrame) -> tuple[list[int], list[int]]:
     ranges = max(1, min(MAX_RANGES, n // RANGE_ROWS))
     if ranges == 1:
         return [], []
-    shares = F.array(*[F.lit(k / ranges) for k in range(1, ranges)]) if ranges <= 1000 else F.transform(
-        F.sequence(F.lit(1), F.lit(ranges - 1)), lambda k: k / F.lit(float(ranges)))
+    shares = _constant([k / ranges for k in range(1, ranges)], "double")  # the engine takes a constant alone for them
     quantiles = rows.agg(F.percentile_approx("doc_id", shares, F.lit(max(10_000, 10 * ranges)))).first()[0]
     least = max(10 * RANGE_ROWS, n // 10_000)
     hot = [r["doc_id"] for r in rows.groupBy("doc_id").count().where(F.col("count") >= least).collect()]  # 10,000 at most
     return sorted({*quantiles, *hot, *(h + 1 for h in hot if h < (1 << 63) - 1)}), hot
 
 
-def _constant(values: list[int]) -> Column:
+def _constant(values: list, of: str = "bigint") -> Column:
     """An array that the optimizer folds to one literal, however long."""
-    return F.split(F.lit(",".join(map(str, values))), ",").cast("array<bigint>")
+    return F.split(F.lit(",".join(map(str, values))), ",").cast(f"array<{of}>")
 
 
 def _range(bounds: list[int]) -> Column:

@@ -352,6 +352,23 @@ def test_fingerprint_query_by_hand(spark, folder):
         assert got[i].edited_sha256 == hashlib.sha256(edited.encode()).hexdigest()
 
 
+def test_next_document_of_many_ranges(spark, monkeypatch):
+    """More than a thousand ranges, as a table of millions of rows has: the quantiles' shares are a constant then too."""
+    monkeypatch.setattr(fingerprints, "RANGE_ROWS", 1)
+    rows = [(7 * i - 4000, f"text {i}") for i in range(1300)] + [(3, f"copy {i}") for i in range(40)]
+    made = spark.createDataFrame(rows, "doc_id bigint, text string")
+    bounds, hot = fingerprints.range_bounds(made.select("doc_id"))
+    assert len(bounds) > 1000 and hot == [3]
+    got = {(r.rng, r.rn): r for r in fingerprints.with_next(made).collect()}
+    at = min(got)
+    for want in sorted((i for i, _ in rows), reverse=True):
+        assert got[at].doc_id == want
+        following = got[at].next_rng, got[at].next_rn
+        assert got[at].next_text == got[following].text
+        at = following
+    assert len(got) == len(rows) and at == min(got)  # one circle through all rows
+
+
 def test_insert_and_delete(spark):
     def made(rows):
         return fingerprints.vectors(spark.createDataFrame(rows, "doc_id bigint, text string"), ["doc_id"])
