@@ -7,7 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from fedgrid.functions import columns as C
-from fedgrid.operators import kmeans, local_dp, lsh_forest, packed, sketch, views
+from fedgrid.operators import kmeans, local_dp, lsh_forest, measures, packed, sketch, views
 from fedgrid.plans import experiments as X
 from fedgrid.plans import pipeline, workloads
 
@@ -121,3 +121,29 @@ def test_the_first_of_starts_that_end_alike_is_taken():
     """Their costs differ by rounding, which must not choose the order of the centers."""
     assert kmeans._best([3.0, 1.0 + 1e-13, 1.0, 2.0]) == 1 and kmeans._best([1.0 + 1e-6, 1.0]) == 1
     assert kmeans._best([0.0, 0.0]) == 0 and kmeans._best([np.inf]) == 0
+
+
+def test_silhouette_of_packed_points(spark, gauss, packed_views):
+    points = packed_views[0]
+    frame, seen = views.view(gauss, "id", list(points.names)).frame, packed.Columns(points, (0, 1, 2, 3))
+    centers = kmeans.lloyd(seen, 3, seed=5)
+    lone = gauss.orderBy("id").first()
+    alone = np.vstack([centers, [lone[c] for c in points.names], np.full((1, 4), 50.0)])  # a point of its own, and nobody's
+    for c in (centers, alone, centers[:2]):
+        assert measures.silhouette(seen, c) == pytest.approx(measures.silhouette(frame, c), abs=1e-12)
+
+
+def test_silhouettes_share_their_passes(spark, sf, monkeypatch):
+    """A workload is packed once for all k, whose clusterings meet in the same passes; an id may come twice."""
+    made, passes, ids = [], [], spark.range(300).select((F.col("id") % 290).alias("id"))
+    df = workloads.gaussian_mixture(spark, ids=ids)
+    init, run = packed.Packed.__init__, packed.Packed._pass
+    monkeypatch.setattr(X, "workload", lambda *_: (df, workloads.GAUSS))
+    monkeypatch.setattr(packed.Packed, "__init__", lambda self, *a, **b: (made.append(0), init(self, *a, **b))[1])
+    monkeypatch.setattr(packed.Packed, "_pass", lambda self, batch: (passes.append(len(batch)), run(self, batch))[1])
+    got = X.x10_silhouette(spark, sf, names=("gauss",), ks=(2, 3, 5)).collect()
+    assert len(made) == 1 and len(passes) <= 0.6 * sum(passes)
+    frame = views.view(df, "id", workloads.GAUSS).frame
+    for r in got:
+        centers = kmeans.lloyd(frame, r.k, seed=1, n_init=2, max_iter=15)
+        assert r.silhouette == pytest.approx(measures.silhouette(frame, centers), abs=1e-9)
